@@ -79,3 +79,31 @@ def clean(docs: DataFrame, benchmark: DataFrame, **settings) -> DataFrame:
     dirty = overlaps(docs, benchmark, **settings).select(F.col("doc_id").alias("__dirty")).distinct()
     names = docs.columns
     return docs.join(dirty, F.col("doc_id") == F.col("__dirty"), "left_anti").select(*[F.col(f"`{n}`") for n in names])
+
+
+def oracle(masks: tuple[str, ...] = MASKS, share: float = SHARE, least: int = LEAST) -> str:
+    """DuckDB SQL for ``overlaps`` on the given tables: masked windows meet as text, without hashes."""
+    shapes = " union all ".join(
+        f"select id, kind, {k} as mask, i - 1 as pos, concat_ws(' ', {', '.join(f't[i + {p}]' for p, c in enumerate(m) if c == '1')}) as seed from t, unnest(range(1, len(t) - {len(m)} + 2)) u(i) where len(t) >= {len(m)}"
+        for k, m in enumerate(masks)
+    )
+    span = max(map(len, masks))
+    return f"""
+with t as (
+  select doc_id as id, 'd' as kind, list_filter(regexp_split_to_array(lower(coalesce(text, '')), '[^\\p{{L}}\\p{{N}}]+'), lambda x: x <> '') as t from documents
+  union all
+  select item_id, 'b', list_filter(regexp_split_to_array(lower(coalesce(text, '')), '[^\\p{{L}}\\p{{N}}]+'), lambda x: x <> '') from benchmark),
+seeds as ({shapes}
+  union all
+  select x.id, x.kind, -n as mask, i - 1 as pos, list_aggregate(x.t[i : i + n - 1], 'string_agg', ' ') as seed
+  from t x, (select distinct len(t) as n from t where kind = 'b' and len(t) between 1 and {span - 1}) s, unnest(range(1, len(x.t) - n + 2)) u(i)
+  where len(x.t) >= n and (x.kind = 'd' or len(x.t) = n)),
+hits as (select distinct d.id as doc_id, b.id as item_id, d.pos - b.pos as diag from seeds d join seeds b on d.mask = b.mask and d.seed = b.seed where d.kind = 'd' and b.kind = 'b'),
+scored as (
+  select h.doc_id, h.item_id, h.diag, len(i.t) as n_item,
+    len(list_filter(range(1, len(i.t) + 1), lambda j: j + h.diag >= 1 and j + h.diag <= len(d.t) and d.t[j + h.diag] = i.t[j])) as n_match
+  from hits h join t d on d.kind = 'd' and d.id = h.doc_id join t i on i.kind = 'b' and i.id = h.item_id),
+held as (select *, row_number() over (partition by doc_id, item_id order by n_match desc, n_item desc, diag) as r from scored
+  where n_match >= {share} * n_item and n_match >= least({least}, n_item))
+select doc_id, item_id, n_match, n_item, diag as "at" from held where r = 1
+"""

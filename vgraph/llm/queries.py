@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontam, near_dedup, piece_codec, pii, rules
+from . import decontam, id_store, lang_id, near_dedup, passages, piece_codec, pii, rules, toxicity, url_filter, url_list
 from .common import read
 
 
@@ -14,11 +14,32 @@ def op1_piece_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
     return piece_codec.encode_digest(read(spark, sf_dir, "documents"))
 
 
+def op2_weak_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read(spark, sf_dir, "documents")
+    return toxicity.score(docs, toxicity.fit(docs, read(spark, sf_dir, "labels")))
+
+
 def op3_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read(spark, sf_dir, "documents")
     return rules.judge(docs, rules.fit(docs, read(spark, sf_dir, "labels")))
 
 
+def op4_temporal_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every page as of its capture; the table has no fetch time, so page_id gives one (see ``url_list``)."""
+    pages = read(spark, sf_dir, "pages").select("page_id", "url").withColumn("fetched_at", url_list.fetched_at("page_id"))
+    return url_filter.judge(pages, url_list.entries(spark))
+
+
+def op5_bloom_lang_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read(spark, sf_dir, "documents")
+    return lang_id.predict(docs, lang_id.fit(docs))
+
+
+def op6_collinear_passages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One row for each passage link: doc_id, start, end, match_doc_id, match_start, match_end, n_same, identity."""
+    return passages.repeated(read(spark, sf_dir, "documents"))
+
+
 def op7_spaced_seed_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     """One row for each document and benchmark item that it holds."""
     return decontam.overlaps(read(spark, sf_dir, "documents"), read(spark, sf_dir, "benchmark"))
@@ -29,6 +50,10 @@ def op8_bag_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_dedup.near_duplicates(read(spark, sf_dir, "documents"))
 
 
+def op9_content_store(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return id_store.round_trip(read(spark, sf_dir, "documents"))
+
+
 def op10_contextual_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.digest(pii.extract(read(spark, sf_dir, "documents")))
 
@@ -40,12 +65,12 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries():
-    own = [op1_piece_codec, op3_quality_rules, op7_spaced_seed_decontamination, op8_bag_minhash, op10_contextual_pii, pipeline]
+    own = [
+        op1_piece_codec, op2_weak_toxicity, op3_quality_rules, op4_temporal_url_filter, op5_bloom_lang_id, op6_collinear_passages,
+        op7_spaced_seed_decontamination, op8_bag_minhash, op9_content_store, op10_contextual_pii, pipeline,
+    ]
     return {f.__name__: f for f in own}
 
 
-ORACLE: dict[str, str] = {}
-
-
 def oracle_sql():
-    return dict(ORACLE)
+    return {"op4_temporal_url_filter": url_list.oracle(), "op7_spaced_seed_decontamination": decontam.oracle()}
