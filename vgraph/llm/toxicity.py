@@ -10,6 +10,7 @@ voters' (capped) counts, and scores every text.
 
 from __future__ import annotations
 
+import math
 import re
 from collections import Counter
 from dataclasses import dataclass
@@ -25,7 +26,7 @@ TOKEN = re.compile(r"\w+")
 #: Insults that vote from the start, before any label is seen.
 LEXICON = ("idiot", "moron", "stupid", "scum", "loser", "trash", "worthless", "pathetic", "disgusting", "clown")
 PATTERNS = {"shout": re.compile(r"[A-Z]{4,}!!"), "masked": re.compile(r"\b\w+\*{2,}\w*"), "you_are": re.compile(r"\byou(?:'re| are) (?:an? |such )", re.I)}
-BEGINNINGS = (3, 4, 5, 6)
+BEGINNINGS = (4, 5, 6)
 CAP = 6
 
 
@@ -76,12 +77,13 @@ class Model:
         return {v: i for i, v in enumerate(self.voters)}
 
 
-def votes_of(text: str, memo: dict[str, tuple[int, ...]]) -> Counter:
-    """Voter number -> distinct words of the text that speak for it."""
+def votes_of(text: str, memo: dict[str, tuple[int, ...]]) -> tuple[Counter, int]:
+    """Voter number -> distinct words of the text that speak for it; and the number of distinct words."""
     c: Counter = Counter()
-    for hit in filter(None, map(memo.__getitem__, set(TOKEN.findall(text.lower())))):
+    words = set(TOKEN.findall(text.lower()))
+    for hit in filter(None, map(memo.__getitem__, words)):
         c.update(hit)
-    return c
+    return c, len(words)
 
 
 class VoteMemo(dict):
@@ -103,7 +105,7 @@ def pattern_votes(text: str) -> list[int]:
 
 
 def votes(rows: DataFrame, voters: list[str]) -> DataFrame:
-    """(doc_id, at, n): the voters that speak on each text, by number, with their capped counts."""
+    """(doc_id, at, n, words): the voters that speak on each text, by number, with their capped counts; its distinct words."""
     table = {v: i for i, v in enumerate(voters)}
     words = len(voters) - len(PATTERNS)
 
@@ -111,27 +113,29 @@ def votes(rows: DataFrame, voters: list[str]) -> DataFrame:
         memo = VoteMemo(table)
 
         def each(cols):
-            at, n = [], []
+            at, n, words_ = [], [], []
             for t in cols["text"]:
-                c = votes_of(t, memo)
+                c, size = votes_of(t, memo)
+                words_.append(size)
                 for j, k in enumerate(pattern_votes(t)):
                     if k:
                         c[words + j] = k
                 at.append(list(c))
                 n.append([min(CAP, v) for v in c.values()])
-            return {"doc_id": cols["doc_id"], "at": at, "n": n}
+            return {"doc_id": cols["doc_id"], "at": at, "n": n, "words": words_}
 
         return each
 
-    return map_rows(texts(rows), begin, struct(doc_id=LONG, at=T.ArrayType(T.IntegerType()), n=T.ArrayType(T.IntegerType())))
+    return map_rows(texts(rows), begin, struct(doc_id=LONG, at=T.ArrayType(T.IntegerType()), n=T.ArrayType(T.IntegerType()), words=LONG))
 
 
 def label_model(fired: np.ndarray, prior: float, start: np.ndarray, rounds: int = 30) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Posterior of each row, rates on toxic and on other rows, and each voter's share of independent weight.
 
-    ``start`` is a first guess of the posterior. Voters' joint rates within a class give correlations; a voter's weight
-    is divided by the sum of its positive correlations (itself included)."""
-    f = fired.astype(np.float32)
+    ``start`` is a first guess of the posterior. The first two columns are the labels themselves (toxic, not toxic), voters like others. Voters' joint rates within a class give correlations; a voter's weight
+    is divided by the sum of its strong correlations (itself included). To abstain says nothing by itself; a row on which all
+    voters abstain is one more vote."""
+    f = np.hstack([fired, ~fired[:, 2:].any(1, keepdims=True)]).astype(np.float32)
     q = start.astype(np.float64)
     share = np.ones(f.shape[1])
     for it in range(rounds):
@@ -145,11 +149,10 @@ def label_model(fired: np.ndarray, prior: float, start: np.ndarray, rounds: int
                 g = (f - m) * np.sqrt(w)[:, None]
                 v = np.maximum((g * g).sum(0), 1e-9)
                 cor += (g.T @ g) / np.sqrt(np.outer(v, v)) * (total / (w1 + w0))
-            share = 1 / np.maximum(1.0, np.where(cor > 0.15, cor, 0).sum(0))
-        on, off = share * np.log(a / b), share * np.log((1 - a) / (1 - b))
-        z = np.log(prior / (1 - prior)) + off.sum() + f @ (on - off)
+            share = 1 / np.maximum(1.0, np.where(cor > 0.6, cor, 0).sum(0))
+        z = np.log(prior / (1 - prior)) + f @ (share * np.log(a / b))
         q = 1 / (1 + np.exp(-np.clip(z, -40, 40)))
-    return q, a, b, share
+    return q, a[:-1], b[:-1], share[:-1]
 
 
 def linear(x: np.ndarray, y: np.ndarray, l2: float = 1.0, rounds: int = 40) -> np.ndarray:
@@ -169,13 +172,13 @@ def linear(x: np.ndarray, y: np.ndarray, l2: float = 1.0, rounds: int = 40) -> n
     return w
 
 
-def shaped(count: np.ndarray, least: np.ndarray) -> np.ndarray:
-    """Classifier inputs: whether a voter reaches its threshold, and its count over that."""
+def shaped(count: np.ndarray, least: np.ndarray, words: np.ndarray) -> np.ndarray:
+    """Classifier inputs: whether a voter reaches its threshold, its count over that, and the log of the text's distinct words."""
     over = np.maximum(count - least + 1, 0)
-    return np.hstack([(over > 0).astype(np.float64), np.minimum(over, 4) / 4.0])
+    return np.hstack([(over > 0).astype(np.float64), np.minimum(over, 4) / 4.0, np.log1p(words)[:, None] / 4.0])
 
 
-def fit(docs: DataFrame, labels: DataFrame, bound: int = 20_000, most: int = 240, apart: float = 4.0) -> Model:
+def fit(docs: DataFrame, labels: DataFrame, bound: int = 20_000, most: int = 240, apart: float = 7.0) -> Model:
     """Learn from at most ``bound`` held-in labelled rows (those of the smallest hashed ids).
 
     What reaches the driver: at most ``most`` mined voters and the votes of the bounded sample. Without any held-in
@@ -188,7 +191,7 @@ def fit(docs: DataFrame, labels: DataFrame, bound: int = 20_000, most: int = 240
     extra = list(PATTERNS)
     if not n1 or not n0:
         voters = [*LEXICON, *extra]
-        w = np.concatenate([np.full(len(LEXICON), 2.2), np.zeros(len(extra) + len(voters))])
+        w = np.concatenate([np.full(len(LEXICON), 2.2), np.zeros(len(extra) + len(voters) + 1)])
         return Model(voters, [1] * len(voters), np.full(len(voters), 0.9), np.ones(len(voters)), w, -3.0)
     t = tally(sample)
     wide = t.groupBy("feature").agg(*[F.sum(F.when(F.col("toxic") == y, F.col(c)).otherwise(0)).alias(f"{c}{int(y == 1)}") for y in (1, 0) for c in ("once", "twice", "thrice")])
@@ -199,7 +202,11 @@ def fit(docs: DataFrame, labels: DataFrame, bound: int = 20_000, most: int = 240
         return F.when(p1 >= 2 * p0, (p1 - p0) / F.sqrt(p * (1 - F.least(p, F.lit(0.999))) * (1 / n1 + 1 / n0))).otherwise(0.0)
 
     score = wide.withColumn("best", F.greatest(*[F.struct(z(c).alias("z"), F.lit(k).alias("least")) for k, c in enumerate(("once", "twice", "thrice"), 1)]))
-    mined = score.where(F.col("best.z") >= apart).orderBy(F.desc("best.z"), "feature").limit(most).select("feature", "best.least").collect()
+    seen = F.when(F.col("best.least") == 1, F.col("once1")).when(F.col("best.least") == 2, F.col("twice1")).otherwise(F.col("thrice1"))
+    good = score.where((F.col("best.z") >= apart) & (seen >= F.greatest(F.lit(3.0), F.lit(0.03 * n1))))
+    # a word and its beginnings often speak on the same texts: the shortest stands for those that count alike
+    alike = good.groupBy("once1", "once0", "twice1", "twice0", "thrice1", "thrice0").agg(F.min(F.struct(F.length("feature").alias("n"), "feature", "best")).alias("x"))
+    mined = alike.select("x.feature", "x.best").orderBy(F.desc("best.z"), "feature").limit(most).select("feature", "best.least").collect()
     picked = {r[0]: r[1] for r in mined}
     for w in LEXICON:
         picked.setdefault(w, 1)
@@ -211,9 +218,9 @@ def fit(docs: DataFrame, labels: DataFrame, bound: int = 20_000, most: int = 240
     y = got["toxic"].to_numpy(float)
     prior = float(np.clip(y.mean(), 0.01, 0.5))
     fired = count >= np.asarray(least)
-    q, a, b, share = label_model(np.hstack([fired, (y == 1)[:, None]]), prior, 0.9 * y + 0.05)
-    w = linear(shaped(count, np.asarray(least)), q)
-    return Model(voters, least, a[:-1] / (a[:-1] + b[:-1]), share[:-1], w[:-1], float(w[-1]))
+    q, a, b, share = label_model(np.hstack([(y == 1)[:, None], (y == 0)[:, None], fired]), prior, 0.9 * y + 0.05)
+    w = linear(shaped(count, np.asarray(least), got["words"].to_numpy(float)), q, 0.3)
+    return Model(voters, least, a[2:] / (a[2:] + b[2:]), share[2:], w[:-1], float(w[-1]))
 
 
 def score(docs: DataFrame, model: Model, cut: float = 0.7) -> DataFrame:
@@ -221,7 +228,7 @@ def score(docs: DataFrame, model: Model, cut: float = 0.7) -> DataFrame:
     voters, least = model.lookup(), model.least
     k = len(model.voters)
     gain = [[0.0] + [(model.weights[j] + model.weights[k + j] * min(n - least[j] + 1, 4) / 4.0) if n >= least[j] else 0.0 for n in range(1, CAP + 1)] for j in range(k)]
-    words, bias = k - len(PATTERNS), model.bias
+    words, bias, by_size = k - len(PATTERNS), model.bias, float(model.weights[2 * k])
 
     def begin():
         memo = VoteMemo(voters)
@@ -229,9 +236,9 @@ def score(docs: DataFrame, model: Model, cut: float = 0.7) -> DataFrame:
         def each(cols):
             out, n = [], []
             for t in cols["text"]:
-                c = votes_of(t, memo)
-                zz = bias + sum(gain[j][min(CAP, m)] for j, m in c.items()) + sum(gain[words + j][m] for j, m in enumerate(pattern_votes(t)))
-                out.append(1 / (1 + np.exp(-max(-30.0, min(30.0, zz)))))
+                c, size = votes_of(t, memo)
+                zz = bias + by_size * math.log1p(size) / 4.0 + sum(gain[j][min(CAP, m)] for j, m in c.items()) + sum(gain[words + j][m] for j, m in enumerate(pattern_votes(t)))
+                out.append(1 / (1 + math.exp(-max(-30.0, min(30.0, zz)))))
                 n.append(sum(m >= least[j] for j, m in c.items()))
             return {"doc_id": cols["doc_id"], "score": out, "n_votes": n}
 
