@@ -30,7 +30,7 @@ def _search(v: DataFrame, edges: DataFrame, q: DataFrame, k: int, pool: int, wid
         .union(q.select("shard", F.lit(2), F.col("qid"), F.col("vec").cast(VEC), none.cast(LONG), none.cast(INT)))
     )
 
-    def run(key, t: pa.Table) -> pa.Table:
+    def run(key, t):
         from ..kernel import search_np as S
 
         import pyarrow.compute as pc

@@ -59,7 +59,7 @@ def build_local(v: DataFrame, assigned: DataFrame, recipe: str | Rule = "occlusi
     ship(v.sparkSession)
     rows = assigned.select("shard", "id").join(v.select("id", F.col("vec").cast("array<double>").alias("vec")), "id").select("shard", "id", "vec")
 
-    def one(key, table: pa.Table) -> pa.Table:
+    def one(key, table):
         from ..core.metric import sq_l2_rows
 
         if table.num_rows > limit:
@@ -87,7 +87,7 @@ def in_shards(v: DataFrame, edges: DataFrame, what: str, **kw) -> DataFrame:
     vv = (v.withColumn("shard", F.lit(0)) if one_shard else v).select("shard", "id", F.col("vec").cast("array<double>").alias("vec"))
     ee = (edges.withColumn("shard", F.lit(0)) if one_shard else edges).select("shard", "src", "dst", "rank")
 
-    def run(key, left: pa.Table, right: pa.Table) -> pa.Table:
+    def run(key, left, right):
         from ..core.metric import sq_l2_rows
         from ..kernel import search_np as S
 
