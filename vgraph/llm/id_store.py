@@ -32,6 +32,10 @@ from vgraph.core.ship import ship
 from .common import BIN, LONG, map_rows, mix64, scratch, stored, struct, texts, unstore
 
 END = 1
+#: White space beyond ASCII and the separators that str.split also cuts at.
+ODD_SPACE = re.compile("[\x1c-\x1f\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]")
+#: Letters that lower-casing and composition leave single, and a tail of marks: the tokenizer always parts these two.
+TAILED = re.compile("([A-Za-zÀ-ÖØ-öø-ÿ]+)([.,!?;:#$%&*|]+)")
 #: Words between ASCII white space: this vocabulary drops white space, and none of its rules look across it.
 PART = re.compile(r"[^\x20\x09-\x0D]+")
 DOC = np.dtype([("doc", "<i8"), ("offset", "<i8"), ("ids", "<u4"), ("chunks", "<u4"), ("root", "V16")])
@@ -49,7 +53,7 @@ def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
 class WordIds:
     """Ids of whole texts, word by word through a bounded memo; unseen words go to the tokenizer in one call."""
 
-    def __init__(self, path: str, most: int = 400_000):
+    def __init__(self, path: str, most: int = 700_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
@@ -58,17 +62,32 @@ class WordIds:
         self.memo: dict[str, bytes] = {}
         self.most = most
 
+    def _each(self, words: list[str]) -> list[bytes]:
+        """Ids of every word, from one call over all of them with a space between; tokens' places in that text tell whose they are."""
+        e = self.tok.encode(" ".join(words), add_special_tokens=False)
+        w = self.width
+        ids = np.array(e.ids, f"<u{w}").tobytes()
+        starts = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1)
+        at = np.fromiter(chain.from_iterable(e.offsets), np.int64, 2 * len(e.ids))[::2]
+        cut = (np.searchsorted(at, starts) * w).tolist()
+        return [ids[s:t] for s, t in zip([0, *cut], cut, strict=False)]
+
     def encode(self, batch: list[str]) -> list[bytes]:
-        parts = [PART.findall(t) for t in batch]
+        parts = [PART.findall(t) if ODD_SPACE.search(t) else t.split() for t in batch]
         memo = self.memo
         if len(memo) > self.most:
             memo.clear()
         new = list(set(chain.from_iterable(parts)).difference(memo))
-        kind = f"<u{self.width}"
-        for i in range(0, len(new), 4096):
-            some = new[i : i + 4096]
-            for w, e in zip(some, self.tok.encode_batch(some, add_special_tokens=False), strict=True):
-                memo[w] = np.asarray(e.ids, kind).tobytes()
+        tailed = [m for m in map(TAILED.fullmatch, new) if m]
+        if tailed:
+            new_set = {x for m in tailed for x in m.groups()}.difference(memo)
+            plain = list(new_set.union(new).difference([m[0] for m in tailed]))
+        else:
+            plain = new
+        for i in range(0, len(plain), 4096):
+            memo.update(zip(plain[i : i + 4096], self._each(plain[i : i + 4096]), strict=True))
+        for m in tailed:
+            memo[m[0]] = memo[m[1]] + memo[m[2]]
         out = [b"".join(map(memo.__getitem__, p)) for p in parts]
         for w in new:
             if len(w) > 48:
