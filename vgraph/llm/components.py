@@ -28,6 +28,8 @@ def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
         ends = e.select(F.col("a").alias("v"), F.col("b").alias("u")).union(e.select("b", "a"))
         best = ends.groupBy("v").agg(F.min(order(F.col("u"))).alias("m"))
         to = stored(best.select("v", F.when(order(F.col("v")) <= F.col("m"), F.col("v")).otherwise(F.col("m")["u"]).alias("p")))
+        up = to.select(F.col("v").alias("p"), F.col("p").alias("pp"))
+        to = stored(to.join(up, "p").select("v", F.col("pp").alias("p")))  # one more step up: halves the rounds
         joined = e.join(to.select(F.col("v").alias("a"), F.col("p").alias("pa")), "a").join(to.select(F.col("v").alias("b"), F.col("p").alias("pb")), "b")
         nxt = stored(joined.where("pa <> pb").select(F.least("pa", "pb").alias("a"), F.greatest("pa", "pb").alias("b")).distinct())
         if maps is None:

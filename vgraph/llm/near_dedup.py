@@ -19,8 +19,9 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
+from pyspark.sql.window import Window
 
-from .common import BIN, LONG, WORD, WordHash, keyed, map_rows, mix64, scratch, stored, struct, texts, unit, unstore, windows  # noqa: F401
+from .common import BIN, LONG, WORD, WordHash, keyed, map_rows, mix64, stored, struct, texts, unit, windows
 from .components import components
 
 WORDS, SIMILARITY = 5, 0.8
@@ -170,15 +171,48 @@ def verified(pairs: DataFrame, docs: DataFrame, least: float, k: int) -> DataFra
     return sims.where(F.col("sim") >= least)
 
 
+def elements(memo: WordHash, text: str, k: int) -> list[int]:
+    """The multiset of shingles as a set: (shingle, copy) cells hashed to 64 bits."""
+    u, c = np.unique(bag(memo, text, k), return_counts=True)
+    copy = np.arange(int(c.sum())) - np.repeat(np.cumsum(c) - c, c) if len(c) else np.zeros(0, np.int64)
+    return keyed(np.repeat(u, c), copy.astype(np.uint64)).view(np.int64).tolist()
+
+
+def crossing(members: DataFrame, docs: DataFrame, t: float, k: int) -> DataFrame:
+    """(a, b), a > b: every pair of ``members`` (rep, comp) of different groups that may reach the similarity, none left out.
+
+    Cells are ordered by how few members hold them. Two sets of sizes x <= y reach Jaccard t only if they share o = t / (1 + t) * (x + y)
+    cells, hence one among the first x - o + 1 of the one and y - o + 1 of the other: members meet on such cells only. A
+    member with many cells of its own, as far edited copies have, meets nobody."""
+    t_ = texts(docs).join(members.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi").groupBy("doc_id").agg(F.first("text").alias("text"))
+
+    def begin():
+        memo = WordHash()
+        return lambda cols: {"rep": cols["doc_id"], "e": [elements(memo, x, k) for x in cols["text"]]}
+
+    sets = stored(map_rows(t_, begin, struct(rep=LONG, e=T.ArrayType(LONG)))).select("rep", F.size("e").alias("n"), F.explode("e").alias("e"))
+    held = sets.groupBy("e").agg(F.count(F.lit(1)).alias("f")).where("f > 1")
+    shared = sets.join(held, "e")
+    own = Window.partitionBy("rep")
+    place = F.col("n") - F.count(F.lit(1)).over(own) + F.row_number().over(own.orderBy("f", "e"))
+    first = shared.withColumn("pos", place).where(F.col("pos") <= F.col("n") - F.ceil(t * F.col("n") - 1e-9) + 1)
+    first = stored(first.select("rep", "n", "e", "pos").join(members, "rep"))
+    x, y = (first.select("e", *[F.col(c).alias(f"{c}_{s}") for c in ("rep", "n", "pos", "comp")]) for s in "xy")
+    need = F.ceil(t / (1 + t) * (F.col("n_x") + F.col("n_y")) - 1e-9)
+    smaller = (F.col("n_x") < F.col("n_y")) | ((F.col("n_x") == F.col("n_y")) & (F.col("rep_x") < F.col("rep_y")))
+    near = smaller & (F.col("comp_x") != F.col("comp_y")) & (F.col("n_x") >= t * F.col("n_y") - 1e-9) & (F.col("pos_x") <= F.col("n_x") - need + 1) & (F.col("pos_y") <= F.col("n_y") - need + 1)
+    met = x.join(y, (x.e == y.e) & near)
+    return met.select(F.greatest("rep_x", "rep_y").alias("a"), F.least("rep_x", "rep_y").alias("b")).distinct()
+
+
 def near_duplicates(docs: DataFrame, similarity: float = SIMILARITY, words: int = WORDS, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
     """(doc_id, class_id, exact_id) for every document.
 
     exact_id is the least id with the same whole text, class_id the least id of the group linked by
     pairs of weighted Jaccard similarity >= ``similarity``. Exact copies meet through a digest
     and are represented by one of them from then on. In each band bucket all members are compared
-    with the least one (a star, linear in the bucket); members that are then still in another
-    group than their bucket's least member are compared with every member of a different group, so
-    no candidate link between groups is left out and a group of n copies never makes n^2 rows.
+    with the least one (a star, linear in the bucket). Buckets whose members are then in several groups are settled by an exact
+    prefix join of their members (``crossing``), so no link between groups is left out and a group of n copies never makes n^2 rows.
 
     Null texts count as empty; texts without words match only equal texts; rows with a null doc_id are
     left out; repeated ids count as one document, whose class is the least that its texts have. An
@@ -197,13 +231,14 @@ def near_duplicates(docs: DataFrame, similarity: float = SIMILARITY, words: int
     ca, cb = comp.select(F.col("node").alias("a"), F.col("comp").alias("ga")), comp.select(F.col("node").alias("b"), F.col("comp").alias("gb"))
     grouped = stars.join(ca, "a", "left").join(cb, "b", "left").select("band", "a", "b", F.coalesce("ga", "a").alias("ga"), F.coalesce("gb", "b").alias("gb"))
     grouped = stored(grouped)
-    odd = grouped.where("ga <> gb").select("band", F.col("a").alias("x"), F.col("ga").alias("gx"))
-    other = grouped.select("band", F.col("a").alias("y"), F.col("ga").alias("gy"))
-    rest = odd.join(other, "band").where("gx <> gy and x <> y").select(F.greatest("x", "y").alias("a"), F.least("x", "y").alias("b")).distinct()
-    rest = stored(rest.join(tried, ["a", "b"], "left_anti"))
-    if rest.take(1):
-        more = stored(verified(rest, docs, similarity, words).select("a", "b"))
-        comp = stored(components(links.union(more)))
+    odd = grouped.where("ga <> gb").select("band").distinct()
+    if odd.take(1):
+        open_ = grouped.join(odd, "band", "left_semi")
+        open_ = stored(open_.select(F.col("a").alias("rep"), F.col("ga").alias("comp")).union(open_.select("b", "gb")).distinct())
+        rest = stored(crossing(open_, docs, similarity, words).join(tried, ["a", "b"], "left_anti"))
+        if rest.take(1):
+            more = stored(verified(rest, docs, similarity, words).select("a", "b"))
+            comp = stored(components(links.union(more)))
     out = member.join(comp.withColumnRenamed("node", "rep"), "rep", "left").select("doc_id", F.coalesce("comp", "rep").alias("class_id"), F.col("rep").alias("exact_id"))
     return out.groupBy("doc_id").agg(F.min("class_id").alias("class_id"), F.min("exact_id").alias("exact_id"))
 
