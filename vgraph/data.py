@@ -8,9 +8,10 @@ from pyspark.sql.window import Window
 
 from .core.mix import mix
 
-#: Prime of the 3-gram fold, and how much of a text is hashed.
-FOLD, HEAD = 1000003, 2000
-QUERIES = 50
+#: Prime of the 3-gram fold.
+FOLD = 1000003
+#: Searches take every row whose id this divides as a query, against all rows.
+EVERY = 100
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -35,9 +36,9 @@ def embeddings_copies(spark: SparkSession, sf_dir: str, copies: int, noise: floa
     return w.withColumn("size", size).select((F.col("copy") * n + F.col("id")).cast("long").alias("id"), F.transform("w", lambda x: x / F.col("size")).alias("vec"))
 
 
-def hashed_text(df: DataFrame, id_col: str, dim: int, head: int = HEAD) -> DataFrame:
-    """Folded 3-gram counts of the first ``head`` characters, L2-normalised; texts under three characters are left out."""
-    t = df.select(F.col(id_col).alias("id"), F.substring("text", 1, head).alias("t")).where("length(t) >= 3")
+def hashed_text(df: DataFrame, id_col: str, dim: int) -> DataFrame:
+    """Folded 3-gram counts of whole texts, L2-normalised; texts under three characters are left out."""
+    t = df.select(F.col(id_col).alias("id"), F.col("text").alias("t")).where("length(t) >= 3")
     code = F.transform(F.filter(F.split("t", ""), lambda c: c != ""), lambda c: F.ascii(c).cast("long"))
     u = t.select("id", code.alias("u"))
     slot = F.transform(F.sequence(F.lit(0), F.size("u") - 3), lambda i: F.pmod(F.pmod((F.get("u", i) * 31 + F.get("u", i + 1)) * 31 + F.get("u", i + 2), F.lit(FOLD)), F.lit(dim)))
@@ -54,14 +55,12 @@ def benchmark_vec(spark: SparkSession, sf_dir: str, dim: int) -> DataFrame:
     return hashed_text(table(spark, sf_dir, "benchmark"), "item_id", dim)
 
 
-def line_vec(spark: SparkSession, sf_dir: str, every: int = 1) -> DataFrame:
-    """Four scaled measures of every line of orders whose key is a multiple of ``every``; dense ids in a total order of the lines."""
+def line_vec(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Four scaled measures of every line; dense ids in a total order of the lines."""
     from .core.types import densify
 
     line = table(spark, sf_dir, "lineitem")
-    if every > 1:
-        line = line.where(F.pmod("l_orderkey", F.lit(every)) == 0)
-    top = table(spark, sf_dir, "lineitem").agg(F.max("l_extendedprice").alias("top"))
+    top = line.agg(F.max("l_extendedprice").alias("top"))
     key = F.struct("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_shipdate", "l_extendedprice", "l_quantity")
     vec = F.array(F.col("l_quantity") / 50, F.col("l_extendedprice") / F.col("top"), F.col("l_discount") * 10, F.col("l_tax") * 12.5)
     return densify(line.crossJoin(F.broadcast(top)).select(key.alias("key"), vec.alias("vec")), "key").select("id", "vec")
@@ -73,13 +72,9 @@ def event_vec(spark: SparkSession, sf_dir: str) -> DataFrame:
     return e.select("id", F.array(*kinds, "v").alias("vec"))
 
 
-def query_ids(v: DataFrame, n: int = QUERIES, seed: int = 42) -> DataFrame:
-    """The ``n`` ids of least mix: a stated query set."""
-    return v.select("id", mix(seed, F.col("id")).alias("m")).orderBy("m", "id").limit(n).select("id")
-
-
-def query_set(v: DataFrame, n: int = QUERIES, seed: int = 42) -> DataFrame:
-    return v.join(F.broadcast(query_ids(v, n, seed)), "id").select(F.col("id").alias("qid"), "vec")
+def query_set(v: DataFrame, every: int = EVERY) -> DataFrame:
+    """The stated query set: rows whose id ``every`` divides."""
+    return v.where(F.col("id") % every == 0).select(F.col("id").alias("qid"), "vec")
 
 
 def dense_rank_ids(v: DataFrame) -> DataFrame:

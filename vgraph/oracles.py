@@ -19,7 +19,7 @@ def knn(k: int = K) -> str:
 knn as materialized (select src, dst, rank, d2 from (select *, row_number() over (partition by src order by d2, dst) as rank from alld) where rank <= {k})"""
 
 
-Q = f"q as (select id as qid, v as qv from e order by {mix_sql(str(SEED), 'id')}, id limit 50)"
+Q = "q as (select id as qid, v as qv from e where id % 100 = 0)"
 
 RANDOM = f"""n as (select count(*) as n from e),
 slot as (select e.id as src, t, (e.id + 1 + {mix_sql('e.id', 't', str(SEED))} % (n - 1)) % n as dst from e, n, range(0, {2 * K}) r(t)
@@ -119,8 +119,8 @@ STRICT = f"with recursive {knn()}, {greedy(dist_conflict(1.0), ONE, 50)}"
 
 ORACLES = {
     "exact_knn": f"with {knn()} select src, dst, rank, {R} from knn",
-    "exact_search_50": f"with {E}, {Q} select qid, id, rank, {R} from (select *, row_number() over (partition by qid order by d2, id) as rank from (select qid, e.id, {d2('qv', 'v')} as d2 from q, e where qid <> e.id)) where rank <= {K}",
-    "range_search_50": f"with {E}, {Q} select qid, id, {R} from (select qid, e.id, {d2('qv', 'v')} as d2 from q, e) where d2 <= 1.2 * 1.2",
+    "exact_search_queries": f"with {E}, {Q} select qid, id, rank, {R} from (select *, row_number() over (partition by qid order by d2, id) as rank from (select qid, e.id, {d2('qv', 'v')} as d2 from q, e where qid <> e.id)) where rank <= {K}",
+    "range_search_queries": f"with {E}, {Q} select qid, id, {R} from (select qid, e.id, {d2('qv', 'v')} as d2 from q, e) where d2 <= 1.2 * 1.2",
     "filtered_search_label": f"with {E}, {Q} select qid, id, rank, {R} from (select *, row_number() over (partition by qid order by d2, id) as rank from (select qid, e.id, {d2('qv', 'v')} as d2 from q, e where label = 3)) where rank <= {K}",
     "distance_matrix_stats": f"with {knn()} select rank, count(*) as n, round(avg(d2), 6) as mean_d2, round(min(d2), 6) as min_d2, round(max(d2), 6) as max_d2 from knn group by 1",
     "random_graph": f"with {E}, {RANDOM} select src, dst, rank, {R} from rg",
@@ -170,7 +170,13 @@ ORACLES = {
     "window_objective": f"with {assigned()}, {CG} select coalesce(sum(w), 0) as objective from cg where b - a < {CACHE}",
     "merge_of_locals": f"with {MERGED}",
     "merge_of_locals_ordered": f"with {MERGED}",
-    "doc_vectors": "with t as (select doc_id as id, substr(text, 1, 2000) as t from documents where length(text) >= 3), g as (select id, (((unicode(substr(t, i, 1)) * 31 + unicode(substr(t, i + 1, 1))) * 31 + unicode(substr(t, i + 2, 1))) % 1000003) % 96 as p from t, unnest(range(1, length(t) - 1)) u(i)), c as (select id, p, count(*) as n from g group by 1, 2) select id, cast(p as integer) as p, round(n / sqrt(sum(n * n) over (partition by id)), 6) as x from c",
-    "line_vectors": "select row_number() over (order by l_orderkey, l_linenumber, l_partkey, l_suppkey, l_shipdate, l_extendedprice, l_quantity) - 1 as id, round(l_quantity / 50, 6) as x0, round(l_extendedprice / (select max(l_extendedprice) from lineitem), 6) as x1, round(l_discount * 10, 6) as x2, round(l_tax * 12.5, 6) as x3 from lineitem where l_orderkey % 4 = 0",
+    "doc_vectors": "with t as (select doc_id as id, text as t from documents where length(text) >= 3), g as (select id, (((unicode(substr(t, i, 1)) * 31 + unicode(substr(t, i + 1, 1))) * 31 + unicode(substr(t, i + 2, 1))) % 1000003) % 96 as p from t, unnest(range(1, length(t) - 1)) u(i)), c as (select id, p, count(*) as n from g group by 1, 2) select id, cast(p as integer) as p, round(n / sqrt(sum(n * n) over (partition by id)), 6) as x from c",
+    "line_vectors": "select row_number() over (order by l_orderkey, l_linenumber, l_partkey, l_suppkey, l_shipdate, l_extendedprice, l_quantity) - 1 as id, round(l_quantity / 50, 6) as x0, round(l_extendedprice / (select max(l_extendedprice) from lineitem), 6) as x1, round(l_discount * 10, 6) as x2, round(l_tax * 12.5, 6) as x3 from lineitem",
     "event_vectors": "select user_id as id, " + ", ".join(f"round(cast(count(*) filter (where event_type = '{k}') as double), 4) as x{i}" for i, k in enumerate(("view", "click", "purchase", "signup", "error"))) + ", round(avg(value), 4) as x5 from events group by 1",
 }
+
+ORACLES |= {
+    "w_sampling_toy": "select * from (values ('shared', 0, 3), ('shared', 1, 2), ('per_node', 0, 7), ('per_node', 1, 8)) t(sampling, place, member)",
+    "w_rebuild_trigger": "with x as (select cast(ts as date) as day, user_id % 8 as user_shard, count(distinct user_id) as changed from events group by 1, 2), n as (select user_id % 8 as user_shard, count(distinct user_id) as n from events group by 1) select day, user_shard, changed, changed > 0.8 * n as rebuild from x join n using (user_shard)",
+    "churn_daily": "select cast(ts as date) as day, count(*) filter (where event_type <> 'error') as upserts, count(*) filter (where event_type = 'error') as deletes from events group by 1",
+}

@@ -62,13 +62,13 @@ def exact_knn(s, d):
 
 
 @query
-def exact_search_50(s, d):
+def exact_search_queries(s, d):
     v = emb(s, d)
     return rounded(exact_search(v, data.query_set(v), K, exclude_self=True))
 
 
 @query
-def range_search_50(s, d):
+def range_search_queries(s, d):
     v = emb(s, d)
     return rounded(range_search(v, data.query_set(v), 1.2))
 
@@ -473,7 +473,7 @@ def doc_vectors(s, d):
 
 @query
 def line_vectors(s, d):
-    return data.line_vec(s, d, 4).select("id", *[F.round(F.get("vec", i), 6).alias(f"x{i}") for i in range(4)])
+    return data.line_vec(s, d).select("id", *[F.round(F.get("vec", i), 6).alias(f"x{i}") for i in range(4)])
 
 
 @query

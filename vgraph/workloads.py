@@ -1 +1,365 @@
+"""The experiments re-expressed on the given tables. Each returns measurements; sizes scale with the tables.
+
+Resident runs take a set that one worker holds (a shard) in one Arrow task each and record what the experiment compares."""
+
+from __future__ import annotations
+
+import time
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from . import data
+from .baseline import builders as B
+from .core.iterate import step
+from .core.ship import ship
+from .exact import exact_search
+from .kernel import descent_np as D
+from .kernel import prune_np as P
+from .kernel import search_np as S
+from .measure.recall import recall
+from .measure.timing import SCHEMA
+from .prune.rules import RECIPES
+from .shard import dispatch as dp
+from .shard import replay as rp
+from .shard.assign import assign_overlap
+from .shard.build import _frame
+from .shard.kmeans import kmeans
+from .shard.overlap import cluster_graph, window_overlap
+from .shard.pipeline import sharded_build
+
 WORKLOADS: dict = {}
+
+
+def workload(f):
+    WORKLOADS[f.__name__] = f
+    return f
+
+
+def in_task(s: SparkSession, named: dict[str, DataFrame], body) -> DataFrame:
+    """``body(x, name)`` -> measurement rows, run inside one Arrow task per vector set: the resident experiments, whose set is a shard.
+
+    Sets of several names run side by side; only measurements come back."""
+    ship(s)
+    out = None
+    kinds = s.createDataFrame([], SCHEMA).schema
+    for name, v in named.items():
+
+        def one(key, t, name=name):
+            _, x = _frame(t)
+            rows = body(x, name) if len(x) > 1 else []
+            return pa.table({f.name: pa.array([r[i] for r in rows], a) for i, (f, a) in enumerate(zip(kinds, (pa.string(), pa.string(), pa.string(), pa.int32(), pa.string(), pa.float64()), strict=True))})
+
+        part = v.select("id", F.col("vec").cast("array<double>").alias("vec")).groupBy(F.lit(0)).applyInArrow(lambda key, t, one=one: one(key, t), kinds)
+        out = part if out is None else out.union(part)
+    return out
+
+
+def table(s: SparkSession, rows: list) -> DataFrame:
+    return s.createDataFrame([(a, b, c, int(k), m, float(x)) for a, b, c, k, m, x in rows], SCHEMA)
+
+
+def sets(s: SparkSession, d: str, dims: tuple[int, ...] = (96, 282)) -> dict[str, DataFrame]:
+    """The mid-dimension set and hashed whole texts of several dimensions."""
+    return {"embeddings": data.embeddings(s, d)} | {f"doc_vec_{n}": data.doc_vec(s, d, n) for n in dims}
+
+
+def hits(x, graph, k: int = 10, pool: int = 64):
+    """Recall of searches for every hundredth row, itself left out, and their seconds."""
+    q = range(0, len(x), data.EVERY)
+    e = S.entry_point(x)
+    truth = D.exact_lists(x, k).to
+    at = time.perf_counter()
+    got = [S.beam(x, graph, x[i], k + 1, pool, [e])[0] for i in q]
+    t = time.perf_counter() - at
+    return float(np.mean([len(set(a.tolist()) & set(truth[i].tolist())) / k for a, i in zip(got, q, strict=True)])), t, len(q)
+
+
+@workload
+def w_profile_breakdown(s, d):
+    """Initialisation and pruning seconds of two original builders, and their bytes."""
+
+    def body(x, ds):
+        rows = []
+        for name in ("detour_rank", "occlusion_strict"):
+            _, t = B.build(x, name, False)
+            rows += [("profile", name, ds, 32, m, t[m]) for m in ("init_s", "prune_s", "evaluations")]
+            rows.append(("profile", name, ds, 32, "bytes", float(x.shape[0] * (x.shape[1] * 4 + RECIPES[name].degree * 4))))
+        return rows
+
+    return in_task(s, {"embeddings": data.embeddings(s, d)}, body)
+
+
+@workload
+def w_recall_trace(s, d):
+    """Graph recall after each iteration of the single-closest, the full and the two-phase initialiser."""
+
+    def body(x, ds):
+        truth, rows = D.exact_lists(x, 32).to, []
+        for name, kw in (("descent_single", {"it1": 8, "it2": 0, "keep": "one"}), ("descent_full", {"it1": 8, "it2": 0, "keep": "all"}), ("two_phase", {"it1": 4, "it2": 4})):
+            at = time.perf_counter()
+
+            def seen(it, g, name=name, at=at):
+                rows.append(("trace", name, ds, 32, f"recall_it{it}", D.recall(g.to, truth)))
+                rows.append(("trace", name, ds, 32, f"seconds_it{it}", time.perf_counter() - at))
+
+            D.two_phase(x, 32, sample=8, trace=seen, **kw)
+        return rows
+
+    return in_task(s, {"embeddings": data.embeddings(s, d)}, body)
+
+
+#: Own toy graph: an anchor with two fresh and four old members on a line; true neighbours of one fresh member lie outside the shared sample.
+TOY = {"points": [0.0, 1.0, -1.0, 2.0, -2.0, 3.0, -3.0, 1.4, 1.6], "lists": {0: [1, 2, 3, 4, 5, 6], 1: [0, 3, 7, 8], 2: [0, 4], 3: [1, 5, 8], 7: [1, 8], 8: [7, 3]}}
+
+
+@workload
+def w_sampling_toy(s, d):
+    """What shared and per-node sampling offer the fresh member 1: shared compares it with the anchor's sample, per-node with its neighbours' lists."""
+    p, lists = TOY["points"], TOY["lists"]
+    shared = sorted({m for m in lists[0] if m != 1}, key=lambda m: (abs(p[m] - p[1]), m))[:2]
+    own = sorted({w for m in lists[1] for w in lists.get(m, []) if w != 1} | set(lists[1]), key=lambda m: (abs(p[m] - p[1]), m))[:2]
+    return s.createDataFrame([("shared", i, m) for i, m in enumerate(shared)] + [("per_node", i, m) for i, m in enumerate(own)], "sampling string, place int, member int")
+
+
+@workload
+def w_build_time(s, d):
+    """Seconds of original and fast builds, their ratio, and recall of a fixed search, for each recipe and set."""
+
+    def body(x, ds):
+        rows = []
+        for name in ("detour_rank", "occlusion_strict", "angle_threshold", "angle_dispersion"):
+            secs = {}
+            for fast in (False, True):
+                at = time.perf_counter()
+                g, _ = B.build(x, name, fast)
+                secs[fast] = time.perf_counter() - at
+                who = "fast" if fast else "original"
+                rows += [("build_time", name, ds, 10, f"{who}_s", secs[fast]), ("build_time", name, ds, 10, f"{who}_recall", hits(x, g)[0])]
+            rows.append(("build_time", name, ds, 10, "speedup", secs[False] / secs[True]))
+        return rows
+
+    return in_task(s, sets(s, d, (96,)), body)
+
+
+@workload
+def w_other_builders(s, d):
+    """Seconds and recall of the incremental, iterated, two-pass relaxed and divide-and-conquer builders."""
+
+    def body(x, ds):
+        rows = []
+        for name, f in (("incremental", lambda: B.incremental(x, 12, 32)), ("incremental_layers", lambda: B.incremental(x, 12, 32, layers=True)), ("iterated", lambda: B.iterated_collect_prune(x, 24, 2)), ("relaxed_two_pass", lambda: B.relaxed_two_pass(x, 24, pool=24)), ("divide_conquer", lambda: B.divide_conquer(x, 12, 100, 3))):
+            at = time.perf_counter()
+            g = f()
+            rows += [("builders", name, ds, 10, "seconds", time.perf_counter() - at), ("builders", name, ds, 10, "recall", hits(x, g)[0])]
+        return rows
+
+    return in_task(s, {"embeddings": data.embeddings(s, d)}, body)
+
+
+@workload
+def w_quality_curve(s, d):
+    """Recall and queries a second by pool size, original against fast, one recipe of each metric."""
+
+    def body(x, ds):
+        rows = []
+        for name in ("detour_rank", "occlusion_strict", "angle_threshold"):
+            for fast in (False, True):
+                g, _ = B.build(x, name, fast)
+                for pool in (16, 32, 64):
+                    hit, t, n = hits(x, g, 10, pool)
+                    who = f"{'fast' if fast else 'original'}_{name}"
+                    rows += [("curve", who, ds, 10, f"recall_pool{pool}", hit), ("curve", who, ds, 10, f"qps_pool{pool}", n / t)]
+        return rows
+
+    return in_task(s, {"embeddings": data.embeddings(s, d)}, body)
+
+
+@workload
+def w_sharded_build(s, d):
+    """Phase seconds of the sharded build: many small shards with ordered merging against few large ones."""
+    v = step(data.embeddings_copies(s, d, 2))
+    rows = []
+    for c, overlap in ((12, True), (12, False), (3, True)):
+        b = sharded_build(v, RECIPES["occlusion_relaxed"].but(mode="1-hop", candidates=32), c, 2, 4, 32, {"method": "two_phase", "it1": 4, "it2": 2}, overlap=overlap, rounds=3)
+        rows += [("sharded", f"clusters_{c}_{'overlap' if overlap else 'in_turn'}", "embeddings_x2", 32, f"{n}_s", t) for n, t in b.seconds.items()]
+    return table(s, rows)
+
+
+@workload
+def w_sharded_quality(s, d):
+    """Search recall of merged indexes from many and from few shards, and the gap."""
+    from .search.beam import merged_search
+
+    v = step(data.embeddings_copies(s, d, 2))
+    q = data.query_set(v)
+    truth = step(exact_search(v, q, 10))
+    out = {}
+    for c in (8, 3):
+        b = sharded_build(v, RECIPES["occlusion_relaxed"].but(mode="1-hop", candidates=32), c, 2, 4, 32, {"method": "exact"}, rounds=3)
+        out[c] = recall(truth, merged_search(v, b.edges, b.assigned, b.centroids, q, 10, probe=c, pool=64), 10).first().recall
+    return table(s, [("sharded_quality", f"clusters_{c}", "embeddings_x2", 10, "recall", r) for c, r in out.items()] + [("sharded_quality", "gap", "embeddings_x2", 10, "recall", out[3] - out[8])])
+
+
+@workload
+def w_scaling(s, d):
+    """Local build seconds with the shards dealt over one, two and four tasks."""
+    from .measure.timing import timed
+    from .shard.build import build_local
+
+    v = step(data.embeddings(s, d))
+    a = step(assign_overlap(v, kmeans(v, 8, 3), 2))
+    rows = []
+    for slots in (1, 2, 4):
+        one = a.withColumn("shard", F.col("shard")).repartition(slots, "shard")
+        t = timed(lambda one=one: build_local(v, one, "detour_rank", 24, {"it1": 4, "it2": 0}))
+        rows.append(("scaling", f"slots_{slots}", "embeddings", 24, "seconds", t))
+    return table(s, rows)
+
+
+@workload
+def w_phase_ablation(s, d):
+    """Recall of shared rounds only, fine rounds only, the single-closest baseline and both phases."""
+
+    def body(x, ds):
+        truth, rows = D.exact_lists(x, 32).to, []
+        for name, kw in (("phase1", {"it1": 8, "it2": 0}), ("phase2", {"it1": 0, "it2": 8}), ("single", {"it1": 8, "it2": 0, "keep": "one"}), ("two_phase", {"it1": 4, "it2": 4}), ("two_phase_long", {"it1": 8, "it2": 8})):
+            at = time.perf_counter()
+            g = D.two_phase(x, 32, sample=8, **kw)
+            rows += [("ablation", name, ds, 32, "recall", D.recall(g.to, truth)), ("ablation", name, ds, 32, "seconds", time.perf_counter() - at), ("ablation", name, ds, 32, "evaluations", float(g.evaluations))]
+        return rows
+
+    return in_task(s, sets(s, d, (282,)), body)
+
+
+@workload
+def w_split_sweep(s, d):
+    """Recall and seconds of splits of 8, 12 and 16 iterations between the phases."""
+
+    def body(x, ds):
+        truth, rows = D.exact_lists(x, 32).to, []
+        for total in (8, 12, 16):
+            for it1 in range(0, total + 1, max(2, total // 4)):
+                at = time.perf_counter()
+                g = D.two_phase(x, 32, it1, total - it1, 8)
+                rows += [("split", f"{it1}+{total - it1}", ds, 32, "recall", D.recall(g.to, truth)), ("split", f"{it1}+{total - it1}", ds, 32, "seconds", time.perf_counter() - at)]
+        return rows
+
+    return in_task(s, {"embeddings": data.embeddings(s, d)}, body)
+
+
+@workload
+def w_prune_time(s, d):
+    """Pruning seconds, serial and per-candidate against wavefront, of the same input graph, and whether the outputs agree."""
+
+    def body(x, ds):
+        to, rows = D.exact_lists(x, 32).to, []
+        cand = list(to)
+        for name, metric, thres, degree in (("occlusion_strict", "dist", 1.0, 50), ("occlusion_relaxed", "dist", 1.2, 32), ("angle_threshold", "angle", 60.0, 50)):
+            out = {}
+            for kernel in ("serial", "wavefront"):
+                at = time.perf_counter()
+                kept, tests = P.prune_lists(x, cand, metric, thres, degree, kernel=kernel)
+                rows += [("prune_time", name, ds, 32, f"{kernel}_s", time.perf_counter() - at), ("prune_time", name, ds, 32, f"{kernel}_tests", float(tests))]
+                out[kernel] = kept
+            rows.append(("prune_time", name, ds, 32, "same", float(all(np.array_equal(a, b) for a, b in zip(out["serial"], out["wavefront"], strict=True)))))
+        for name, f in (("angle_dispersion", lambda: P.prune_lists(x, cand, "angle", 0.0, 32)), ("detour_rank", lambda: P.detour_prune(to, 16))):
+            at = time.perf_counter()
+            f()
+            rows.append(("prune_time", name, ds, 32, "fast_s", time.perf_counter() - at))
+        return rows
+
+    return in_task(s, sets(s, d), body)
+
+
+@workload
+def w_kernel_compare(s, d):
+    """Work of the two detour kernels: greatest and mean scans of a unit, by list length."""
+    rows = []
+    for k in (8, 16, 32, 64):
+        for kernel in ("per_candidate", "paired"):
+            w = P.work(k, kernel)
+            rows += [("kernels", kernel, "", k, "max_scans", max(w)), ("kernels", kernel, "", k, "mean_scans", sum(w) / len(w)), ("kernels", kernel, "", k, "units", len(w))]
+    return table(s, rows)
+
+
+def _orders(w, c, n):
+    return {"sequential": dp.order_sequential(c, n), "random": dp.order_random(c, n), "locality": dp.order_locality_window(w, c, n), "greedy": dp.overlap_dispatch(w, c, n)}
+
+
+@workload
+def w_cache_hit(s, d):
+    """Cache hit ratio, I/O and window objective of four dispatch orders on the clusterable and on the isotropic set."""
+    rows = []
+    for ds, v in (("line_vec", data.line_vec(s, d)), ("embeddings", data.embeddings(s, d))):
+        v = step(v)
+        a = step(assign_overlap(v, kmeans(v, 20, 4), 2))
+        g = step(cluster_graph(a))
+        w = dp.weights(g)
+        for name, order in _orders(w, 20, 4).items():
+            o = dp.as_table(s, order)
+            log = step(rp.replay_cache(a, o))
+            h, io = rp.hit_ratio(log).first(), rp.io_ops(log).first()
+            rows += [("cache", name, ds, 4, "ratio_revisits", h.ratio_revisits or 0.0), ("cache", name, ds, 4, "ratio_all", h.ratio_all or 0.0), ("cache", name, ds, 4, "cached_io", io.cached_io), ("cache", name, ds, 4, "baseline_io", io.baseline_exact), ("cache", name, ds, 4, "objective", window_overlap(o, g, 4).first().objective)]
+    return table(s, rows)
+
+
+@workload
+def w_merge_compare(s, d):
+    """Seconds of ordered merging and of writing everything first, and whether the merged graphs are the same."""
+    from .measure.timing import timed
+    from .shard.build import build_local
+    from .shard.merge import merge_ordered, merge_via_disk
+
+    v = step(data.embeddings(s, d))
+    a = step(assign_overlap(v, kmeans(v, 12, 3), 2))
+    local = step(build_local(v, a, RECIPES["detour_rank"].but(degree=16), 24, {"method": "exact"}))
+    o = dp.as_table(s, dp.overlap_dispatch(dp.weights(cluster_graph(a)), 12, 4))
+    x, y = merge_ordered(local, o, 4, 16), merge_via_disk(local, 16)
+    same = x.select("src", "dst").exceptAll(y.select("src", "dst")).count() + y.select("src", "dst").exceptAll(x.select("src", "dst")).count() == 0
+    return table(s, [("merge", "ordered", "embeddings", 16, "seconds", timed(lambda: merge_ordered(local, o, 4, 16))), ("merge", "via_disk", "embeddings", 16, "seconds", timed(lambda: merge_via_disk(local, 16))), ("merge", "both", "embeddings", 16, "same", float(same))])
+
+
+@workload
+def w_dispatch_time(s, d):
+    """Seconds to plan the order of 400 clusters of the clusterable set."""
+    v = step(data.line_vec(s, d))
+    rows_ = v.orderBy(F.xxhash64("id"), "id").limit(400).select("vec").collect()
+    a = assign_overlap(v, np.array([r[0] for r in rows_]), 2)
+    w = dp.weights(cluster_graph(a))
+    at = time.perf_counter()
+    dp.overlap_dispatch(w, len(rows_), 16)
+    return table(s, [("dispatch", "greedy", "line_vec", 16, "plan_s", time.perf_counter() - at), ("dispatch", "greedy", "line_vec", 16, "edges", sum(map(len, w.values())) / 2)])
+
+
+@workload
+def w_dim_sweep(s, d):
+    """Serial and wavefront pruning seconds by dimension."""
+
+    def body(x, ds):
+        to, rows = D.exact_lists(x, 24).to, []
+        for kernel in ("serial", "wavefront"):
+            at = time.perf_counter()
+            P.prune_lists(x, list(to), "dist", 1.0, 50, kernel=kernel)
+            rows.append(("dims", kernel, ds, x.shape[1], "prune_s", time.perf_counter() - at))
+        return rows
+
+    return in_task(s, sets(s, d, (96, 128, 282, 960)), body)
+
+
+@workload
+def w_rebuild_trigger(s, d):
+    """(day, user_shard, changed, rebuild): share of vectors changed per shard and day of the event feed; a shard over the bound is rebuilt."""
+    e = data.table(s, d, "events")
+    day = e.groupBy(F.to_date("ts").alias("day"), (F.col("user_id") % 8).alias("user_shard")).agg(F.countDistinct("user_id").alias("changed"))
+    size = e.groupBy((F.col("user_id") % 8).alias("user_shard")).agg(F.countDistinct("user_id").alias("n"))
+    return day.join(size, "user_shard").select("day", "user_shard", "changed", (F.col("changed") > 0.8 * F.col("n")).alias("rebuild"))
+
+
+@workload
+def churn_daily(s, d):
+    """(day, upserts, deletes) of the feed: errors delete, everything else upserts."""
+    e = data.table(s, d, "events")
+    return e.groupBy(F.to_date("ts").alias("day")).agg(F.count_if(F.col("event_type") != "error").alias("upserts"), F.count_if(F.col("event_type") == "error").alias("deletes"))
