@@ -170,7 +170,7 @@ ORACLES = {
     "window_objective": f"with {assigned()}, {CG} select coalesce(sum(w), 0) as objective from cg where b - a < {CACHE}",
     "merge_of_locals": f"with {MERGED}",
     "merge_of_locals_ordered": f"with {MERGED}",
-    "doc_vectors": "with t as (select doc_id as id, text as t from documents where length(text) >= 3), g as (select id, (((unicode(substr(t, i, 1)) * 31 + unicode(substr(t, i + 1, 1))) * 31 + unicode(substr(t, i + 2, 1))) % 1000003) % 96 as p from t, unnest(range(1, length(t) - 1)) u(i)), c as (select id, p, count(*) as n from g group by 1, 2) select id, cast(p as integer) as p, round(n / sqrt(sum(n * n) over (partition by id)), 6) as x from c",
+    "doc_vectors": "with t as (select doc_id as id, list_transform(string_split(text, ''), lambda c: unicode(c)) as u from documents where length(text) >= 3), g as (select id, (((u[i] * 31 + u[i + 1]) * 31 + u[i + 2]) % 1000003) % 96 as p from t, unnest(range(1, len(u) - 1)) r(i)), c as (select id, p, count(*) as n from g group by 1, 2) select id, cast(p as integer) as p, round(n / sqrt(sum(n * n) over (partition by id)), 6) as x from c",
     "line_vectors": "select row_number() over (order by l_orderkey, l_linenumber, l_partkey, l_suppkey, l_shipdate, l_extendedprice, l_quantity) - 1 as id, round(l_quantity / 50, 6) as x0, round(l_extendedprice / (select max(l_extendedprice) from lineitem), 6) as x1, round(l_discount * 10, 6) as x2, round(l_tax * 12.5, 6) as x3 from lineitem",
     "event_vectors": "select user_id as id, " + ", ".join(f"round(cast(count(*) filter (where event_type = '{k}') as double), 4) as x{i}" for i, k in enumerate(("view", "click", "purchase", "signup", "error"))) + ", round(avg(value), 4) as x5 from events group by 1",
 }

@@ -43,16 +43,20 @@ def in_task(s: SparkSession, named: dict[str, DataFrame], body) -> DataFrame:
 
     Sets of several names run side by side; only measurements come back."""
     ship(s)
-    out = None
     kinds = s.createDataFrame([], SCHEMA).schema
-    for name, v in named.items():
+    arrow = (pa.string(), pa.string(), pa.string(), pa.int32(), pa.string(), pa.float64())
 
-        def one(key, t, name=name):
+    def of(name):
+        def one(key, t):
             _, x = _frame(t)
             rows = body(x, name) if len(x) > 1 else []
-            return pa.table({f.name: pa.array([r[i] for r in rows], a) for i, (f, a) in enumerate(zip(kinds, (pa.string(), pa.string(), pa.string(), pa.int32(), pa.string(), pa.float64()), strict=True))})
+            return pa.table({f.name: pa.array([r[i] for r in rows], a) for i, (f, a) in enumerate(zip(kinds, arrow, strict=True))})
+
+        return one
 
-        part = v.select("id", F.col("vec").cast("array<double>").alias("vec")).groupBy(F.lit(0)).applyInArrow(lambda key, t, one=one: one(key, t), kinds)
+    out = None
+    for name, v in named.items():
+        part = v.select(F.lit(0).alias("shard"), "id", F.col("vec").cast("array<double>").alias("vec")).groupBy("shard").applyInArrow(of(name), kinds)
         out = part if out is None else out.union(part)
     return out
 
