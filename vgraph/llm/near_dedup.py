@@ -27,6 +27,8 @@ from .components import components
 WORDS, SIMILARITY = 5, 0.8
 #: 28 bands of 5 rows: a pair of similarity 0.8 shares a band with probability 0.99998.
 BANDS, ROWS = 28, 5
+#: Further heads of a bucket that members outside its first head's group are compared with.
+HEADS = 3
 
 
 def shells(keys: np.ndarray, weight: np.ndarray, doc: np.ndarray, limit: np.ndarray):
@@ -146,10 +148,13 @@ def sketch(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, k: int = WORDS
     return map_rows(texts(docs), begin, struct(doc_id=LONG, key=BIN, bands=T.ArrayType(LONG)), size=128)
 
 
-def verified(pairs: DataFrame, docs: DataFrame, least: float, k: int) -> DataFrame:
-    """The pairs (a, b) whose whole texts reach the similarity. Each document's text moves once."""
-    wanted = pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct()
-    found = stored(texts(docs).join(wanted, "doc_id", "left_semi").groupBy("doc_id").agg(F.first("text").alias("text")))
+def fetched(docs: DataFrame, ids: DataFrame) -> DataFrame:
+    """(doc_id, text) of the given ids, stored: the one time that texts are shuffled, by the same plan at every size."""
+    return stored(texts(docs).hint("merge").join(ids, "doc_id", "left_semi").groupBy("doc_id").agg(F.first("text").alias("text")))
+
+
+def verified(pairs: DataFrame, found: DataFrame, least: float, k: int) -> DataFrame:
+    """The pairs (a, b) whose whole texts, in ``found``, reach the similarity."""
     both = pairs.join(found.select(F.col("doc_id").alias("a"), F.col("text").alias("ta")), "a").join(found.select(F.col("doc_id").alias("b"), F.col("text").alias("tb")), "b")
 
     def begin():
@@ -178,13 +183,13 @@ def elements(memo: WordHash, text: str, k: int) -> list[int]:
     return keyed(np.repeat(u, c), copy.astype(np.uint64)).view(np.int64).tolist()
 
 
-def crossing(members: DataFrame, docs: DataFrame, t: float, k: int) -> DataFrame:
+def crossing(members: DataFrame, found: DataFrame, t: float, k: int) -> DataFrame:
     """(a, b), a > b: every pair of ``members`` (rep, comp) of different groups that may reach the similarity, none left out.
 
     Cells are ordered by how few members hold them. Two sets of sizes x <= y reach Jaccard t only if they share o = t / (1 + t) * (x + y)
     cells, hence one among the first x - o + 1 of the one and y - o + 1 of the other: members meet on such cells only. A
     member with many cells of its own, as far edited copies have, meets nobody."""
-    t_ = texts(docs).join(members.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi").groupBy("doc_id").agg(F.first("text").alias("text"))
+    t_ = found.join(members.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi")
 
     def begin():
         memo = WordHash()
@@ -225,19 +230,30 @@ def near_duplicates(docs: DataFrame, similarity: float = SIMILARITY, words: int
     heads = rows_.groupBy("band").agg(F.min("rep").alias("head"), F.count(F.lit(1)).alias("n")).where("n > 1").select("band", "head")
     stars = stored(rows_.join(heads, "band").where("rep <> head").select("band", F.col("rep").alias("a"), F.col("head").alias("b")))
     tried = stored(stars.select("a", "b").distinct())
-    links = stored(verified(tried, docs, similarity, words).select("a", "b"))
+    found = fetched(docs, tried.select(F.col("a").alias("doc_id")).union(tried.select("b")).distinct())
+    links = stored(verified(tried, found, similarity, words).select("a", "b"))
     comp = stored(components(links))
-    # buckets in which some member is in another group than the least member
-    ca, cb = comp.select(F.col("node").alias("a"), F.col("comp").alias("ga")), comp.select(F.col("node").alias("b"), F.col("comp").alias("gb"))
-    grouped = stars.join(ca, "a", "left").join(cb, "b", "left").select("band", "a", "b", F.coalesce("ga", "a").alias("ga"), F.coalesce("gb", "b").alias("gb"))
-    grouped = stored(grouped)
-    odd = grouped.where("ga <> gb").select("band").distinct()
-    if odd.take(1):
-        open_ = grouped.join(odd, "band", "left_semi")
-        open_ = stored(open_.select(F.col("a").alias("rep"), F.col("ga").alias("comp")).union(open_.select("b", "gb")).distinct())
-        rest = stored(crossing(open_, docs, similarity, words).join(tried, ["a", "b"], "left_anti"))
+
+    def open_buckets() -> DataFrame:
+        """Stars of the buckets whose members are in several groups: (band, a, b, ga, gb)."""
+        ca, cb = comp.select(F.col("node").alias("a"), F.col("comp").alias("ga")), comp.select(F.col("node").alias("b"), F.col("comp").alias("gb"))
+        g = stored(stars.join(ca, "a", "left").join(cb, "b", "left").select("band", "a", "b", F.coalesce("ga", "a").alias("ga"), F.coalesce("gb", "b").alias("gb")))
+        return g.join(g.where("ga <> gb").select("band").distinct(), "band", "left_semi")
+
+    g = stored(open_buckets())
+    if g.take(1):
+        # more heads for the members outside the head's group: again a few comparisons a member
+        other = g.where("ga = gb").groupBy("band").agg(*[F.min(F.struct(F.xxhash64("a", F.lit(j)), F.col("a").alias("h"))).alias(f"h{j}") for j in range(HEADS)])
+        again = g.where("ga <> gb").select("band", "a").join(other, "band").select("a", F.explode(F.array(*[F.col(f"h{j}.h") for j in range(HEADS)])).alias("b"))
+        again = stored(again.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct().join(tried, ["a", "b"], "left_anti"))
+        links = stored(links.union(verified(again, found, similarity, words).select("a", "b")))
+        tried = tried.union(again)
+        comp = stored(components(links))
+        g = stored(open_buckets())
+        open_ = stored(g.select(F.col("a").alias("rep"), F.col("ga").alias("comp")).union(g.select("b", "gb")).distinct())
+        rest = stored(crossing(open_, found, similarity, words).join(tried, ["a", "b"], "left_anti"))
         if rest.take(1):
-            more = stored(verified(rest, docs, similarity, words).select("a", "b"))
+            more = stored(verified(rest, found, similarity, words).select("a", "b"))
             comp = stored(components(links.union(more)))
     out = member.join(comp.withColumnRenamed("node", "rep"), "rep", "left").select("doc_id", F.coalesce("comp", "rep").alias("class_id"), F.col("rep").alias("exact_id"))
     return out.groupBy("doc_id").agg(F.min("class_id").alias("class_id"), F.min("exact_id").alias("exact_id"))
