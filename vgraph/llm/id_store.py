@@ -29,7 +29,7 @@ from pyspark.sql.window import Window
 
 from vgraph.core.ship import ship
 
-from .common import BIN, LONG, map_rows, mix64, scratch, stored, struct, texts, unstore
+from .common import BIN, LONG, map_rows, mix64, rows_of, scratch, stored, struct, texts, unstore
 
 END = 1
 #: White space beyond ASCII and the separators that str.split also cuts at.
@@ -51,15 +51,18 @@ def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
 
 
 class WordIds:
-    """Ids of whole texts, word by word through a bounded memo; unseen words go to the tokenizer in one call."""
+    """Ids of whole texts, word by word through a bounded memo; unseen words go to the tokenizer in one call.
 
-    def __init__(self, path: str, most: int = 700_000):
+    The memo has two generations: when the young one is full it becomes the old one, whose words come back as they are met."""
+
+    def __init__(self, path: str, most: int = 450_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
         self.width = 2 if self.tok.get_vocab_size() <= 1 << 16 else 4
         self.memo: dict[str, bytes] = {}
+        self.old: dict[str, bytes] = {}
         self.most = most
 
     def _each(self, words: list[str]) -> list[bytes]:
@@ -76,8 +79,14 @@ class WordIds:
         parts = [PART.findall(t) if ODD_SPACE.search(t) else t.split() for t in batch]
         memo = self.memo
         if len(memo) > self.most:
-            memo.clear()
-        new = list(set(chain.from_iterable(parts)).difference(memo))
+            self.old, self.memo = memo, {}
+            memo = self.memo
+        new = set(chain.from_iterable(parts)).difference(memo)
+        if self.old:
+            known = new.intersection(self.old)
+            memo.update(zip(known, map(self.old.__getitem__, known), strict=True))
+            new -= known
+        new = list(new)
         tailed = [m for m in map(TAILED.fullmatch, new) if m]
         if tailed:
             new_set = {x for m in tailed for x in m.groups()}.difference(memo)
@@ -190,9 +199,9 @@ def _pack(batches):
         index, recipes, payload, roots, total = [], [], [], [], 0
         return pa.RecordBatch.from_pylist([row], schema=schema)
 
-    for b in batches:
-        for r in range(b.num_rows):
-            x = {n: b.column(i)[r].as_py() for i, n in enumerate(b.schema.names)}
+    for cols in chain.from_iterable(map(rows_of, batches)):
+        for values in zip(*cols.values(), strict=True):
+            x = dict(zip(cols, values, strict=True))
             if x["kind"] == 0:
                 shared = {s["seq"]: LENT if s["own"] else BORROWED for s in x["shared"]}
                 continue
@@ -303,8 +312,12 @@ def read(spark: SparkSession, path: str, with_ids: bool = False) -> DataFrame:
         found = {}
         for i in range(len(cols["part"])):
             row = {n: v[i] for n, v in cols.items()}
-            for _, rs, ps in verify(row):
-                found |= {bytes(r[0]): p for r, p in zip(rs, ps, strict=True) if r[2] == LENT}
+            # the chunks were held against their digests by the other pass over the packs
+            r, w = np.frombuffer(row["recipes"], RECIPE), row["width"]
+            here = r[r["flag"] != BORROWED]
+            end = np.cumsum(here["ids"].astype(np.int64)) * w
+            for k in np.flatnonzero(here["flag"] == LENT).tolist():
+                found[bytes(here["digest"][k])] = row["payload"][int(end[k]) - int(here["ids"][k]) * w : int(end[k])]
         return {"digest": list(found), "lent": list(found.values())}
 
     found = stored(map_rows(packs, lambda: rebuild, FOUND, size=4))
