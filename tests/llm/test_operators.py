@@ -109,6 +109,15 @@ def test_language_held_out(spark, sf):
     assert all((zlib.crc32(str(r.doc_id).encode()) % 4 == 2) for r in p)
 
 
+def test_language_memo_bound_changes_nothing(spark):
+    """Common words come back in every slice of one task, whose distinct words exceed the bound many times over."""
+    docs = [(i, f"the common words of every text and t{'abcdefghij'[i % 10]}{'klmnopqrst'[i // 10 % 10]}{'uvwxyz'[i // 100]} here", "en" if i % 2 else "fr") for i in range(600)]
+    d = spark.createDataFrame(docs, SCHEMA + ", lang string").coalesce(1)
+    f = lang_id.fit(d)
+    rows_of = lambda most: sorted((r.doc_id, r.lang_pred, r.score) for r in lang_id.predict(d, f, most).collect())
+    assert len(rows_of(50)) == 600 and rows_of(50) == rows_of(300_000)
+
+
 def test_bloom_false_positive_correction():
     f = lang_id.Filters(["a", "b"], np.zeros(64, np.uint64), np.array([0.1, 0.0]))
     assert (f.masks(lang_id.hashed(["xy", "z"])) == 0).all()

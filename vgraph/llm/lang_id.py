@@ -105,9 +105,13 @@ class WordCounts(dict):
         super().__init__()
         self.f, self.most = f, most
 
-    def learn(self, words: list[str]) -> None:
+    def meet(self, words: set[str]) -> None:
+        """Hold every one of ``words``; a memo past its bound is emptied before it is asked what it lacks."""
         if len(self) > self.most:
             self.clear()
+        self.learn(list(words.difference(self)))
+
+    def learn(self, words: list[str]) -> None:
         for at in range(0, len(words), 2048):
             some = words[at : at + 2048]
             each = [grams(w) for w in some]
@@ -122,18 +126,19 @@ class WordCounts(dict):
                 self[w] = v
 
 
-def predict(docs: DataFrame, f: Filters) -> DataFrame:
+def predict(docs: DataFrame, f: Filters, most: int = 300_000) -> DataFrame:
     """(doc_id, held_out, lang_pred, score) for every row: ``und`` and 0 where the text is null or has no letter, or nothing was learned.
 
-    score is the winner's corrected count over the sum of all corrected counts; ties go to the first name."""
+    score is the winner's corrected count over the sum of all corrected counts; ties go to the first name. ``most`` bounds the words
+    remembered between slices and changes no result."""
 
     def begin():
-        memo = WordCounts(f)
+        memo = WordCounts(f, most)
         n = len(f.langs)
 
         def each(cols):
             sets = [set(LETTERS.findall(t.lower())) for t in cols["text"]]
-            memo.learn(list(set().union(*sets).difference(memo)))
+            memo.meet(set().union(*sets))
             langs, scores = [], []
             for s in sets:
                 if not s or not n:
