@@ -232,6 +232,16 @@ def test_planted_passages(spark):
     assert all(x.identity >= 0.8 and x.end - x.start >= 50 for x in got)
 
 
+def test_passages_that_repeat_themselves(spark):
+    r = random.Random(12)
+    fresh = lambda n: [f"{r.randrange(10**7):x}" for _ in range(n)]
+    line, other = fresh(10), fresh(7)
+    docs = {1: fresh(40) + ["word"] * 60 + fresh(40), 2: fresh(90) + ["word"] * 80 + fresh(5), 3: fresh(30) + line * 8 + fresh(30), 4: fresh(70) + line * 8 + fresh(9), 5: other + fresh(90) + other * 9 + fresh(8), 6: fresh(3) + other * 10, 7: fresh(60) + line, 8: fresh(30) + ["word"] * 20}
+    got = passages.repeated(spark.createDataFrame([(i, " ".join(w)) for i, w in docs.items()], SCHEMA)).collect()
+    assert {(x.doc_id, x.match_doc_id) for x in got} == {(2, 1), (4, 3), (6, 5)}
+    assert {(x.start, x.end, x.match_start, x.match_end) for x in got if x.doc_id == 4} >= {(70, 150, 30, 110)}
+
+
 # -- op9 ---------------------------------------------------------------------------------------------
 def test_words_are_the_tokenizers():
     w = id_store.WordIds(id_store.tokenizer_path(), 300)
