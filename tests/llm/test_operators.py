@@ -242,6 +242,21 @@ def test_passages_that_repeat_themselves(spark):
     assert {(x.start, x.end, x.match_start, x.match_end) for x in got if x.doc_id == 4} >= {(70, 150, 30, 110)}
 
 
+def test_passages_whose_parts_were_held_before(spark):
+    """C and D share 70 words; earlier documents hold either half, and others between them hold pieces, so seed links scatter."""
+    r = random.Random(21)
+    fresh = lambda n: [f"{r.randrange(10**7):x}" for _ in range(n)]
+    docs, want = {}, set()
+    for g in range(6):
+        p, at = fresh(70), 100 * g
+        docs |= {at + 1: fresh(20) + p[:36] + fresh(20), at + 2: fresh(9) + p[34:] + fresh(40), at + 3: fresh(50) + p + fresh(20), at + 9: fresh(10) + p + fresh(60)}
+        docs |= {at + 4: fresh(30) + p[:30] + fresh(30), at + 5: fresh(30) + p[25:48] + fresh(30), at + 6: fresh(30) + p[45:] + fresh(30)}
+        want |= {at + 3, at + 9}
+    got = passages.repeated(spark.createDataFrame([(i, " ".join(w)) for i, w in docs.items()], SCHEMA)).collect()
+    assert {x.doc_id for x in got} | {x.match_doc_id for x in got} == want
+    assert all(x.end - x.start == x.n_same == 70 for x in got)
+
+
 # -- op9 ---------------------------------------------------------------------------------------------
 def test_words_are_the_tokenizers():
     w = id_store.WordIds(id_store.tokenizer_path(), 300)
