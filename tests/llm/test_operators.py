@@ -257,6 +257,34 @@ def test_passages_whose_parts_were_held_before(spark):
     assert all(x.end - x.start == x.n_same == 70 for x in got)
 
 
+def test_recall_of_edited_passages(spark):
+    """Against brute force over every diagonal of every pair: substitutions of a twentieth to a fifth of 55 to 100 words."""
+    r = random.Random(33)
+    fresh = lambda n: [f"{r.randrange(10**7):x}" for _ in range(n)]
+    docs, rate = {}, {}
+    for g in range(120):
+        p = fresh(r.choice([55, 70, 100]))
+        rate[2 * g + 1] = (0.05, 0.1, 0.15, 0.2)[g % 4]
+        q = list(p)
+        for i in r.sample(range(len(p)), int(rate[2 * g + 1] * len(p))):
+            q[i] = fresh(1)[0]
+        docs |= {2 * g: fresh(20) + p + fresh(25), 2 * g + 1: fresh(35) + q + fresh(15)}
+
+    def brute(x, y):
+        same = np.array(x)[:, None] == np.array(y)[None, :]
+        for d in range(49 - len(x), len(y) - 48):
+            c = np.concatenate([[0], np.cumsum(np.diagonal(same, d) - 0.8)])
+            if any((c[n:] - c[:-n] >= -1e-9).any() for n in range(50, len(c))):
+                return True
+        return False
+
+    want = {i for i in rate if brute(docs[i - 1], docs[i])}
+    got = {x.doc_id for x in passages.repeated(spark.createDataFrame([(i, " ".join(w)) for i, w in docs.items()], SCHEMA)).collect()}
+    assert got <= want
+    recall = {v: np.mean([i in got for i in want if rate[i] == v]) for v in (0.05, 0.1, 0.15, 0.2)}
+    assert min(recall[0.05], recall[0.1]) == 1 and recall[0.15] >= 0.97 and recall[0.2] >= 0.9, recall
+
+
 # -- op9 ---------------------------------------------------------------------------------------------
 def test_words_are_the_tokenizers():
     w = id_store.WordIds(id_store.tokenizer_path(), 300)
