@@ -40,21 +40,48 @@ def library():
     return sentencepiece.SentencePieceProcessor(model_file=piece_codec.model_path()), piece_codec.Codec(piece_codec.model_path(), memo=500)
 
 
+def ids_of(codec, text):
+    return np.frombuffer(codec.encode(text), "<u4").tolist()
+
+
 @given(st.text(alphabet=st.one_of(st.sampled_from("  \n\tabcdethe and of ing€中文éß\x00🎉.,;!?12==//__²"), st.characters(exclude_categories=["Cs"])), max_size=80))
 @settings(max_examples=300, deadline=None)
 def test_pieces_are_the_librarys(library, text):
     if "▁" in text:
         return
     lib, own = library
-    assert own.encode(text) == lib.encode(text)
-    assert own.decode(own.encode(text)) == text
+    assert ids_of(own, text) == lib.encode(text)
+    assert own.decode(ids_of(own, text)) == text
 
 
 def test_streaming_window_equals_library_on_long_runs(library):
     lib, own = library
     for text in ("abcdefgh" * 3000, " " * 777 + "end", "ab" * 999 + "中" * 50 + " " * 40 + "the" * 500):
-        assert own.encode(text) == lib.encode(text)
-        assert "".join(own.stream("▁" + text.replace(" ", "▁"))) == "▁" + text.replace(" ", "▁")
+        assert ids_of(own, text) == lib.encode(text)
+        assert "".join(own.lattice("▁" + text.replace(" ", "▁"))) == "▁" + text.replace(" ", "▁")
+
+
+def test_every_text_is_streamed_in_a_bounded_window():
+    """Without a memo the lattice walks every character; its window stays a few pieces long on a million and a half characters without a space."""
+    own = piece_codec.Codec(piece_codec.model_path(), memo=0)
+    r = random.Random(3)
+    texts = [" ".join(r.choice(["the", "of", "a", "stream", "zq"]) for _ in range(50)) for _ in range(20)]
+    for t in texts:
+        own.encode(t)
+    assert own.streamed == sum(len(t) + 1 for t in texts) and own.commits >= own.streamed / 32
+    own.streamed, own.commits = 0, 0
+    long = "".join(r.choice("etaoinshrdlu") for _ in range(1_500_000))
+    assert own.decode(ids_of(own, long)) == long
+    assert own.streamed == len(long) + 1 and own.commits > len(long) / 100 and own.widest < 1000
+
+
+def test_emptied_memo_changes_nothing(library):
+    lib, own = library  # a memo of 500
+    r = random.Random(7)
+    words = ["".join(r.choice("etaoinshrdlucm") for _ in range(r.randint(1, 9))) for _ in range(6000)]
+    for i in range(0, 6000, 300):
+        t = " ".join(["the common words of every text", *words[i : i + 300]])
+        assert ids_of(own, t) == lib.encode(t)
 
 
 def test_score_objective_against_whole_lattice(library):
@@ -65,7 +92,7 @@ def test_score_objective_against_whole_lattice(library):
         best = [0.0]
         for i in range(1, len(t) + 1):
             best.append(max(best[s] + own.score.get(t[s:i], own.unknown if i - s == 1 else -1e18) for s in range(max(0, i - own.longest), i)))
-        got = list(own.stream(t, every=16))
+        got = list(own.lattice(t, every=16))
         assert "".join(got) == t
         assert abs(sum(own.score.get(p, own.unknown) for p in got) - best[-1]) <= 1e-6 * max(1, abs(best[-1]))
 

@@ -2,12 +2,14 @@
 
 Executors may be lost at any time, so intermediate tables are written as Parquet under the
 folder that ``spark.checkpoint.dir`` names (shared by driver and executors) and read back.
-Only where that setting is absent, as in tests, a temporary folder is made.
+Only on a local master without that setting, as in tests, a temporary folder is made.
 """
 
 from __future__ import annotations
 
 import atexit
+import contextlib
+import ctypes
 import re
 import tempfile
 import uuid
@@ -15,6 +17,7 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -24,6 +27,8 @@ from vgraph.core.ship import ship
 
 #: A word is a run of anything but space, tab, line feed, vertical tab, form feed, carriage return.
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
+#: Rows of an Arrow batch between the JVM and Python.
+BATCH = "2500"
 #: Documents per slice inside an Arrow batch: bounds the Python objects alive at once.
 SLICE = 256
 _M = np.uint64(0xFFFFFFFFFFFFFFFF)
@@ -33,6 +38,8 @@ def scratch(spark: SparkSession) -> str:
     """A fresh folder under the shared checkpoint folder."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if not spark.sparkContext.master.startswith("local["):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
         base = getattr(spark, "_vgraph_scratch", None)
         if base is None:
             base = spark._vgraph_scratch = tempfile.mkdtemp(prefix="vgraph-")
@@ -69,6 +76,32 @@ def texts(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text"), F.lit("")).alias("text"))
 
 
+def unused(names, *wanted: str) -> list[str]:
+    """Column names like ``wanted`` that no column of ``names`` has, in any case of letters."""
+    taken, out = {n.lower() for n in names}, []
+    for w in wanted:
+        while w.lower() in taken:
+            w += "_"
+        taken.add(w.lower())
+        out.append(w)
+    return out
+
+
+def release() -> None:
+    """Give freed memory back to the system: idle Python workers stay alive beside other stages' tasks."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):  # only where the C library has it
+        ctypes.CDLL(None).malloc_trim(0)
+
+
+def light(spark: SparkSession) -> None:
+    """Arrow batches of whole texts hold fewer rows than the default, unless the session has its own setting."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if spark.conf.get(key) == "10000":
+        spark.conf.set(key, BATCH)
+    ship(spark)
+
+
 def rows_of(batch: pa.RecordBatch, size: int = SLICE) -> Iterator[dict[str, list]]:
     for at in range(0, batch.num_rows, size):
         part = batch.slice(at, size)
@@ -87,23 +120,83 @@ def map_rows(df: DataFrame, fn: Callable[[], Callable[[dict[str, list]], dict[st
             for cols in rows_of(b, size):
                 out = each(cols)
                 yield pa.RecordBatch.from_arrays([pa.array(out[f.name], type=f.type) for f in arrow], schema=arrow)
+        del each
+        release()
 
-    ship(df.sparkSession)
+    light(df.sparkSession)
     return df.mapInArrow(run, schema)
 
 
-class WordHash(dict):
-    """Memo of 64-bit hashes of words; emptied when it grows past ``limit`` entries."""
-
-    def __init__(self, limit: int = 400_000):
+def slices(batches, name: str, most: int) -> Iterator[pa.RecordBatch]:
+    """The batches cut so that a slice's column ``name`` (strings) holds about ``most`` bytes, one row at least."""
+    for b in batches:
+        if not b.num_rows:
+            continue
+        size = pc.binary_length(b.column(b.schema.get_field_index(name))).fill_null(0).to_numpy(zero_copy_only=False)
+        part = np.cumsum(size, dtype=np.int64) // most
+        at = [0, *(np.flatnonzero(np.diff(part)) + 1).tolist(), b.num_rows]
+        for s, e in zip(at, at[1:], strict=False):
+            yield b.slice(s, e - s)
+
+
+class Recent:
+    """A memo of two generations: when the young one holds ``most`` entries it becomes the old one, whose entries come back as they are met."""
+
+    def __init__(self, most: int, longest: int = 48):
+        self.most, self.longest = most, longest
+        self.young: dict = {}
+        self.old: dict = {}
+        self.long: list = []
+
+    def turn(self) -> None:
+        if len(self.young) > self.most:
+            self.old, self.young = self.young, {}
+
+    def absent(self, keys) -> list:
+        """Those of ``keys`` that neither generation holds, for the caller to put into ``young``, which holds the others after this."""
+        young, old, out = self.young, self.old, []
+        for k in keys:
+            if k not in young:
+                v = old.get(k)
+                if v is None:
+                    out.append(k)
+                    if len(k) > self.longest:
+                        self.long.append(k)
+                else:
+                    young[k] = v
+        return out
+
+    def forget(self) -> None:
+        """Drop the long keys met since the last call: they seldom come again and would take most of the room."""
+        for k in self.long:
+            self.young.pop(k, None)
+        self.long = []
+
+
+class Memo(dict):
+    """``make(key)`` remembered for keys of at most ``longest`` characters, in two generations of ``most`` entries each."""
+
+    def __init__(self, make: Callable, most: int, longest: int = 48):
         super().__init__()
-        self.limit = limit
+        self.make, self.most, self.longest, self.old = make, most, longest, {}
+
+    def __missing__(self, key):
+        out = self.old.get(key)
+        if out is None:
+            out = self.make(key)
+        if self.most and len(key) <= self.longest:
+            if len(self) >= self.most:
+                self.old = dict(self)
+                self.clear()
+            self[key] = out
+        return out
+
+
+class WordHash(Memo):
+    """64-bit hashes of words."""
 
-    def __missing__(self, word: str) -> int:
-        if len(self) >= self.limit:
-            self.clear()
-        h = self[word] = xxhash.xxh3_64_intdigest(word.encode("utf-8", "surrogatepass"))
-        return h
+    def __init__(self, most: int = 150_000):
+        super().__init__(lambda word: xxhash.xxh3_64_intdigest(word.encode("utf-8", "surrogatepass")), most)
 
     def of(self, words: list[str]) -> np.ndarray:
         return np.fromiter(map(self.__getitem__, words), np.uint64, len(words))

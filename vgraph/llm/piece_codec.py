@@ -12,8 +12,8 @@ A piece is at most ``longest`` characters, so only that many boundaries can be c
 the back-pointers of all of them meet in one boundary, the ids before it are final: they are
 emitted and the window forgets them, so memory does not grow with the text.
 
-Stretches between forced boundaries (a character pair that occurs inside no piece) are
-encoded apart and remembered in a bounded memo.
+A character pair that occurs inside no piece forces such a convergence. The whole text goes through the stream; what the lattice gave
+for a short stretch between two forced boundaries is remembered in a bounded memo, so that it is walked once while it is remembered.
 """
 
 from __future__ import annotations
@@ -22,17 +22,18 @@ import re
 import zlib
 from collections.abc import Iterator
 from functools import lru_cache
-from itertools import chain
+from operator import itemgetter
+from struct import pack as struct_pack
 
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import BIN, LONG, map_rows, struct, texts
+from .common import BIN, LONG, Memo, map_rows, struct, texts
 
 SPACE = "▁"
-MEMO = 400_000
+MEMO = 150_000
 
 
 def model_path(name: str = "piece_bpe_32k.model") -> str:
@@ -101,12 +102,16 @@ class Codec:
         self.longest = max(map(len, self.ids), default=1)
         self.unknown = min(self.score.values(), default=0.0) - 10.0
         self.cut = self._cutter()
-        self.tails: dict[str, int] = {}
-        self.memo = _Memo(self, memo)
-        self.ends = {p[i:] for p in self.ids for i in range(len(p))}
+        self.memo = Memo(self._coded, memo, 64)
         self.split = _Splits(self)
+        self.automaton = self._automaton()
         self.most = memo
         self.fits: dict[tuple[str, str], bool] = {}
+        self.sizes = np.array(list(map(len, self.raw)), np.int64)
+        self.starts = np.cumsum(self.sizes) - self.sizes
+        self.pool = np.frombuffer(b"".join(self.raw), np.uint8)
+        #: Characters that went through the lattice, its commits, and the most boundaries it held at once.
+        self.streamed = self.commits = self.widest = 0
 
     def _cutter(self) -> re.Pattern:
         """Splits a text at boundaries that no piece crosses, as far as the vocabulary allows."""
@@ -119,6 +124,17 @@ class Codec:
         other = "".join(sorted({c for p in self.ids for c in p if c.isalnum() and not c.isalpha() and not c.isdecimal()}))
         return re.compile(rf"{SPACE}*[^\W\d_{other}]+|{SPACE}*(?:[^{SPACE}{alone}\w]|[\d_{other}])+|{SPACE}+|[{alone or SPACE}]", re.S)
 
+    def _automaton(self):
+        """Finds the pieces that a path may use at each boundary; by merging, only those that merging makes."""
+        import ahocorasick
+
+        out = ahocorasick.Automaton()
+        for p in self.ids:
+            if self.kind != "merge" or len(p) == 1 or self.split[p]:
+                out.add_word(p, p)
+        out.make_automaton()
+        return out
+
     # -- merging, for the pair test ------------------------------------------------------------
     def merged(self, text: str) -> tuple[list[str], tuple[str, str]]:
         """Rank-ordered merging of a short text (best score first, leftmost among equals), and the two parts merged last."""
@@ -165,134 +181,128 @@ class Codec:
         return ok
 
     # -- the streaming lattice -----------------------------------------------------------------
-    def stream(self, text: str, every: int = 64) -> Iterator[str]:
-        """Pieces of a normalised stretch, each yielded as soon as all surviving paths agree on it."""
-        ids, most, merge = self.ids, self.longest, self.kind == "merge"
-        n, done, before = len(text), 0, 0
-        back: dict[int, int] = {}  # boundary -> boundary its last piece starts at; only above ``done``
-        best: dict[int, float] = {0: 0.0}
-        look = every
-        ends, split, pair, fall = self.ends, self.split, self.pair, self.unknown
-        for i in range(1, n + 1):
-            low, s, found = max(done, i - most), i - 1, []
-            found.append(s)
-            if text[s] in ends:
-                while s > low:
-                    s -= 1
-                    p = text[s:i]
-                    if p not in ends:
-                        break
-                    if p in ids:
-                        found.append(s)
-            if merge:
-                while True:  # the longest first; the single character is left when no other fits
-                    s = found.pop()
-                    p = text[s:i]
-                    if not found or (split[p] and (s == 0 or pair(text[back[s] if s > done else before : s], p))):
-                        back[i] = s
-                        break
-            else:
-                top = None
-                for s in reversed(found):
-                    v = best[s] + self.score.get(text[s:i], fall)
-                    if top is None or v > top:
-                        top, back[i] = v, s
-                best[i] = top
-            if i >= look or i == n:
+    def _shared(self, last: list[str], final: bool) -> list[str]:
+        """The pieces that all surviving paths share from the window's start on, taken out of the window.
+
+        ``last`` holds the last piece for each boundary of the window; those that a piece can still continue survive, or only the
+        last one where the stretch has ended."""
+        n = len(last)
+        meet = n
+        if not final:
+            live = set(range(max(0, n - self.longest + 1), n + 1))
+            while len(live) > 1:
+                meet = max(live)
+                live.discard(meet)
+                live.add(meet - len(last[meet - 1]))
+            meet = live.pop()
+        path = []
+        at = meet
+        while at:
+            path.append(last[at - 1])
+            at -= len(path[-1])
+        if path:
+            self.commits += 1
+            self.widest = max(self.widest, n)
+            del last[:meet]
+        path.reverse()
+        return path
+
+    def lattice(self, text: str, every: int = 32) -> Iterator[str]:
+        """Pieces of a stretch, each yielded as soon as all surviving paths agree on it (looked for every ``every`` boundaries).
+
+        The automaton names the pieces that end at each boundary, the longest first; a character that is no piece stands for itself."""
+        n, last, done, before, look = len(text), [], 0, "", every
+        choose = (self._by_merging if self.kind == "merge" else self._by_score)(text, last, lambda: (done, before))
+        for i in choose:
+            if i >= look and i < n:
                 look = i + every
-                if i == n:
-                    meet = n
-                else:
-                    live = set(range(max(done, i - most + 1), i + 1))
-                    while len(live) > 1:
-                        top_ = max(live)
-                        live.discard(top_)
-                        live.add(back[top_] if top_ > done else done)
-                    meet = live.pop()
-                if meet > done:
-                    path, at = [], meet
-                    while at > done:
-                        path.append(at)
-                        at = back[at]
-                    for e in reversed(path):
-                        yield text[done:e]
-                        before, done = done, e
-                    for k in [k for k in back if k <= done]:
-                        del back[k]
-                    if not merge:
-                        for k in [k for k in best if k < done]:
-                            del best[k]
-
-    def short(self, text: str) -> list[str]:
-        """The pieces of a short stretch by the same lattice; back-pointers are remembered by prefix, which they depend on alone."""
-        tails, ends, ids, split, pair = self.tails, self.ends, self.ids, self.split, self.pair
-        if len(tails) > self.most:
-            tails.clear()
-        n = i = len(text)
-        while i and text[:i] not in tails:
-            i -= 1
-        while i < n:
-            s = i
+                for p in self._shared(last, False):
+                    yield p
+                    done, before = done + len(p), p
+        yield from self._shared(last, True)
+
+    def _by_merging(self, text: str, last: list[str], state) -> Iterator[int]:
+        """Enters into ``last``, boundary by boundary, the longest piece that merging would leave beside the piece before it."""
+        fits, pair, at, n, i = self.fits, self.pair, 0, 0, 0
+        done, before = 0, ""
+        for e, p in self.automaton.iter(text):
+            if e < i:
+                continue
+            while i < e:  # characters that are no piece
+                last.append(text[i])
+                i += 1
+                yield i
+                done, before = state()
+            n = len(p)
+            if n > 1:
+                at = i + 1 - n
+                if at < done:
+                    continue
+                if at:
+                    a = last[at - done - 1] if at > done else before
+                    ok = fits.get((a, p))
+                    if not (pair(a, p) if ok is None else ok):
+                        continue
+            last.append(p)
             i += 1
-            found = [s]
-            if text[s] in ends:
-                while s:
-                    s -= 1
-                    p = text[s:i]
-                    if p not in ends:
-                        break
-                    if p in ids:
-                        found.append(s)
-            while True:
-                s = found.pop()
-                p = text[s:i]
-                if not found or (split[p] and (s == 0 or pair(text[s - tails[text[:s]] : s], p))):
-                    tails[text[:i]] = i - s
-                    break
-        out = []
-        while i:
-            k = tails[text[:i]]
-            out.append(text[i - k : i])
-            i -= k
-        return out[::-1]
-
-    def part(self, text: str) -> tuple[int, ...]:
+            if not i & 31:
+                yield i
+                done, before = state()
+        while i < len(text):
+            last.append(text[i])
+            i += 1
+
+    def _by_score(self, text: str, last: list[str], state) -> Iterator[int]:
+        """Enters into ``last``, boundary by boundary, the last piece of the path of the greatest score sum."""
+        best, done, pieces = [0.0], 0, self.automaton.iter(text)
+        e, p = next(pieces, (len(text), ""))
+        for i in range(len(text)):
+            top, choice = best[i - done] + self.score.get(text[i], self.unknown), text[i]
+            while e == i:
+                at = i + 1 - len(p)
+                if at >= done and (v := best[at - done] + self.score[p]) > top:
+                    top, choice = v, p
+                e, p = next(pieces, (len(text), ""))
+            best.append(top)
+            last.append(choice)
+            yield i + 1
+            new, _ = state()
+            del best[: new - done]
+            done = new
+
+    def _coded(self, stretch: str) -> bytes:
+        """Ids of a stretch by the lattice."""
+        self.streamed += len(stretch)
         out: list[int] = []
-        for p in self.short(text) if self.kind == "merge" and len(text) <= 64 else self.stream(text):
+        for p in self.lattice(stretch):
             i = self.ids.get(p)
             if i is not None:
                 out.append(i)
             elif self.bytes_:
-                out.extend(self.bytes_[b] for b in p.encode("utf-8", "surrogatepass"))
+                out.extend(map(self.bytes_.__getitem__, p.encode("utf-8", "surrogatepass")))
             else:
                 out.append(self.unk)
-        return tuple(out)
-
-    def encode(self, text: str) -> list[int]:
-        if not text:
-            return []
-        t = (SPACE if self.prefix else "") + text.replace(" ", SPACE)
-        return list(chain.from_iterable(map(self.memo.__getitem__, self.cut.findall(t))))
+        return struct_pack(f"<{len(out)}I", *out)
 
-    def decode(self, ids) -> str:
-        text = b"".join(map(self.raw.__getitem__, ids)).decode("utf-8", "replace").replace(SPACE, " ")
-        return text[1:] if self.prefix and text[:1] == " " else text
+    def stream(self, text: str) -> Iterator[bytes]:
+        """Ids of a whole text (little-endian unsigned 32-bit), stretch by stretch as they become final.
 
+        Between two stretches all paths converge on one boundary whatever stands on either side, so the lattice starts anew there,
+        and a stretch that was met before has the ids that the lattice gave it then."""
+        if text:
+            t = (SPACE if self.prefix else "") + text.replace(" ", SPACE)
+            yield from map(self.memo.__getitem__, map(itemgetter(0), self.cut.finditer(t)))
 
-class _Memo(dict):
-    """Ids of short stretches, emptied when full."""
+    def encode(self, text: str) -> bytes:
+        return b"".join(self.stream(text))
 
-    def __init__(self, codec: Codec, most: int):
-        super().__init__()
-        self.codec, self.most = codec, most
-
-    def __missing__(self, text: str) -> tuple[int, ...]:
-        out = self.codec.part(text)
-        if len(text) <= 64:
-            if len(self) >= self.most:
-                self.clear()
-            self[text] = out
-        return out
+    def decode(self, ids) -> str:
+        at = np.asarray(ids, np.int64)
+        n = self.sizes[at]
+        ends = np.cumsum(n)
+        raw = self.pool[np.repeat(self.starts[at] - ends + n, n) + np.arange(int(ends[-1]) if len(ends) else 0)]
+        text = raw.tobytes().decode("utf-8", "replace").replace(SPACE, " ")
+        return text[1:] if self.prefix and text[:1] == " " else text
 
 
 class _Splits(dict):
@@ -320,7 +330,7 @@ def encode(docs: DataFrame, path: str | None = None, kind: str | None = None) ->
 
     def begin():
         codec = codec_for(path, kind)
-        return lambda cols: {"doc_id": cols["doc_id"], "ids": [codec.encode(t) for t in cols["text"]]}
+        return lambda cols: {"doc_id": cols["doc_id"], "ids": [np.frombuffer(codec.encode(t), "<i4") for t in cols["text"]]}
 
     return map_rows(texts(docs), begin, struct(doc_id=LONG, ids=T.ArrayType(T.IntegerType())), size=64)
 
@@ -347,9 +357,9 @@ def encode_digest(docs: DataFrame, path: str | None = None, with_ids: bool = Fal
         codec = codec_for(path)
 
         def each(cols):
-            ids = [codec.encode(t) for t in cols["text"]]
-            raw = [np.asarray(x, "<u4").tobytes() for x in ids]
-            out = {"doc_id": cols["doc_id"], "n_tokens": list(map(len, ids)), "ids_crc32": list(map(zlib.crc32, raw)), "round_trip": [codec.decode(x) == t for x, t in zip(ids, cols["text"], strict=True)]}
+            raw = [codec.encode(t) for t in cols["text"]]
+            back = [codec.decode(np.frombuffer(x, "<u4")) == t for x, t in zip(raw, cols["text"], strict=True)]
+            out = {"doc_id": cols["doc_id"], "n_tokens": [len(x) // 4 for x in raw], "ids_crc32": list(map(zlib.crc32, raw)), "round_trip": back}
             return out | ({"ids": raw} if with_ids else {})
 
         return each
