@@ -9,33 +9,40 @@ from __future__ import annotations
 
 import math
 from collections import Counter
+from collections.abc import Callable
 from dataclasses import dataclass, field
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from vgraph.core.ship import ship
-
-from .common import LONG, WORD, map_rows, struct, texts
+from .common import LONG, SLICE, WORD, light, texts, unused
 
 SYMBOLS = "#*$%&|<>"
 WINDOW = 5
 BASE = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
 EXTRA = ("n_lines", "n_upper_words", "n_bang", "n_distinct_words", "n_digit_words")
-#: What the rules may test: name -> expression over the statistics (ratios per word).
+#: What the rules may test: name -> (statistic, statistic that it is divided by).
 FEATURES = {
-    "n_words": "n_words",
-    "mean_word": "word_chars / greatest(n_words, 1)",
-    "symbols_per_word": "n_symbols / greatest(n_words, 1)",
-    "dup_line_share": "n_dup_lines / greatest(n_lines, 1)",
-    "repeat_share": "n_repeat_words / greatest(n_words, 1)",
-    "upper_share": "n_upper_words / greatest(n_words, 1)",
-    "bang_share": "n_bang / greatest(n_words, 1)",
-    "distinct_share": "n_distinct_words / greatest(n_words, 1)",
-    "digit_share": "n_digit_words / greatest(n_words, 1)",
+    "n_words": ("n_words", None),
+    "mean_word": ("word_chars", "n_words"),
+    "symbols_per_word": ("n_symbols", "n_words"),
+    "dup_line_share": ("n_dup_lines", "n_lines"),
+    "repeat_share": ("n_repeat_words", "n_words"),
+    "upper_share": ("n_upper_words", "n_words"),
+    "bang_share": ("n_bang", "n_words"),
+    "distinct_share": ("n_distinct_words", "n_words"),
+    "digit_share": ("n_digit_words", "n_words"),
 }
+STATS = T.StructType([T.StructField(n, LONG) for n in (*BASE, *EXTRA)])
+
+
+def feature(name: str, get: Callable[[str], Column] = F.col) -> Column:
+    """A feature as an expression over the statistics that ``get`` finds by name."""
+    part, whole = FEATURES[name]
+    return get(part).cast("double") if whole is None else get(part) / F.greatest(get(whole), F.lit(1))
 
 
 def repeated_words(words: list[str], k: int = WINDOW) -> int:
@@ -68,22 +75,24 @@ def statistics_of(text: str) -> tuple[int, ...]:
     )
 
 
-def statistics(docs: DataFrame) -> DataFrame:
-    """(doc_id, the base and extra statistics) of every row; a null text counts as empty."""
-    names = (*BASE, *EXTRA)
-
-    def begin():
-        def each(cols):
-            found = [statistics_of(t) for t in cols["text"]]
-            return {"doc_id": cols["doc_id"], **{n: [x[j] for x in found] for j, n in enumerate(names)}}
+@F.arrow_udf(STATS)
+def measured(text: pa.Array) -> pa.Array:
+    """All statistics of each text; null counts as empty. Only the text travels to Python."""
+    found = []
+    for at in range(0, len(text), SLICE):  # bounds the Python strings alive at once
+        found += [statistics_of(t or "") for t in text.slice(at, SLICE).to_pylist()]
+    cols = [pa.array([x[j] for x in found], pa.int64()) for j in range(len(STATS))]
+    return pa.StructArray.from_arrays(cols, names=STATS.names)
 
-        return each
 
-    return map_rows(texts(docs), begin, struct(doc_id=LONG, **dict.fromkeys(names, LONG)))
+def statistics(docs: DataFrame) -> DataFrame:
+    """(doc_id, the base and extra statistics) of every row; a null text counts as empty."""
+    light(docs.sparkSession)
+    return texts(docs).select("doc_id", measured("text").alias("found")).select("doc_id", "found.*")
 
 
-def base_failed(a: str = "") -> Column:
-    return F.expr(f"{a}n_words < 10 or 100 * {a}n_repeat_words > 20 * {a}n_words")
+def base_failed(get: Callable[[str], Column] = F.col) -> Column:
+    return (get("n_words") < 10) | (100 * get("n_repeat_words") > 20 * get("n_words"))
 
 
 @dataclass
@@ -100,10 +109,10 @@ class Rule:
             out &= (x[name] <= cut) if sign == "<=" else (x[name] > cut)
         return out
 
-    def condition(self) -> Column:
+    def condition(self, get: Callable[[str], Column] = F.col) -> Column:
         out = F.lit(True)
         for name, sign, cut in self.tests:
-            value = F.expr(FEATURES[name]).cast("double")
+            value = feature(name, get)
             out = out & ((value <= cut) if sign == "<=" else (value > cut))
         return out
 
@@ -115,12 +124,16 @@ class Rule:
 class DecisionList:
     rules: list[Rule] = field(default_factory=list)
 
-    def rejects(self) -> Column:
+    def rejects(self, get: Callable[[str], Column] = F.col) -> Column:
         """Ordered conditional expression: number of the first rule that holds, null for none."""
-        out = None
-        for i, r in enumerate(self.rules):
-            out = F.when(r.condition(), F.lit(i)) if out is None else out.when(r.condition(), F.lit(i))
-        return (out.otherwise(F.lit(None)) if out is not None else F.lit(None)).cast("int")
+        out = F.lit(None).cast("int")
+        for i, r in reversed(list(enumerate(self.rules))):
+            out = F.when(r.condition(get), F.lit(i)).otherwise(out)
+        return out
+
+    def keeps(self, get: Callable[[str], Column] = F.col) -> Column:
+        """The verdict: neither the base rule nor any learned one speaks against the text."""
+        return ~base_failed(get) & self.rejects(get).isNull()
 
     def describe(self) -> list[str]:
         return [f"reject if {r}  (precision {r.precision:.3f}, covers {r.covered})" for r in self.rules]
@@ -198,7 +211,7 @@ def fit(docs: DataFrame, labels: DataFrame, bound: int = 20_000, **settings) ->
     some = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(bound)
     picked = docs.select("doc_id", "text").join(F.broadcast(some.select("doc_id")), "doc_id", "left_semi")
     stats = statistics(picked).join(F.broadcast(some), "doc_id")
-    rows = stats.where(~base_failed()).select("doc_id", "quality", *[F.expr(e).cast("double").alias(n) for n, e in FEATURES.items()]).toPandas().drop_duplicates("doc_id").sort_values("doc_id")
+    rows = stats.where(~base_failed()).select("doc_id", "quality", *[feature(n).alias(n) for n in FEATURES]).toPandas().drop_duplicates("doc_id").sort_values("doc_id")
     x = {n: rows[n].to_numpy(np.float64) for n in FEATURES}
     return learn(x, rows["quality"].to_numpy() == 0, **settings)
 
@@ -207,52 +220,15 @@ def judge(docs: DataFrame, rules: DecisionList) -> DataFrame:
     """(doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, kept, rule) for every row.
 
     A null or empty text has no words and fails the base rule; repeated rows are judged each."""
-    out = statistics(docs).withColumn("base_failed", base_failed()).withColumn("rule", rules.rejects())
-    return out.select("doc_id", *BASE, "base_failed", (~F.col("base_failed") & F.col("rule").isNull()).alias("kept"), "rule")
+    out = statistics(docs)
+    return out.select("doc_id", *BASE, base_failed().alias("base_failed"), rules.keeps().alias("kept"), rules.rejects().alias("rule"))
 
 
 def keep_good(docs: DataFrame, rules: DecisionList) -> DataFrame:
-    """The rows of ``docs`` that the list keeps, all columns as they are (extra ones of any name too).
-
-    The verdict is made beside the row's own text in one pass over the rows, without a join."""
-    from pyspark.sql.pandas.types import to_arrow_schema
-
-    schema, at = docs.schema, docs.columns.index("text")
-    wide = T.StructType([*schema.fields, *(T.StructField(f"__stat_{n}", LONG) for n in (*BASE, *EXTRA))])
-    arrow = to_arrow_schema(wide)
-
-    def run(batches):
-        import pyarrow as pa
-
-        for b in batches:
-            for i in range(0, b.num_rows, 256):
-                part = b.slice(i, 256)
-                found = [statistics_of(t or "") for t in part.column(at).to_pylist()]
-                stats = [pa.array([x[j] for x in found], pa.int64()) for j in range(len(BASE) + len(EXTRA))]
-                yield pa.RecordBatch.from_arrays([*(c.cast(f.type) for c, f in zip(part.columns, arrow, strict=False)), *stats], schema=arrow)
-
-    ship(docs.sparkSession)
-    out = docs.mapInArrow(run, wide)
-    # the rules speak of plain names; a select keeps only them, so clashing extra columns cannot be meant
-    plain = F.struct(*[F.col(f"__stat_{n}").alias(n) for n in (*BASE, *EXTRA)])
-    verdict = out.withColumn("__s", plain)
-    ok = _within(rules, "__s.")
-    return verdict.where(ok).select(*[F.col(f"`{n}`") for n in schema.names])
-
-
-def _within(rules: DecisionList, prefix: str) -> Column:
-    import re
-
-    names = "|".join((*BASE, *EXTRA))
-
-    def moved(e: str) -> str:
-        return re.sub(rf"\b({names})\b", lambda m: prefix + m[1], e)
-
-    ok = ~F.expr(moved("n_words < 10 or 100 * n_repeat_words > 20 * n_words"))
-    for r in rules.rules:
-        hit = F.lit(True)
-        for name, sign, cut in r.tests:
-            v = F.expr(moved(FEATURES[name])).cast("double")
-            hit = hit & ((v <= cut) if sign == "<=" else (v > cut))
-        ok = ok & ~hit
-    return ok
+    """The rows of ``docs`` that the list keeps, all columns as they are (extra ones of any name too), by the verdict of ``judge``.
+
+    It is made beside the row's own text in one pass over the rows, without a join."""
+    light(docs.sparkSession)
+    (found,) = unused(docs.columns, "found")
+    judged = docs.withColumn(found, measured("text"))
+    return judged.where(rules.keeps(lambda n: F.col(found)[n])).select(*[F.col(f"`{n}`") for n in docs.columns])
