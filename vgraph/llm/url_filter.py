@@ -12,10 +12,10 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 SCOPES = ("url", "prefix", "host", "domain")
-#: A host is looked up under so many of its last labels at most.
-PARENTS = 6
-#: Lists of at most so many distinct (scope, value) keys are broadcast, larger ones are joined by shuffling.
-BROADCAST_KEYS = 50_000
+#: Longest host name that the domain name system allows; it bounds the parents of a host.
+LONGEST_HOST = 253
+#: Lists of at most so many entries are broadcast; larger ones are joined by shuffling, each key dealt into so many parts.
+BROADCAST_ENTRIES, SALTS = 50_000, 16
 
 
 def intervals(entries: DataFrame) -> DataFrame:
@@ -32,9 +32,9 @@ def intervals(entries: DataFrame) -> DataFrame:
 
 
 def host_of(url: Column) -> Column:
-    """Lower-case host of an http or https URL without its port and user; null where there is none."""
+    """Lower-case host of an http or https URL without its port and user; null where there is none or it is too long for a name."""
     raw = F.regexp_extract(F.lower(F.trim(url)), r"^https?://(?:[^/?#@]*@)?([^/?#:@]+)", 1)
-    return F.when(raw != "", raw)
+    return F.when((raw != "") & (F.length(raw) <= LONGEST_HOST), raw)
 
 
 def path_of(url: Column) -> Column:
@@ -47,27 +47,49 @@ def keys_of(url: Column) -> Column:
     first = F.regexp_extract(path, r"^(/[^/]+)", 1)
     labels = F.split(host, r"\.")
     n = F.size(labels)
-    parents = F.transform(F.sequence(F.lit(0), F.least(n, F.lit(PARENTS)) - 1), lambda i: F.struct(F.lit("domain").alias("scope"), F.array_join(F.slice(labels, n - i, i + 1), ".").alias("value")))
+    parents = F.transform(F.sequence(F.lit(0), n - 1), lambda i: F.struct(F.lit("domain").alias("scope"), F.array_join(F.slice(labels, n - i, i + 1), ".").alias("value")))
     own = F.array(*[F.struct(F.lit(s).alias("scope"), v.alias("value")) for s, v in (("url", F.concat(host, path)), ("prefix", F.concat(host, first)), ("host", host))])
     return F.when(host.isNotNull(), F.concat(own, parents))
 
 
+def as_of(history: Column, ts: Column) -> Column:
+    """The last struct of an array sorted by valid_from that begins at ``ts`` or before, by bisection; null where none does."""
+    steps = F.sequence(F.lit(0), F.ceil(F.log2(F.size(history) + F.lit(1))).cast("int"))
+
+    def halve(s, _):
+        mid = F.floor((s["lo"] + s["hi"]) / 2).cast("int")
+        low = F.get(history, mid)["valid_from"] <= ts
+        open_ = s["lo"] < s["hi"]
+        return F.struct(F.when(open_ & low, mid + 1).otherwise(s["lo"]).alias("lo"), F.when(open_ & ~low, mid).otherwise(s["hi"]).alias("hi"))
+
+    end = F.aggregate(steps, F.struct(F.lit(0).alias("lo"), F.size(history).alias("hi")), halve, lambda s: s["lo"])
+    return F.when(ts.isNotNull() & history.isNotNull(), F.get(history, end - 1))
+
+
 def judge(captures: DataFrame, entries: DataFrame, id_col: str = "page_id", url_col: str = "url", ts_col: str = "fetched_at") -> DataFrame:
     """(id, host, fetched_at, entry_id, action, kept): each capture with the most specific entry active when it was fetched.
 
-    Among entries of one scope the longest value wins. kept is false where that entry's action is 'block'. Null or odd URLs, null
-    fetch times and empty lists leave a capture without an entry: it is kept. Repeated rows are judged each; extra columns are
-    ignored. The list is joined as one sorted history a key, so a capture meets at most one row for each of its few keys however
-    long a history is; the as-of step is a search inside that row."""
+    Among entries of one scope the longest value wins. kept is false where that entry's action is 'block'. Null or odd URLs, hosts of
+    more than 253 characters, null fetch times and empty lists leave a capture without an entry: it is kept. Repeated rows
+    are judged each; extra columns are ignored. A host is looked up under every one of its parents. The list is joined as one sorted
+    history a key, in which the fetch time is sought by bisection, so a capture meets at most one row for each of its keys however
+    long a history is. A list too large to broadcast is joined by shuffling, with every key in parts, for a top-level domain is a key of
+    a large share of all captures."""
     iv = intervals(entries)
     hist = iv.groupBy("scope", "value").agg(F.array_sort(F.collect_list(F.struct("valid_from", "valid_to", "entry_id", "action"))).alias("h"))
-    small = entries.select("scope", "value").distinct().limit(BROADCAST_KEYS + 1).count() <= BROADCAST_KEYS
+    small = entries.limit(BROADCAST_ENTRIES + 1).count() <= BROADCAST_ENTRIES
     c = captures.select(F.col(id_col).alias("id"), F.col(url_col).alias("url"), F.col(ts_col).cast("timestamp").alias("ts")).withColumn("row", F.monotonically_increasing_id())
     c = c.withColumn("host", host_of(F.col("url")))
     rank = F.create_map(*[x for k, s in enumerate(SCOPES) for x in (F.lit(s), F.lit(len(SCOPES) - k))])
-    looked = c.withColumn("k", F.explode_outer(keys_of(F.col("url")))).join(F.broadcast(hist) if small else hist, (F.col("k.scope") == F.col("scope")) & (F.col("k.value") == F.col("value")), "left")
-    active = F.filter("h", lambda x: (x["valid_from"] <= F.col("ts")) & (x["valid_to"].isNull() | (F.col("ts") < x["valid_to"])) & (x["action"] != "lift"))
-    at = F.get(active, 0)
-    scored = looked.withColumn("m", at).withColumn("best", F.when(F.col("m").isNotNull(), F.struct(rank[F.col("scope")].alias("r"), F.length("value").alias("len"), F.col("m.entry_id").alias("entry_id"), F.col("m.action").alias("action"))))
+    keyed = c.withColumn("k", F.explode_outer(keys_of(F.col("url"))))
+    same = (F.col("k.scope") == F.col("scope")) & (F.col("k.value") == F.col("value"))
+    if small:
+        looked = keyed.join(F.broadcast(hist), same, "left")
+    else:
+        parts = hist.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+        looked = keyed.withColumn("part", F.pmod(F.xxhash64("row"), F.lit(SALTS)).cast("int")).join(parts, same & (F.col("part") == F.col("salt")), "left")
+    m = as_of(F.col("h"), F.col("ts"))
+    m = F.when((m["valid_to"].isNull() | (F.col("ts") < m["valid_to"])) & (m["action"] != "lift"), m)
+    scored = looked.withColumn("m", m).withColumn("best", F.when(F.col("m").isNotNull(), F.struct(rank[F.col("scope")].alias("r"), F.length("value").alias("len"), F.col("m.entry_id").alias("entry_id"), F.col("m.action").alias("action"))))
     one = scored.groupBy("row", "id", "host", "ts").agg(F.max("best").alias("best"))
     return one.select(F.col("id").alias(id_col), "host", F.col("ts").alias("fetched_at"), F.col("best.entry_id").alias("entry_id"), F.col("best.action").alias("action"), (~(F.coalesce(F.col("best.action"), F.lit("")) == "block")).alias("kept"))

@@ -49,10 +49,11 @@ with list(entry_id, scope, value, action, ts) as (values {rows}),
 day as (select *, row_number() over (partition by scope, value, ts order by entry_id desc) as r from list),
 iv as (select scope, value, action, entry_id, ts as valid_from, lead(ts) over (partition by scope, value order by ts) as valid_to from day where r = 1),
 c as (
+  select page_id, ts, path, case when length(host) <= 253 then host end as host from (
   select page_id, timestamp '2024-01-01' + to_days(cast((page_id * 37) % 360 as integer)) + to_hours(cast(page_id % 24 as integer)) as ts,
     nullif(regexp_extract(lower(trim(url)), '^https?://(?:[^/?#@]*@)?([^/?#:@]+)', 1), '') as host,
     regexp_extract(lower(trim(url)), '^https?://[^/?#]+([^?#]*)', 1) as path
-  from pages),
+  from pages)),
 hit as (
   select c.page_id, iv.entry_id, iv.action,
     row_number() over (partition by c.page_id order by case iv.scope when 'url' then 4 when 'prefix' then 3 when 'host' then 2 else 1 end desc, length(iv.value) desc) as r
