@@ -16,9 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from vgraph.core.ship import ship
-
-from .common import LONG, STR, map_rows, stored, struct, texts
+from .common import LONG, STR, light, map_rows, stored, struct, texts, unused
 
 KINDS = ("email", "ip", "card", "phone", "id")
 LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
@@ -96,7 +94,7 @@ def context(text: str, start: int) -> str | None:
 
 
 SPAN = T.ArrayType(T.StructType([T.StructField("start", LONG), T.StructField("kind", T.IntegerType()), T.StructField("end", LONG)]))
-CAND = T.ArrayType(T.StructType([T.StructField("start", LONG), T.StructField("end", LONG), T.StructField("pattern", STR), T.StructField("instance", STR), T.StructField("seed", T.BooleanType())]))
+CAND = T.ArrayType(T.StructType([T.StructField("start", LONG), T.StructField("end", LONG), T.StructField("pattern", STR), T.StructField("instance", STR), T.StructField("seed", T.BooleanType()), T.StructField("base", T.BooleanType())]))
 
 
 def candidates(text: str, base: list[tuple[int, int, int]]) -> list[dict]:
@@ -104,11 +102,11 @@ def candidates(text: str, base: list[tuple[int, int, int]]) -> list[dict]:
     out = []
     for s, _, e in base:
         if p := context(text, s):
-            out.append({"start": s, "end": e, "pattern": p, "instance": text[s:e], "seed": True})
+            out.append({"start": s, "end": e, "pattern": p, "instance": text[s:e] if e - s <= 64 else hashlib.md5(text[s:e].encode("utf-8", "surrogatepass")).hexdigest(), "seed": True, "base": True})
     for m in CANDIDATE.finditer(text):
         s, e = m.span()
         if not any(a < e and s < b for a, _, b in base) and (p := context(text, s)):
-            out.append({"start": s, "end": e, "pattern": p, "instance": hashlib.md5(m[0].encode()).hexdigest() if e - s > 64 else m[0], "seed": bool(SEED_HEX.fullmatch(m[0]))})
+            out.append({"start": s, "end": e, "pattern": p, "instance": hashlib.md5(m[0].encode()).hexdigest() if e - s > 64 else m[0], "seed": bool(SEED_HEX.fullmatch(m[0])), "base": False})
     return out
 
 
@@ -148,7 +146,7 @@ def extract(docs: DataFrame, rounds: int = 2, confidence: float = 0.9, support:
     that id's rows together, so ids should name one text."""
     found = stored(scan(docs))
     good = patterns(found, rounds, confidence, support)
-    hits = found.where("doc_id is not null").select("doc_id", F.explode("cand").alias("c")).where("not c.seed or length(c.instance) >= 32")
+    hits = found.where("doc_id is not null").select("doc_id", F.explode("cand").alias("c")).where("not c.base")
     extra = hits.select("doc_id", F.col("c.pattern").alias("pattern"), F.col("c.start").alias("start"), F.col("c.end").alias("end")).join(good, "pattern", "left_semi")
     per = extra.groupBy("doc_id").agg(F.collect_set(F.struct("start", F.lit(KINDS.index("id")).alias("kind"), "end")).alias("extra"))
     return found.select("doc_id", "base").join(per, "doc_id", "left").select("doc_id", "base", F.coalesce("extra", F.array().cast(SPAN)).alias("extra"))
@@ -161,7 +159,7 @@ def digest(spans: DataFrame) -> DataFrame:
         sort = F.array_sort(c)
         return F.array_join(F.transform(sort, lambda x: F.concat_ws(":", F.element_at(F.array(*map(F.lit, KINDS)), x["kind"] + 1), x["start"].cast("string"), x["end"].cast("string"))), ",")
 
-    # a base span outside every added one stays; an added span that touches a base span of its row was never made
+    # candidates never touch a base span of their own row, and base spans are no candidates
     def count(k):
         return F.size(F.filter("base", lambda x: x["kind"] == k)).cast("long").alias(f"n_{KINDS[k]}")
 
@@ -173,15 +171,15 @@ def redact(docs: DataFrame, **settings) -> DataFrame:
     """``docs`` with every span of a text replaced by its kind in brackets; other columns as they are, n_chars (where it
     is a column) as the new length. Base spans are found in the row's own text, so rows with a null id lose them too;
     added spans come by id. Null texts stay null."""
-    ship(docs.sparkSession)
+    light(docs.sparkSession)
+    key, more, new_text = unused(docs.columns, "key", "extra", "new_text")
     extra = extract(docs.where("doc_id is not null"), **settings).where(F.size("extra") > 0)
-    flat = extra.groupBy(F.col("doc_id").alias("__id")).agg(F.flatten(F.collect_set("extra")).alias("__extra"))
-    names = docs.columns
-    out = docs.join(flat, F.col("doc_id") == F.col("__id"), "left").withColumn("__text", masked(F.col("text"), F.col("__extra")))
-    new = {"text": F.col("__text")}
-    if "n_chars" in names:
-        new["n_chars"] = F.when(F.col("__text").eqNullSafe(F.col("text")), F.col("n_chars")).otherwise(F.length("__text").cast(docs.schema["n_chars"].dataType))
-    return out.select(*[new.get(n, F.col(f"`{n}`")).alias(n) for n in names])
+    flat = extra.groupBy(F.col("doc_id").alias(key)).agg(F.flatten(F.collect_set("extra")).alias(more))
+    out = docs.join(flat, docs["doc_id"] == flat[key], "left").withColumn(new_text, masked(F.col("text"), F.col(more)))
+    new = {"text": F.col(new_text)}
+    if "n_chars" in docs.columns:
+        new["n_chars"] = F.when(F.col(new_text).eqNullSafe(F.col("text")), F.col("n_chars")).otherwise(F.length(new_text).cast(docs.schema["n_chars"].dataType))
+    return out.select(*[new.get(n, F.col(f"`{n}`")).alias(n) for n in docs.columns])
 
 
 def mask(text: str, extra=()) -> str:
