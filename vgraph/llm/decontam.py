@@ -11,7 +11,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import stored
+from .common import stored, unused
 
 #: Masks over twelve tokens, eight hashed (1), four ignored (0).
 MASKS = ("111010011011", "110110101101")
@@ -20,6 +20,8 @@ SPAN = 12
 SHARE, LEAST = 0.5, 8
 #: A benchmark of at most so many seeds is broadcast; a larger one is joined by shuffling.
 BROADCAST_SEEDS = 200_000
+#: Ids of documents with a hit are broadcast up to so many (16 bytes each); only those documents' texts are read again.
+BROADCAST_IDS = 1_000_000
 
 
 def tokens(text: Column) -> Column:
@@ -66,19 +68,22 @@ def overlaps(docs: DataFrame, benchmark: DataFrame, masks: tuple[str, ...] = MAS
     hits = hit.join(F.broadcast(bs) if small else bs, ["mask", "seed"]).select("doc_id", "item_id", (F.col("pos") - F.col("j")).alias("diag")).distinct()
     hits = stored(hits)
     items = b.select("item_id", F.col("toks").alias("it"))
-    pairs = hits.join(F.broadcast(items) if small else items, "item_id").join(d, "doc_id")
+    ids = stored(hits.select("doc_id").distinct())
+    few = ids.count() <= BROADCAST_IDS
+    held = docs.select("doc_id", "text").join(F.broadcast(ids) if few else ids, "doc_id", "left_semi").select("doc_id", tokens(F.col("text")).alias("toks"))
+    pairs = hits.join(F.broadcast(items) if small else items, "item_id").join(held, "doc_id")
     agree = F.size(F.filter(F.sequence(F.lit(0), F.size("it") - 1), lambda j: (j + F.col("diag") >= 0) & F.get("toks", j + F.col("diag")).eqNullSafe(F.get("it", j))))
     scored = pairs.select("doc_id", "item_id", "diag", agree.cast("long").alias("n_match"), F.size("it").cast("long").alias("n_item"))
-    held = scored.where((F.col("n_match") >= share * F.col("n_item")) & (F.col("n_match") >= F.least(F.lit(least), F.col("n_item"))))
-    best = held.groupBy("doc_id", "item_id").agg(F.max(F.struct("n_match", "n_item", (-F.col("diag")).cast("long").alias("neg"))).alias("b"))
+    kept = scored.where((F.col("n_match") >= share * F.col("n_item")) & (F.col("n_match") >= F.least(F.lit(least), F.col("n_item"))))
+    best = kept.groupBy("doc_id", "item_id").agg(F.max(F.struct("n_match", "n_item", (-F.col("diag")).cast("long").alias("neg"))).alias("b"))
     return best.select("doc_id", "item_id", "b.n_match", "b.n_item", (-F.col("b.neg")).alias("at"))
 
 
 def clean(docs: DataFrame, benchmark: DataFrame, **settings) -> DataFrame:
     """The rows of ``docs`` that hold no benchmark item; rows with a null doc_id stay."""
-    dirty = overlaps(docs, benchmark, **settings).select(F.col("doc_id").alias("__dirty")).distinct()
-    names = docs.columns
-    return docs.join(dirty, F.col("doc_id") == F.col("__dirty"), "left_anti").select(*[F.col(f"`{n}`") for n in names])
+    (mark,) = unused(docs.columns, "dirty")
+    dirty = overlaps(docs, benchmark, **settings).select(F.col("doc_id").alias(mark)).distinct()
+    return docs.join(dirty, docs["doc_id"] == dirty[mark], "left_anti").select(*[F.col(f"`{n}`") for n in docs.columns])
 
 
 def oracle(masks: tuple[str, ...] = MASKS, share: float = SHARE, least: int = LEAST) -> str:
