@@ -1,5 +1,7 @@
 """DataFrame forms against the resident kernels, and the library's surfaces."""
 
+import random
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -181,3 +183,48 @@ def test_streams(spark, sf, tmp_path):
     q = ch.rebuild_on(ch.changes(s), {0: 3}, 0.5, built.append, 1).trigger(availableNow=True).start()
     q.awaitTermination(120)
     assert built == [0]
+
+
+def test_cache_merge_follows_any_order(spark, sf):
+    """Merged through the cache by each order, the graph is that of all lists united, and input and output are as replayed."""
+    from vgraph.shard import dispatch as dp
+    from vgraph.shard import replay as rp
+    from vgraph.shard.cache_merge import CacheMerge
+
+    r = random.Random(3)
+    held = [(s, i, k + 1, 0.0) for i in range(40) for k, s in enumerate(r.sample(range(9), 3))]
+    a = spark.createDataFrame(held, "shard int, id long, choice int, d2 double")
+    lists = [(s, i, j, float(r.randrange(1000))) for s, i, _, _ in held for j in r.sample([x for x in range(40) if x != i], 4)]
+    nearest = {}
+    for _, i, j, x in lists:
+        nearest[i, j] = min(x, nearest.get((i, j), 1e9))
+    want = {i: sorted((x, j) for (s, j), x in nearest.items() if s == i)[:5] for i in range(40)}
+    local = spark.createDataFrame(lists, "shard int, src long, dst long, d2 double")
+    for n, order in ((3, dp.order_random(9, 3)), (2, dp.order_sequential(9, 2))):
+        o = dp.as_table(spark, order)
+        flow = CacheMerge.start(a, o, n, 5)
+        for w in range((9 + n - 1) // n):
+            loads = [x for x, _ in order[w * n : (w + 1) * n]]
+            flow.wave(w, local.where(F.col("shard").isin(loads)))
+        got = {}
+        for x in flow.edges(spark).orderBy("src", "rank").collect():
+            got.setdefault(x.src, []).append((x.d2, x.dst))
+        assert got == want
+        log = rp.replay_cache(a, o).groupBy("outcome").count().collect()
+        seen = {x.outcome: x["count"] for x in log}
+        assert (flow.reads, flow.writes) == (seen.get("miss", 0), seen["first"] + seen.get("miss", 0))
+
+
+def test_oversize_shards_are_split_together(spark):
+    from vgraph.shard.assign import assign_overlap, shard_sizes, split_oversize
+    from vgraph.shard.pipeline import sharded_build
+
+    r = np.random.default_rng(2)
+    x = np.concatenate([r.normal(0, 0.1, (300, 4)), r.normal(5, 0.1, (30, 4))])
+    v = spark.createDataFrame([(i, row.tolist()) for i, row in enumerate(x)], "id long, vec array<double>")
+    a = assign_overlap(v, np.array([[0.0] * 4, [5.0] * 4]), 1)
+    cut = split_oversize(v, a, 80)
+    sizes = {row.shard: row.n for row in shard_sizes(cut).collect()}
+    assert max(sizes.values()) <= 80 and sum(sizes.values()) == 330 and cut.select("id").distinct().count() == 330
+    b = sharded_build(v, "detour_rank", 2, 1, 2, 8, {"method": "exact"}, rounds=2, limit=100)
+    assert b.edges.select("src").distinct().count() == 330 and b.writes == 330 + b.reads

@@ -169,6 +169,8 @@ ORACLES = {
     "io_operations": f"with {assigned()}, {ORDER}, {LOG} select 2 * count(*) filter (where outcome = 'miss') as cached_io, count(*) filter (where outcome = 'first') as flush_io, 3 * count(*) filter (where outcome = 'first') as baseline_per_node, 2 * count(*) + count(*) filter (where outcome = 'first') as baseline_exact from log",
     "window_objective": f"with {assigned()}, {CG} select coalesce(sum(w), 0) as objective from cg where b - a < {CACHE}",
     "merge_of_locals": f"with {MERGED}",
+    "cache_merge_graph": f"with {MERGED}",
+    "cache_merge_io": f"with {assigned()}, {ORDER}, {LOG} select count(*) filter (where outcome = 'miss') as reads, count(*) filter (where outcome <> 'hit') as writes from log",
     "merge_of_locals_ordered": f"with {MERGED}",
     "doc_vectors": "with t as (select doc_id as id, list_transform(string_split(text, ''), lambda c: unicode(c)) as u from documents where length(text) >= 3), g as (select id, (((u[i] * 31 + u[i + 1]) * 31 + u[i + 2]) % 1000003) % 96 as p from t, unnest(range(1, len(u) - 1)) r(i)), c as (select id, p, count(*) as n from g group by 1, 2) select id, cast(p as integer) as p, round(n / sqrt(sum(n * n) over (partition by id)), 6) as x from c",
     "line_vectors": "select row_number() over (order by l_orderkey, l_linenumber, l_partkey, l_suppkey, l_shipdate, l_extendedprice, l_quantity) - 1 as id, round(l_quantity / 50, 6) as x0, round(l_extendedprice / (select max(l_extendedprice) from lineitem), 6) as x1, round(l_discount * 10, 6) as x2, round(l_tax * 12.5, 6) as x3 from lineitem",

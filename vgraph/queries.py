@@ -30,6 +30,7 @@ from .shard import kmeans as km
 from .shard import replay as rp
 from .shard.assign import assign_overlap, overlap_stats, shard_sizes
 from .shard.build import build_local
+from .shard.cache_merge import CacheMerge
 from .shard.merge import merge_locals, merge_ordered
 from .shard.overlap import cluster_graph, window_overlap
 
@@ -446,6 +447,29 @@ def merge_of_locals_ordered(s, d):
     return rounded(merge_ordered(_local_lists(s, d), dp.as_table(s, _order(s, d, "greedy")), CACHE, 8))
 
 
+def _through_cache(s, d, how):
+    """Exact local lists of every shard taken through the cache wave by wave."""
+    a, order = _assigned(s, d), _order(s, d, how)
+    flow = CacheMerge.start(a, dp.as_table(s, order), CACHE, 8)
+    local = _local_lists(s, d)
+    for w in range((len(order) + CACHE - 1) // CACHE):
+        loads = [x for x, _ in order[w * CACHE : (w + 1) * CACHE]]
+        flow.wave(w, local.where(F.col("shard").isin(loads)).select("shard", "src", "dst", "d2"))
+    return flow
+
+
+@query
+def cache_merge_graph(s, d):
+    return rounded(_through_cache(s, d, "greedy").edges(s))
+
+
+@query
+def cache_merge_io(s, d):
+    """Lists read back and written by the executed merge, under the columns of the replay's count."""
+    f = _through_cache(s, d, "sequential")
+    return s.createDataFrame([(f.reads, f.writes)], "reads long, writes long")
+
+
 @query
 def sharded_graph_recall(s, d):
     from .shard.pipeline import sharded_build

@@ -56,25 +56,52 @@ def overlap_stats(assigned: DataFrame) -> DataFrame:
     return s.crossJoin(n).select("rows", "nodes", F.round(F.col("rows") / F.col("nodes"), 6).alias("replication"), "largest", "smallest", "mean_size")
 
 
-def split_oversize(v: DataFrame, assigned: DataFrame, limit: int, seed: int = 42) -> DataFrame:
-    """Assignment in which every shard of more than ``limit`` rows is cut by k-means of its own, recursively; new shards get new numbers."""
-    from .kmeans import kmeans
+def split_oversize(v: DataFrame, assigned: DataFrame, limit: int, seed: int = 42, per: int = 256) -> DataFrame:
+    """Assignment in which every shard of more than ``limit`` rows is cut by k-means of its own, again while one is too large; new
+    shards get new numbers. All oversize shards of a round are cut together: their centres are learned in one grouped pass over at most
+    ``per`` sampled rows a part, and one pass assigns their rows."""
+    from ..core.iterate import step
+    from ..core.mix import mix
+    from .kmeans import lloyd
 
+    ship(v.sparkSession)
     out = assigned
-    for _ in range(16):
+    for turn in range(16):
         sizes = {r.shard: r.n for r in shard_sizes(out).collect()}  # one row for each shard
-        over = [s for s, n in sizes.items() if n > limit]
+        over = {s: math.ceil(n / limit) + 1 for s, n in sizes.items() if n > limit}
         if not over:
             return out
-        nxt = max(sizes) + 1
-        for s in over:
-            rows = v.join(out.where(F.col("shard") == s).select("id"), "id").select("id", "vec")
-            parts = math.ceil(sizes[s] / limit) + 1
-            cut = assign_overlap(rows, kmeans(rows, parts, 4, seed), 1)
-            new = out.where(F.col("shard") == s).drop("shard").join(cut.select("id", (F.col("shard") + nxt).alias("shard")), "id").select("shard", "id", "choice", "d2")
-            out = out.where(F.col("shard") != s).union(new)
-            nxt += parts
-        from ..core.iterate import step
-
-        out = step(out)
+        base, first = max(sizes) + 1, {}
+        for s in sorted(over):
+            first[s], base = base, base + over[s]
+        table = v.sparkSession.createDataFrame([(s, n, first[s]) for s, n in over.items()], "shard int, parts int, first int")
+        rows = out.join(F.broadcast(table), "shard").join(v.select("id", F.col("vec").cast("array<double>").alias("vec")), "id")
+        rows = step(rows.select("shard", "id", "choice", "d2", "vec", "parts", "first"))
+        place = mix(seed + turn, F.col("id"))
+        share = F.least(F.lit(1.0), 2.0 * per * F.col("parts") / F.col("n"))  # about twice the rows that are used
+        counted = rows.join(F.broadcast(v.sparkSession.createDataFrame([(s, sizes[s]) for s in over], "shard int, n long")), "shard")
+        sample = counted.where(place / 2147483647.0 <= share).select("shard", "id", "vec", "parts")
+
+        def centres(key, t):
+            x = np.asarray(t.column("vec").combine_chunks().flatten().to_numpy(zero_copy_only=False), np.float64).reshape(t.num_rows, -1)
+            parts = int(t.column("parts")[0].as_py())
+            ids = np.asarray(t.column("id").to_numpy())
+            c = lloyd(x[np.argsort(ids, kind="stable")][: per * parts], parts, 4)
+            return pa.table({"shard": pa.array([key[0].as_py()] * len(c), pa.int32()), "part": pa.array(range(len(c)), pa.int32()), "vec": pa.array(list(c), pa.list_(pa.float64()))})
+
+        learned = sample.groupBy("shard").applyInArrow(centres, "shard int, part int, vec array<double>").collect()  # parts of oversize shards
+        cent = {s: np.array([r.vec for r in sorted(learned, key=lambda r: r.part) if r.shard == s]) for s in over}
+
+        def each(batches, cent=cent, first=first):
+            for b in batches:
+                shard = b.column(0).to_numpy(zero_copy_only=False)
+                x = _matrix(b, 4)
+                new = shard.copy()
+                for s in np.unique(shard).tolist():
+                    here = shard == s
+                    new[here] = first[s] + nearest(x[here], cent[s])[0][:, 0]
+                yield pa.RecordBatch.from_arrays([pa.array(new, pa.int32()), b.column(1), b.column(2), b.column(3)], names=["shard", "id", "choice", "d2"])
+
+        cut = rows.select("shard", "id", "choice", "d2", "vec").mapInArrow(each, out.select("shard", "id", "choice", "d2").schema)
+        out = step(out.join(F.broadcast(table.select("shard")), "shard", "left_anti").select("shard", "id", "choice", "d2").union(cut))
     return out

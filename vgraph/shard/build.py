@@ -54,10 +54,19 @@ def _frame(b):
 
 def build_local(v: DataFrame, assigned: DataFrame, recipe: str | Rule = "occlusion_relaxed", k: int = 32, init: dict | None = None, limit: int = 2_000_000) -> DataFrame:
     """(shard, src, dst, rank, d2) of every shard's local index; ids stay global. A shard above ``limit`` rows is refused: plan smaller ones."""
+    return build_rows(with_vectors(v, assigned), recipe, k, init, limit)
+
+
+def with_vectors(v: DataFrame, assigned: DataFrame) -> DataFrame:
+    """(shard, id, vec): the one shuffle of the vectors, m copies of each."""
+    return assigned.select("shard", "id").join(v.select("id", F.col("vec").cast("array<double>").alias("vec")), "id").select("shard", "id", "vec")
+
+
+def build_rows(rows: DataFrame, recipe: str | Rule = "occlusion_relaxed", k: int = 32, init: dict | None = None, limit: int = 2_000_000) -> DataFrame:
+    """The same from rows that carry their shard and vector."""
     rule = RECIPES[recipe] if isinstance(recipe, str) else recipe
     init = init or {}
-    ship(v.sparkSession)
-    rows = assigned.select("shard", "id").join(v.select("id", F.col("vec").cast("array<double>").alias("vec")), "id").select("shard", "id", "vec")
+    ship(rows.sparkSession)
 
     def one(key, table):
         from ..core.metric import sq_l2_rows

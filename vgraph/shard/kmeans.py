@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from ..core.iterate import step
 from ..core.mix import mix
 from ..core.ship import ship
 from ..core.types import DBL, INT, LONG
@@ -24,9 +25,23 @@ PART = T.StructType([T.StructField("shard", INT), T.StructField("n", LONG), T.St
 
 def nearest(x: np.ndarray, cent: np.ndarray, m: int = 1) -> tuple[np.ndarray, np.ndarray]:
     """The m nearest centroids of each row and their squared distances, ties to the smaller number."""
-    d = ((x[:, None, :] - cent[None, :, :]) ** 2).sum(-1)
+    rough = (x**2).sum(1)[:, None] + (cent**2).sum(1)[None, :] - 2 * x @ cent.T  # the product selects, differences report
+    few = min(m + 4, len(cent))
+    near = np.sort(np.argpartition(rough, few - 1, 1)[:, :few], 1) if few < len(cent) else np.tile(np.arange(len(cent)), (len(x), 1))
+    d = ((x[:, None, :] - cent[near]) ** 2).sum(-1)
     at = np.argsort(d, axis=1, kind="stable")[:, :m]
-    return at, np.take_along_axis(d, at, 1)
+    return np.take_along_axis(near, at, 1), np.take_along_axis(d, at, 1)
+
+
+def lloyd(x: np.ndarray, c: int, rounds: int) -> np.ndarray:
+    """K-means of resident rows from evenly placed ones; an empty cluster keeps its place."""
+    cent = x[np.linspace(0, len(x) - 1, min(c, len(x))).astype(int)].copy()
+    for _ in range(rounds):
+        at = nearest(x, cent)[0][:, 0]
+        for j in range(len(cent)):
+            if (at == j).any():
+                cent[j] = x[at == j].mean(0)
+    return cent
 
 
 def _matrix(b, i):
@@ -60,7 +75,7 @@ def kmeans_step(v: DataFrame, cent: np.ndarray) -> np.ndarray:
 def kmeans(v: DataFrame, c: int, rounds: int = 8, seed: int = 42, per: int = 256) -> np.ndarray:
     """Centroids learned on at most ``per`` * c vectors, those of least mix: the bound is a parameter, assignment covers every row."""
     sample = v.withColumn("m", mix(seed + 1, F.col("id"))).orderBy("m", "id").limit(per * c).select("id", "vec")
-    sample = sample.sparkSession.createDataFrame(sample.collect(), sample.schema).repartition(max(1, c // 64))
+    sample = step(sample.repartition(max(1, c // 64)))  # the bounded sample stays a table; only partial sums come to the driver
     cent = seeds(v, c, seed)
     for _ in range(rounds):
         cent = kmeans_step(sample, cent)
