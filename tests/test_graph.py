@@ -228,3 +228,33 @@ def test_oversize_shards_are_split_together(spark):
     assert max(sizes.values()) <= 80 and sum(sizes.values()) == 330 and cut.select("id").distinct().count() == 330
     b = sharded_build(v, "detour_rank", 2, 1, 2, 8, {"method": "exact"}, rounds=2, limit=100)
     assert b.edges.select("src").distinct().count() == 330 and b.writes == 330 + b.reads
+
+
+def test_filtered_index_search_meets_the_exact_answer(spark, small):
+    from vgraph.exact import filtered_search
+    from vgraph.search.beam import filtered_index_search
+
+    x, v = small
+    index = build_index(v, "detour_rank", k=12, degree=10, init={"method": "exact"})
+    lab = v.withColumn("label", (F.col("id") % 5).cast("int"))
+    q = v.where("id % 9 = 0").select(F.col("id").alias("qid"), "vec")
+    got = filtered_index_search(lab, index.edges, q, 4, "label = 2", pool=40)
+    assert got.join(lab, "id").where("label <> 2").count() == 0
+    assert recall(filtered_search(lab, q, 4, "label = 2"), got, 4).first().recall > 0.9
+    assert filtered_index_search(lab, index.edges, q, 4, "label = 99").count() == 0
+
+
+def test_sql_table_functions_over_graphs(spark, small):
+    from vgraph.sql.functions import register, register_search
+
+    x, v = small
+    register(spark)
+    v.createOrReplaceTempView("small_v")
+    g = spark.sql("select * from knn_graph(table(select id, vec from small_v) with single partition, 3)").collect()
+    want = {(r.src, r.rank): r.dst for r in exact_search(v, v.select(F.col("id").alias("qid"), "vec"), 3, True).withColumnRenamed("qid", "src").withColumnRenamed("id", "dst").collect()}
+    assert {(r.src, r.rank): r.dst for r in g} == want
+    d = spark.sql("select v_sq_l2(a.vec, b.vec) as d from small_v a join small_v b on a.id = 0 and b.id = 1").first().d
+    assert abs(d - ((x[0] - x[1]) ** 2).sum()) < 1e-9
+    register_search(spark, build_index(v, "detour_rank", k=12, degree=10, init={"method": "exact"}), "search_small")
+    near = spark.sql("select q.id as q, s.id, s.rank from small_v q, lateral search_small(q.vec, 1) s where q.id < 20").collect()
+    assert len(near) == 20 and sum(r.q == r.id for r in near) >= 19

@@ -229,3 +229,44 @@ def test_tiny_sets(n):
     for rule in RECIPES.values():
         g = resident_build(y, rule, 8, {"it1": 1, "it2": 1, "sample": 2})
         assert len(g) == n and all(v not in r for v, r in enumerate(g))
+
+
+def test_original_prune_forms_agree_with_the_fast_ones():
+    x = np.random.default_rng(8).normal(size=(70, 5))
+    to = D.exact_lists(x, 16).to
+    assert all(np.array_equal(a, b) for a, b in zip(P.detour_prune_rows(to, 8), P.detour_prune(to, 8), strict=True))
+    assert all(np.array_equal(a, b) for a, b in zip(P.dispersion_lists(x, list(to), 8, False), P.dispersion_lists(x, list(to), 8), strict=True))
+
+
+def test_descent_ends_at_its_recall_target():
+    x = np.random.default_rng(9).normal(size=(300, 8))
+    truth, seen = D.exact_lists(x, 12).to, []
+    stop = D.until_recall(x, 12, 0.9)
+
+    def trace(it, g):
+        seen.append(it)
+        return stop(it, g)
+
+    g = D.two_phase(x, 12, 10, 10, 6, trace=trace)
+    assert len(seen) < 21 and D.recall(g.to, truth) > 0.85
+    settled = D.two_phase(x, 12, 10, 6, 6, delta=0.5)  # shared rounds that settle at once still hand over to the fine ones
+    assert settled.visited.any()
+
+
+def test_every_set_and_variant_is_its_own_task(spark, sf):
+    from vgraph import workloads as w
+
+    def body(x, name, variant, truth):
+        return [("r", variant, name, truth.shape[1], "rows", float(len(x)))]
+
+    named = w.sets(spark, sf, (96,))
+    got = w.in_tasks(spark, named, ["a", "b"], body, 5).collect()
+    assert {(r.dataset, r.method) for r in got} == {(n, v) for n in named for v in "ab"} and all(r.k == 5 for r in got)
+
+
+def test_two_phase_reaches_what_neither_shared_nor_single_rounds_reach(spark, sf):
+    from vgraph.workloads import WORKLOADS
+
+    r = {(x.method, x.dataset): x.value for x in WORKLOADS["w_phase_ablation"](spark, sf).where("metric = 'recall'").collect()}
+    for ds in {d for _, d in r}:
+        assert r["two_phase_long", ds] >= max(r["two_phase", ds], r["single", ds]) - 0.01 and r["single", ds] < r["two_phase", ds]

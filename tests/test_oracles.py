@@ -9,7 +9,7 @@ from vgraph.oracles import ORACLES
 from vgraph.queries import QUERIES
 
 METHODS = [
-    "exact_knn", "exact_search_queries", "range_search_queries", "random_graph", "merge_rank", "sample_fresh_old", "local_join_tile", "refine_one_iter",
+    "metric_variants", "exact_knn", "exact_search_queries", "range_search_queries", "random_graph", "merge_rank", "sample_fresh_old", "local_join_tile", "refine_one_iter",
     "collect_2hop", "prune_strict", "prune_wavefront_eq", "prune_serial_eq", "prune_angle", "prune_dispersion", "prune_dispersion_kernel", "prune_custom", "store_filled", "detour_counts", "detour_work_paired",
     "assign_overlapping", "kmeans_step", "cluster_overlap_graph", "dispatch_greedy", "cache_replay_greedy", "io_operations", "merge_of_locals", "merge_of_locals_ordered", "cache_merge_graph", "cache_merge_io", "doc_vectors", "event_vectors",
 ]

@@ -249,26 +249,37 @@ def fine_round(x, g: Lists, m: int, take: int | None = None, ids=None, prefilter
 
 
 def two_phase(x, k: int, it1: int, it2: int, sample: int, m: int = 2, tile: int = 4, keep: str = "tile", seed: int = 42, reverse: bool = True, delta: float = 0.0, take: int | None = None, prefilter: str | None = None, ids=None, trace=None) -> Lists:
-    """Shared rounds, then fine rounds; stops early when fewer than ``delta`` * n * k entries change. ``trace(it, lists)`` sees each round."""
+    """Shared rounds, then fine rounds; stops early when fewer than ``delta`` * n * k entries change, or where ``trace(it, lists)``, which
+    sees each round, returns True (``until_recall`` makes such a trace)."""
     x = np.asarray(x, np.float64)
     g = random_lists(x, k, seed, ids)
     if trace:
         trace(0, g)
-    for it in range(1, it1 + 1):
-        g, new = shared_round(x, g, sample, it, seed, keep, tile, reverse, ids)
-        if trace:
-            trace(it, g)
-        if new < delta * g.to.size:
+    for it in range(1, it1 + it2 + 1):
+        if it <= it1:
+            g, new = shared_round(x, g, sample, it, seed, keep, tile, reverse, ids)
+        else:
+            g, new = fine_round(x, g, m, take, ids, prefilter)
+        if trace and trace(it, g) is True:
             break
-    for it in range(it1 + 1, it1 + it2 + 1):
-        g, new = fine_round(x, g, m, take, ids, prefilter)
-        if trace:
-            trace(it, g)
-        if new < delta * g.to.size or new == 0:
+        settled = new < delta * g.to.size
+        if it > it1 and (settled or new == 0):
             break
+        if settled:
+            it1 = it  # the shared phase is over: the fine one follows
     return g
 
 
+def until_recall(x: np.ndarray, k: int, target: float, rows: int = 64, seed: int = 42, ids=None):
+    """A trace that ends a descent once the mean recall of ``rows`` sampled rows, whose true lists are computed, reaches ``target``."""
+    ids = np.arange(len(x)) if ids is None else ids
+    some = np.argsort(mix_np(seed, ids), kind="stable")[:rows]
+    d = (x[some] ** 2).sum(1)[:, None] + (x**2).sum(1)[None, :] - 2 * x[some] @ x.T
+    d[np.arange(len(some)), some] = np.inf
+    truth = np.argsort(d, axis=1, kind="stable")[:, : min(k, len(x) - 1)]
+    return lambda it, g: bool(recall(g.to[some], truth) >= target)
+
+
 def exact_lists(x: np.ndarray, k: int, ids=None) -> Lists:
     """The true lists of a shard small enough for its own square."""
     n = len(x)

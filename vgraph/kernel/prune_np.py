@@ -66,6 +66,26 @@ def dispersion(v: np.ndarray, dp: np.ndarray, degree: int) -> tuple[list[int], f
     return kept, total
 
 
+def dispersion_anew(v: np.ndarray, dp: np.ndarray, degree: int) -> list[int]:
+    """The same choice with every candidate's angle sum added up anew in each step: the original form, of which ``dispersion`` keeps the sums."""
+    kept = [0] if len(dp) else []
+    while kept and len(kept) < min(degree, len(dp)):
+        s = np.zeros(len(dp))
+        for i in kept:
+            s = s + apex_angle_np(np.full(len(dp), dp[i]), dp, sq_l2_rows(v[i], v))
+        s[kept] = -np.inf
+        kept.append(int(np.flatnonzero(s >= s.max() - 1e-9)[0]))
+    return kept
+
+
+def dispersion_lists(x: np.ndarray, cand: list[np.ndarray], degree: int, running: bool = True) -> list[np.ndarray]:
+    out = []
+    for p, c in enumerate(cand):
+        dp = sq_l2_rows(x[p], x[c]) if len(c) else np.zeros(0)
+        out.append(c[dispersion(x[c], dp, degree)[0] if running else dispersion_anew(x[c], dp, degree)])
+    return out
+
+
 def detours(to: np.ndarray, hop: str = "forward") -> np.ndarray:
     """(n, k) detour counts of every edge of fixed-width lists, from ranks alone: no vector is read."""
     n, k = to.shape
@@ -95,6 +115,18 @@ def detour_prune(to: np.ndarray, degree: int, hop: str = "forward") -> np.ndarra
     return np.take_along_axis(to, order, 1)
 
 
+def detour_prune_rows(to: np.ndarray, degree: int) -> list[np.ndarray]:
+    """``detour_prune`` with each edge's detours counted one by one: the original form."""
+    place = [{int(w): r for r, w in enumerate(row) if w >= 0} for row in to]
+    out = []
+    for row in to:
+        own = [int(w) for w in row if w >= 0]
+        count = [sum(place[m].get(w, len(row)) < r for m in own[:r]) for r, w in enumerate(own)]
+        order = sorted(range(len(own)), key=lambda r: (count[r], r))[:degree]
+        out.append(np.array([own[r] for r in order], to.dtype))
+    return out
+
+
 def work(k: int, kernel: str) -> list[int]:
     """List positions scanned by each work unit of the detour count over a list of k: one unit a candidate (r - 1 scans), or pairs of
     candidates whose positions sum to k + 2, so that each unit scans k (half of it for a middle position alone)."""

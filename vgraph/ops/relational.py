@@ -95,6 +95,19 @@ def join_anti(s, d):
     return table(s, d, "documents").join(table(s, d, "labels"), "doc_id", "left_anti").groupBy("lang").agg(F.count(F.lit(1)).alias("n"))
 
 
+@op
+def join_self_twohop(s, d):
+    """Nodes two steps away in the exact graph, direct neighbours and the node itself left out, with the number of ways."""
+    from ..core.iterate import step
+    from ..data import embeddings
+    from ..exact import exact_knn_graph
+
+    g = step(exact_knn_graph(embeddings(s, d), 10).select("src", "dst"))
+    two = g.alias("a").join(g.alias("b"), F.col("a.dst") == F.col("b.src")).select(F.col("a.src").alias("src"), F.col("b.dst").alias("far")).where("src <> far")
+    far = two.join(g, (two["src"] == g["src"]) & (two["far"] == g["dst"]), "left_anti")
+    return far.groupBy("src", "far").agg(F.count(F.lit(1)).alias("ways"))
+
+
 @op
 def join_cross(s, d):
     g = table(s, d, "region")  # a fixed list of five rows

@@ -21,6 +21,7 @@ TWINS = {
     "op_join_left": "select c_mktsegment, count(o_orderkey) as n_orders, count(*) filter (where o_orderkey is null) as n_without from customer left join orders on c_custkey = o_custkey group by 1",
     "op_join_right": "select lang, count(quality) as labelled, count(*) as n from labels right join documents using (doc_id) group by 1",
     "op_join_full": "select n_name, count(s_suppkey) as n from nation full join supplier on n_nationkey = s_nationkey group by 1",
+    "op_join_self_twohop": "with e as (select vec_id as id, cast(embedding as double[]) as v from embeddings), a as (select x.id as src, y.id as dst, list_sum(list_transform(list_zip(x.v, y.v), lambda z: (z[1] - z[2]) * (z[1] - z[2]))) as d2 from e x, e y where x.id <> y.id), g as materialized (select src, dst from (select *, row_number() over (partition by src order by d2, dst) as r from a) where r <= 10) select p.src, q.dst as far, count(*) as ways from g p join g q on p.dst = q.src where p.src <> q.dst and not exists (select 1 from g where g.src = p.src and g.dst = q.dst) group by 1, 2",
     "op_join_semi": "select lang, count(*) as n from documents where doc_id in (select doc_id from labels) group by 1",
     "op_join_anti": "select lang, count(*) as n from documents where doc_id not in (select doc_id from labels) group by 1",
     "op_join_cross": "select x.r_name as a, y.r_name as b from region x, region y",

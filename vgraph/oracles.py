@@ -122,6 +122,7 @@ ORACLES = {
     "exact_search_queries": f"with {E}, {Q} select qid, id, rank, {R} from (select *, row_number() over (partition by qid order by d2, id) as rank from (select qid, e.id, {d2('qv', 'v')} as d2 from q, e where qid <> e.id)) where rank <= {K}",
     "range_search_queries": f"with {E}, {Q} select qid, id, {R} from (select qid, e.id, {d2('qv', 'v')} as d2 from q, e) where d2 <= 1.2 * 1.2",
     "filtered_search_label": f"with {E}, {Q} select qid, id, rank, {R} from (select *, row_number() over (partition by qid order by d2, id) as rank from (select qid, e.id, {d2('qv', 'v')} as d2 from q, e where label = 3)) where rank <= {K}",
+    "metric_variants": f"with {E}, p as (select b.id, a.v as x, b.v as y from e a join e b on b.id = a.id + 1 where a.id % 100 = 0), n as (select id, {d2('x', 'y')} as d2, list_sum(list_transform(list_zip(x, y), lambda z: z[1] * z[2])) as dot, sqrt(list_sum(list_transform(x, lambda z: z * z))) * sqrt(list_sum(list_transform(y, lambda z: z * z))) as size from p) select id, round(sqrt(d2), 6) as l2, round(1 - dot / nullif(size, 0), 6) as cosine, round(-dot, 6) as inner from n",
     "distance_matrix_stats": f"with {knn()} select rank, count(*) as n, round(avg(d2), 6) as mean_d2, round(min(d2), 6) as min_d2, round(max(d2), 6) as max_d2 from knn group by 1",
     "random_graph": f"with {E}, {RANDOM} select src, dst, rank, {R} from rg",
     "random_graph_recall": f"with {knn()}, {RANDOM} select (select count(*) from e) as queries, round((select count(*) from rg join knn using (src, dst)) / cast({K} as double) / (select count(*) from e), 6) as recall",

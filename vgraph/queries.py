@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import data
+from .core import metric
 from .core.iterate import step
 from .core.mix import mix
 from .core.types import flat, nested
@@ -24,7 +25,7 @@ from .prune import rank as pr
 from .prune import store as ps
 from .prune.pipeline import prune
 from .prune.rules import Rule
-from .search.beam import batch_search, beam_search, sharded_search
+from .search.beam import batch_search, beam_search, filtered_index_search, sharded_search
 from .shard import dispatch as dp
 from .shard import kmeans as km
 from .shard import replay as rp
@@ -342,6 +343,24 @@ def search_io(s, d):
     return b.select("qid", "expanded", "computed").distinct()
 
 
+@query
+def filtered_index_recall(s, d):
+    """Recall of searches over the index for rows of one label against the exact filtered answer."""
+    v, g = _index(s, d)
+    lab = data.table(s, d, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("vec"), "label")
+    q = data.query_set(v)
+    return recall(filtered_search(lab, q, K, "label % 2 = 0"), filtered_index_search(lab, g, q, K, "label % 2 = 0"), K)
+
+
+@query
+def metric_variants(s, d):
+    """Euclidean, cosine and inner-product distance of each query to rows of the next id."""
+    v = emb(s, d)
+    q = data.query_set(v).select((F.col("qid") + 1).alias("id"), F.col("vec").alias("qv"))
+    j = q.join(v, "id")
+    return j.select("id", *[F.round(metric.distance(F.col("qv"), F.col("vec"), m), 6).alias(m) for m in ("l2", "cosine", "inner")])
+
+
 # -- shards -----------------------------------------------------------------------------------------
 def _seeded(s, d, m=M):
     v = emb(s, d)

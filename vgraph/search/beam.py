@@ -20,12 +20,14 @@ VEC = T.ArrayType(DBL)
 ROW = T.StructType([T.StructField("shard", INT), T.StructField("kind", INT), T.StructField("id", LONG), T.StructField("vec", VEC), T.StructField("dst", LONG), T.StructField("rank", INT)])
 
 
-def _search(v: DataFrame, edges: DataFrame, q: DataFrame, k: int, pool: int, width: int, starts: int, seed: int) -> DataFrame:
-    """v, edges and q carry a shard; (shard, qid, id, d2, expanded, computed)."""
+def _search(v: DataFrame, edges: DataFrame, q: DataFrame, k: int, pool: int, width: int, starts: int, seed: int, allowed: bool = False) -> DataFrame:
+    """v, edges and q carry a shard; (shard, qid, id, d2, expanded, computed). With ``allowed`` v has a boolean column ``ok``: the search
+    walks over all nodes and answers with the nearest of those it met that are ok (``rank`` carries the flag)."""
     ship(v.sparkSession)
     none = F.lit(None)
+    flag = F.col("ok").cast(INT) if allowed else none.cast(INT)
     rows = (
-        v.select("shard", F.lit(0).alias("kind"), "id", F.col("vec").cast(VEC).alias("vec"), none.cast(LONG).alias("dst"), none.cast(INT).alias("rank"))
+        v.select("shard", F.lit(0).alias("kind"), "id", F.col("vec").cast(VEC).alias("vec"), none.cast(LONG).alias("dst"), flag.alias("rank"))
         .union(edges.select("shard", F.lit(1), F.col("src"), none.cast(VEC), "dst", F.col("rank").cast(INT)))
         .union(q.select("shard", F.lit(2), F.col("qid"), F.col("vec").cast(VEC), none.cast(LONG), none.cast(INT)))
     )
@@ -36,7 +38,11 @@ def _search(v: DataFrame, edges: DataFrame, q: DataFrame, k: int, pool: int, wid
         import pyarrow.compute as pc
 
         part = lambda kind: t.filter(pc.equal(t.column("kind"), kind))
-        ids, x = _frame(part(0))
+        own = part(0)
+        ids, x = _frame(own)
+        ok = None
+        if allowed and len(ids):
+            ok = np.asarray(own.column("rank").to_numpy(zero_copy_only=False))[np.argsort(np.asarray(own.column("id").to_numpy()), kind="stable")] == 1
         e = part(1)
         graph = resident_graph(ids, pa.table({"src": e.column("id"), "dst": e.column("dst"), "rank": e.column("rank")}))
         qids, qx = _frame(part(2))
@@ -47,6 +53,12 @@ def _search(v: DataFrame, edges: DataFrame, q: DataFrame, k: int, pool: int, wid
                 # random starts come from the portable mix; one start is the entry point
                 begin = first if starts <= 1 else sorted({int(mix_np(seed, i, s) % len(ids)) for s in range(starts)})
                 got, d, log, exp = S.beam(x, graph, qv, k, pool, begin, width, ids)
+                if ok is not None:
+                    met = np.array(log)
+                    met = met[ok[met]]
+                    far = ((x[met] - qv) ** 2).sum(1)
+                    best = np.lexsort((ids[met], far))[:k]
+                    got, d = met[best], far[best]
                 for o, val in zip(out, ([i] * len(got), ids[got].tolist(), d.tolist(), [exp] * len(got), [len(log)] * len(got)), strict=True):
                     o += val
         s = key[0].as_py()
@@ -70,6 +82,16 @@ def beam_search(v: DataFrame, edges: DataFrame, q: DataFrame, k: int, pool: int
     return _best(_search(v.withColumn("shard", zero), edges.withColumn("shard", zero), q.withColumn("shard", zero), k, pool, width, 1, 0), k)
 
 
+def filtered_index_search(v: DataFrame, edges: DataFrame, q: DataFrame, k: int, where, pool: int = 128) -> DataFrame:
+    """Search over an index of all rows for the nearest rows that the predicate ``where`` on the other columns of ``v`` lets through.
+
+    The walk uses every node, so that a rare value does not cut the graph apart; among the nodes whose distance it computed, the
+    nearest allowed ones are the answer. A wider pool meets more of them; ``filtered_search`` is the exact answer."""
+    zero, ok = F.lit(0).cast(INT), F.expr(where) if isinstance(where, str) else where
+    flagged = v.select("id", "vec", F.coalesce(ok, F.lit(False)).alias("ok"), zero.alias("shard"))
+    return _best(_search(flagged, edges.withColumn("shard", zero), q.withColumn("shard", zero), k, pool, 1, 1, 0, True), k)
+
+
 def batch_search(v: DataFrame, edges: DataFrame, q: DataFrame, k: int, pool: int = 64, width: int = 4, starts: int = 8, seed: int = 42) -> DataFrame:
     """The same from several random starts, several expansions a step."""
     zero = F.lit(0).cast(INT)

@@ -14,7 +14,8 @@ from ..prune.rules import RECIPES, Rule
 
 
 def resident_build(x: np.ndarray, rule: Rule, k: int, init: dict, ids: np.ndarray | None = None) -> list[np.ndarray]:
-    """Lists of row numbers: initialise, collect, filter. ``init``: {'method': 'two_phase' | 'exact' | 'random', ...settings}."""
+    """Lists of row numbers: initialise, collect, filter. ``init``: {'method': 'two_phase' | 'exact' | 'random', ...settings}; its
+    'target' ends the descent at that recall of sampled rows."""
     from ..kernel import descent_np as D
     from ..kernel import prune_np as P
     from ..kernel import search_np as S
@@ -31,7 +32,9 @@ def resident_build(x: np.ndarray, rule: Rule, k: int, init: dict, ids: np.ndarra
     elif method == "random":
         g = D.random_lists(x, k, how.get("seed", 42))
     else:
-        g = D.two_phase(x, k, how.pop("it1", 6), how.pop("it2", 6), how.pop("sample", 8), **how)
+        target = how.pop("target", None)
+        trace = D.until_recall(x, k, target) if target else None
+        g = D.two_phase(x, k, how.pop("it1", 6), how.pop("it2", 6), how.pop("sample", 8), trace=trace, **how)
     if rule.metric == "rank":
         return [r[r >= 0] for r in P.detour_prune(g.to, rule.degree, rule.hop)]
     if rule.mode == "1-hop":

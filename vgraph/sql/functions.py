@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import udtf
@@ -51,8 +52,73 @@ class NearestOf:
             yield int(ids[i]), r + 1, float(d[i])
 
 
+@udtf(returnType="src bigint, dst bigint, rank int, d2 double")
+class KnnGraph:
+    """``select * from knn_graph(table(v) with single partition, 10)``: the exact k-NN graph of a table (id, vec) of at most LIMIT rows;
+    ``partition by`` in its place gives one graph for each part, each held by one task."""
+
+    LIMIT = 200_000
+
+    def __init__(self):
+        self.ids, self.vecs, self.k = [], [], 0
+
+    def eval(self, row, k: int):
+        self.ids.append(row["id"])
+        self.vecs.append(row["vec"])
+        self.k = k
+        if len(self.ids) > self.LIMIT:
+            raise ValueError("knn_graph: too many rows for one task; use facade.knn_graph")
+
+    def terminate(self):
+        from vgraph.kernel.descent_np import exact_lists
+
+        if len(self.ids) > 1:
+            order = np.argsort(np.asarray(self.ids), kind="stable")
+            ids, x = np.asarray(self.ids)[order], np.asarray(self.vecs, float)[order]
+            g = exact_lists(x, min(self.k, len(ids) - 1), ids)
+            for i, (to, d2) in enumerate(zip(g.to, g.d2, strict=True)):
+                for r, (j, d) in enumerate(zip(to.tolist(), d2.tolist(), strict=True)):
+                    yield int(ids[i]), int(ids[j]), r + 1, float(d)
+
+
+@F.arrow_udf("double")
+def sq_l2_arrow(a: pa.Array, b: pa.Array) -> pa.Array:
+    """Squared distance of two vector columns, a batch at a time."""
+    n = len(a)
+    if not n:
+        return pa.array([], pa.float64())
+    x, y = (np.asarray(c.flatten().to_numpy(zero_copy_only=False), float).reshape(n, -1) for c in (a, b))
+    return pa.array(((x - y) ** 2).sum(1))
+
+
+def register_search(spark: SparkSession, index, name: str = "search", limit: int = 200_000) -> None:
+    """``select * from search(array(...), 10)``, laterally for a table of queries: best-first search over an index of at most ``limit``
+    nodes, which travels with the function. Larger indexes are searched by ``Index.search``."""
+    from vgraph.shard.build import resident_graph
+
+    rows = index.vectors.select("id", "vec").limit(limit + 1).collect()
+    if len(rows) > limit:
+        raise ValueError("the index is too large to travel with a function")
+    ids = np.array([r.id for r in rows], np.int64)
+    order = np.argsort(ids, kind="stable")
+    ids, x = ids[order], np.array([r.vec for r in rows], float)[order]
+    graph = resident_graph(ids, index.edges.select("src", "dst", "rank").toArrow())
+
+    class Search:
+        def eval(self, vec: list, k: int):
+            from vgraph.kernel import search_np as S
+
+            got, d, _, _ = S.beam(x, graph, np.asarray(vec, float), k, max(64, 2 * k), [S.entry_point(x, ids)], ids=ids)
+            for r, (i, v) in enumerate(zip(got.tolist(), d.tolist(), strict=True)):
+                yield int(ids[i]), r + 1, float(v)
+
+    spark.udtf.register(name, udtf(Search, returnType="id bigint, rank int, d2 double"))
+
+
 def register(spark: SparkSession) -> None:
     ship(spark)
+    spark.udf.register("v_sq_l2", sq_l2_arrow)
+    spark.udtf.register("knn_graph", KnnGraph)
     for head, body in FUNCTIONS.items():
         spark.sql(f"create or replace temporary function {head} return {body}")
     spark.udtf.register("dispatch_steps", DispatchSteps)

@@ -15,7 +15,7 @@ from . import data
 from .baseline import builders as B
 from .core.iterate import step
 from .core.ship import ship
-from .exact import exact_search
+from .exact import exact_knn_graph, exact_search
 from .kernel import descent_np as D
 from .kernel import prune_np as P
 from .kernel import search_np as S
@@ -38,81 +38,108 @@ def workload(f):
     return f
 
 
-def in_task(s: SparkSession, named: dict[str, DataFrame], body) -> DataFrame:
-    """``body(x, name)`` -> measurement rows, run inside one Arrow task per vector set: the resident experiments, whose set is a shard.
+def in_tasks(s: SparkSession, named: dict[str, DataFrame], variants: list[str], body, near: int = 0) -> DataFrame:
+    """``body(x, set, variant, truth)`` -> measurement rows, one Arrow task for each vector set and variant: the resident experiments, whose
+    sets are shards. ``truth`` holds the row numbers of each row's ``near`` nearest others, found by the distributed search before.
 
-    Sets of several names run side by side; only measurements come back."""
+    Only measurements come back. The groups are dealt into more partitions than there are groups, so that they run side by side."""
     ship(s)
     kinds = s.createDataFrame([], SCHEMA).schema
     arrow = (pa.string(), pa.string(), pa.string(), pa.int32(), pa.string(), pa.float64())
 
-    def of(name):
-        def one(key, t):
-            _, x = _frame(t)
-            rows = body(x, name) if len(x) > 1 else []
-            return pa.table({f.name: pa.array([r[i] for r in rows], a) for i, (f, a) in enumerate(zip(kinds, arrow, strict=True))})
-
-        return one
-
-    out = None
+    def one(key, t):
+        ids, x = _frame(t)
+        name, variant = (k.as_py() for k in key)
+        truth = None
+        if near and len(ids) > 1:
+            order = np.argsort(np.asarray(t.column("id").to_numpy()), kind="stable")
+            lists = t.column("near").combine_chunks()
+            truth = np.searchsorted(ids, np.asarray(lists.flatten().to_numpy(zero_copy_only=False))).reshape(len(ids), -1)[order]
+        rows = body(x, name, variant, truth) if len(x) > 1 else []
+        return pa.table({f.name: pa.array([r[i] for r in rows], a) for i, (f, a) in enumerate(zip(kinds, arrow, strict=True))})
+
+    every = None
     for name, v in named.items():
-        part = v.select(F.lit(0).alias("shard"), "id", F.col("vec").cast("array<double>").alias("vec")).groupBy("shard").applyInArrow(of(name), kinds)
-        out = part if out is None else out.union(part)
-    return out
+        v = v.select("id", F.col("vec").cast("array<double>").alias("vec"))
+        if near:
+            v = step(v)
+            e = exact_knn_graph(v, near).groupBy(F.col("src").alias("id")).agg(F.transform(F.array_sort(F.collect_list(F.struct("rank", "dst"))), lambda z: z["dst"]).alias("near"))
+            v = v.join(e, "id", "left")
+        v = v.withColumn("set", F.lit(name))
+        every = v if every is None else every.union(v)
+    groups = len(named) * len(variants)
+    dealt = every.withColumn("variant", F.explode(F.array(*map(F.lit, variants)))).repartition(4 * groups, "set", "variant")
+    return step(dealt.groupBy("set", "variant").applyInArrow(one, kinds))
 
 
 def table(s: SparkSession, rows: list) -> DataFrame:
     return s.createDataFrame([(a, b, c, int(k), m, float(x)) for a, b, c, k, m, x in rows], SCHEMA)
 
 
+#: Dimensions of the hashed-text sets beside the embeddings.
+DIMS = (96, 128, 282, 960)
+
+
 def sets(s: SparkSession, d: str, dims: tuple[int, ...] = (96, 282)) -> dict[str, DataFrame]:
     """The mid-dimension set and hashed whole texts of several dimensions."""
     return {"embeddings": data.embeddings(s, d)} | {f"doc_vec_{n}": data.doc_vec(s, d, n) for n in dims}
 
 
-def hits(x, graph, k: int = 10, pool: int = 64):
+def hits(x, graph, truth, k: int = 10, pool: int = 64):
     """Recall of searches for every hundredth row, itself left out, and their seconds."""
     q = range(0, len(x), data.EVERY)
     e = S.entry_point(x)
-    truth = D.exact_lists(x, k).to
     at = time.perf_counter()
     got = [S.beam(x, graph, x[i], k + 1, pool, [e])[0] for i in q]
     t = time.perf_counter() - at
-    return float(np.mean([len(set(a.tolist()) & set(truth[i].tolist())) / k for a, i in zip(got, q, strict=True)])), t, len(q)
+    return float(np.mean([len(set(a.tolist()) & set(truth[i, :k].tolist())) / k for a, i in zip(got, q, strict=True)])), t, len(q)
+
+
+BOTH = [f"{who}:{name}" for name in RECIPES for who in ("original", "fast")]
 
 
 @workload
 def w_profile_breakdown(s, d):
-    """Initialisation and pruning seconds of two original builders, and their bytes."""
+    """Initialisation and pruning seconds of two original builders, and the greatest memory they held at once (traced in runs of their own)."""
+    import tracemalloc
 
-    def body(x, ds):
-        rows = []
-        for name in ("detour_rank", "occlusion_strict"):
+    def body(x, ds, variant, _):
+        what, name = variant.split(":")
+        if what == "time":
             _, t = B.build(x, name, False)
-            rows += [("profile", name, ds, 32, m, t[m]) for m in ("init_s", "prune_s", "evaluations")]
-            rows.append(("profile", name, ds, 32, "bytes", float(x.shape[0] * (x.shape[1] * 4 + RECIPES[name].degree * 4))))
-        return rows
+            return [("profile", name, ds, 32, m, t[m]) for m in ("init_s", "prune_s", "evaluations")]
+        tracemalloc.start()
+        B.build(x, name, False)
+        peak = tracemalloc.get_traced_memory()[1]
+        tracemalloc.stop()
+        return [("profile", name, ds, 32, "peak_bytes", float(peak))]
+
+    return in_tasks(s, {"embeddings": data.embeddings(s, d)}, [f"{w}:{n}" for n in ("detour_rank", "occlusion_strict") for w in ("time", "memory")], body)
 
-    return in_task(s, {"embeddings": data.embeddings(s, d)}, body)
+
+TRACED = {"descent_single": {"it1": 8, "it2": 0, "keep": "one"}, "descent_full": {"it1": 8, "it2": 0, "keep": "all"}, "two_phase": {"it1": 4, "it2": 4}}
 
 
 @workload
 def w_recall_trace(s, d):
-    """Graph recall after each iteration of the single-closest, the full and the two-phase initialiser."""
+    """Graph recall and seconds after each iteration of the single-closest, the full and the two-phase initialiser, for two list lengths,
+    and the seconds until recall 0.95 (missing where it is not reached)."""
 
-    def body(x, ds):
-        truth, rows = D.exact_lists(x, 32).to, []
-        for name, kw in (("descent_single", {"it1": 8, "it2": 0, "keep": "one"}), ("descent_full", {"it1": 8, "it2": 0, "keep": "all"}), ("two_phase", {"it1": 4, "it2": 4})):
-            at = time.perf_counter()
+    def body(x, ds, variant, truth):
+        name, k = variant.split(":")
+        k, rows, at = min(int(k), len(x) - 1), [], time.perf_counter()
 
-            def seen(it, g, name=name, at=at):
-                rows.append(("trace", name, ds, 32, f"recall_it{it}", D.recall(g.to, truth)))
-                rows.append(("trace", name, ds, 32, f"seconds_it{it}", time.perf_counter() - at))
+        def seen(it, g):
+            t = time.perf_counter() - at
+            r = D.recall(g.to, truth[:, :k])
+            rows.extend([("trace", name, ds, k, f"recall_it{it}", r), ("trace", name, ds, k, f"seconds_it{it}", t)])
+            if r >= 0.95 and not any(m[4] == "seconds_to_0.95" for m in rows):
+                rows.append(("trace", name, ds, k, "seconds_to_0.95", t))
 
-            D.two_phase(x, 32, sample=8, trace=seen, **kw)
+        D.two_phase(x, k, sample=8 if k < 64 else 24, trace=seen, **TRACED[name])
         return rows
 
-    return in_task(s, {"embeddings": data.embeddings(s, d)}, body)
+    return in_tasks(s, {"embeddings": data.embeddings(s, d)}, [f"{n}:{k}" for n in TRACED for k in (32, 96)], body, 96)
 
 
 #: Own toy graph: an anchor with two fresh and four old members on a line; true neighbours of one fresh member lie outside the shared sample.
@@ -128,83 +155,104 @@ def w_sampling_toy(s, d):
     return s.createDataFrame([("shared", i, m) for i, m in enumerate(shared)] + [("per_node", i, m) for i, m in enumerate(own)], "sampling string, place int, member int")
 
 
+def compared(rows: DataFrame, metric: str, better: str) -> DataFrame:
+    """``rows`` with, for each set and recipe, how many times the original's ``metric`` the fast build's is (method without its prefix)."""
+    both = rows.where(F.col("metric") == metric).select("run", F.split("method", ":").alias("m"), "dataset", "k", "value")
+    wide = both.groupBy("run", F.get("m", F.lit(1)).alias("method"), "dataset", "k").agg(F.max(F.when(F.get("m", F.lit(0)) == "original", F.col("value"))).alias("o"), F.max(F.when(F.get("m", F.lit(0)) == "fast", F.col("value"))).alias("f"))
+    return rows.union(wide.select("run", "method", "dataset", "k", F.lit(better).alias("metric"), (F.col("o") / F.col("f")).alias("value")))
+
+
 @workload
 def w_build_time(s, d):
     """Seconds of original and fast builds, their ratio, and recall of a fixed search, for each recipe and set."""
 
-    def body(x, ds):
-        rows = []
-        for name in ("detour_rank", "occlusion_strict", "angle_threshold", "angle_dispersion"):
-            secs = {}
-            for fast in (False, True):
-                at = time.perf_counter()
-                g, _ = B.build(x, name, fast)
-                secs[fast] = time.perf_counter() - at
-                who = "fast" if fast else "original"
-                rows += [("build_time", name, ds, 10, f"{who}_s", secs[fast]), ("build_time", name, ds, 10, f"{who}_recall", hits(x, g)[0])]
-            rows.append(("build_time", name, ds, 10, "speedup", secs[False] / secs[True]))
-        return rows
+    def body(x, ds, variant, truth):
+        who, name = variant.split(":")
+        at = time.perf_counter()
+        g, _ = B.build(x, name, who == "fast")
+        t = time.perf_counter() - at
+        return [("build_time", variant, ds, 10, "seconds", t), ("build_time", variant, ds, 10, "recall", hits(x, g, truth)[0])]
 
-    return in_task(s, sets(s, d, (96,)), body)
+    return compared(in_tasks(s, sets(s, d, DIMS), BOTH, body, 10), "seconds", "speedup")
 
 
 @workload
 def w_other_builders(s, d):
     """Seconds and recall of the incremental, iterated, two-pass relaxed and divide-and-conquer builders."""
+    own = {
+        "incremental": lambda x: B.incremental(x, 12, 32), "incremental_layers": lambda x: B.incremental(x, 12, 32, layers=True), "iterated": lambda x: B.iterated_collect_prune(x, 24, 2),
+        "relaxed_two_pass": lambda x: B.relaxed_two_pass(x, 24, pool=24), "divide_conquer": lambda x: B.divide_conquer(x, 12, 100, 3),
+    }
 
-    def body(x, ds):
-        rows = []
-        for name, f in (("incremental", lambda: B.incremental(x, 12, 32)), ("incremental_layers", lambda: B.incremental(x, 12, 32, layers=True)), ("iterated", lambda: B.iterated_collect_prune(x, 24, 2)), ("relaxed_two_pass", lambda: B.relaxed_two_pass(x, 24, pool=24)), ("divide_conquer", lambda: B.divide_conquer(x, 12, 100, 3))):
-            at = time.perf_counter()
-            g = f()
-            rows += [("builders", name, ds, 10, "seconds", time.perf_counter() - at), ("builders", name, ds, 10, "recall", hits(x, g)[0])]
-        return rows
+    def body(x, ds, name, truth):
+        at = time.perf_counter()
+        g = own[name](x)
+        return [("builders", name, ds, 10, "seconds", time.perf_counter() - at), ("builders", name, ds, 10, "recall", hits(x, g, truth)[0])]
 
-    return in_task(s, {"embeddings": data.embeddings(s, d)}, body)
+    return in_tasks(s, {"embeddings": data.embeddings(s, d)}, list(own), body, 10)
 
 
 @workload
 def w_quality_curve(s, d):
-    """Recall and queries a second by pool size, original against fast, one recipe of each metric."""
+    """Recall and queries a second by pool size, original against fast, every recipe and set."""
 
-    def body(x, ds):
+    def body(x, ds, variant, truth):
+        g, _ = B.build(x, variant.split(":")[1], variant.startswith("fast"))
         rows = []
-        for name in ("detour_rank", "occlusion_strict", "angle_threshold"):
-            for fast in (False, True):
-                g, _ = B.build(x, name, fast)
-                for pool in (16, 32, 64):
-                    hit, t, n = hits(x, g, 10, pool)
-                    who = f"{'fast' if fast else 'original'}_{name}"
-                    rows += [("curve", who, ds, 10, f"recall_pool{pool}", hit), ("curve", who, ds, 10, f"qps_pool{pool}", n / t)]
+        for pool in (16, 32, 64, 128):
+            hit, t, n = hits(x, g, truth, 10, pool)
+            rows += [("curve", variant, ds, 10, f"recall_pool{pool}", hit), ("curve", variant, ds, 10, f"qps_pool{pool}", n / t)]
         return rows
 
-    return in_task(s, {"embeddings": data.embeddings(s, d)}, body)
+    return in_tasks(s, sets(s, d, DIMS), BOTH, body, 10)
+
+
+#: Many small and few large shards, as the large-scale experiment compares them.
+MANY, SOME = 40, 4
 
 
 @workload
 def w_sharded_build(s, d):
-    """Phase seconds of the sharded build: many small shards with ordered merging against few large ones."""
+    """Phase seconds, reads and writes of the sharded build: many small shards merged through the cache in order (overlapped with local
+    builds, and in turn) against few large ones, and the disk baseline (random start, two relaxed passes, everything written first)."""
+    from .baseline.run import disk_baseline
+    from .measure.timing import timed
+
     v = step(data.embeddings_copies(s, d, 2))
+    rule, init = RECIPES["occlusion_relaxed"].but(candidates=64, pool=32), {"method": "two_phase", "it1": 4, "it2": 2}
     rows = []
-    for c, overlap in ((12, True), (12, False), (3, True)):
-        b = sharded_build(v, RECIPES["occlusion_relaxed"].but(mode="1-hop", candidates=32), c, 2, 4, 32, {"method": "two_phase", "it1": 4, "it2": 2}, overlap=overlap, rounds=3)
-        rows += [("sharded", f"clusters_{c}_{'overlap' if overlap else 'in_turn'}", "embeddings_x2", 32, f"{n}_s", t) for n, t in b.seconds.items()]
-    return table(s, rows)
+    for c, cache, overlap in ((MANY, 16, True), (MANY, 16, False), (SOME, 4, True)):
+        b = sharded_build(v, rule, c, 2, cache, 32, init, overlap=overlap, rounds=3)
+        who = f"clusters_{c}_{'overlap' if overlap else 'in_turn'}"
+        rows += [("sharded", who, "embeddings_x2", 32, f"{n}_s", t) for n, t in b.seconds.items()] + [("sharded", who, "embeddings_x2", 32, "reads", b.reads), ("sharded", who, "embeddings_x2", 32, "writes", b.writes)]
+    return table(s, [*rows, ("sharded", f"disk_baseline_{SOME}", "embeddings_x2", 32, "all_s", timed(lambda: disk_baseline(v, SOME, rounds=3)))])
 
 
 @workload
 def w_sharded_quality(s, d):
-    """Search recall of merged indexes from many and from few shards, and the gap."""
+    """Recall and queries a second by pool size of merged indexes from many and from few shards, and the recall gap at equal speed where the
+    many-shard index reaches recall 0.95 and 0.98."""
+    from .measure.recall import curve_gap
+    from .measure.timing import qps
     from .search.beam import merged_search
 
     v = step(data.embeddings_copies(s, d, 2))
-    q = data.query_set(v)
-    truth = step(exact_search(v, q, 10))
-    out = {}
-    for c in (8, 3):
-        b = sharded_build(v, RECIPES["occlusion_relaxed"].but(mode="1-hop", candidates=32), c, 2, 4, 32, {"method": "exact"}, rounds=3)
-        out[c] = recall(truth, merged_search(v, b.edges, b.assigned, b.centroids, q, 10, probe=c, pool=64), 10).first().recall
-    return table(s, [("sharded_quality", f"clusters_{c}", "embeddings_x2", 10, "recall", r) for c, r in out.items()] + [("sharded_quality", "gap", "embeddings_x2", 10, "recall", out[3] - out[8])])
+    q = step(data.query_set(v))
+    truth, n = step(exact_search(v, q, 10)), q.count()
+    rows, curves = [], {}
+    for c, cache in ((MANY, 16), (SOME, 4)):
+        b = sharded_build(v, RECIPES["occlusion_relaxed"].but(mode="1-hop", candidates=32), c, 2, cache, 32, {"method": "two_phase", "it1": 4, "it2": 4}, rounds=3)
+        for pool in (16, 32, 64, 128):
+            found = lambda b=b, c=c, pool=pool: merged_search(v, b.edges, b.assigned, b.centroids, q, 10, probe=max(2, c // 5), pool=pool)
+            hit, speed = recall(truth, found(), 10).first().recall, qps(found, n, 0, 1)
+            curves.setdefault(c, []).append((float(speed), float(hit)))
+            rows += [("sharded_quality", f"clusters_{c}", "embeddings_x2", 10, f"recall_pool{pool}", hit), ("sharded_quality", f"clusters_{c}", "embeddings_x2", 10, f"qps_pool{pool}", speed)]
+    many, few = (s.createDataFrame(curves[c], "qps double, recall double") for c in (MANY, SOME))
+    gaps = curve_gap(many, few).collect()  # one row a pool size
+    for least in (0.95, 0.98):
+        got = [g.gap for g in gaps if g.recall_a >= least]
+        rows.append(("sharded_quality", "gap", "embeddings_x2", 10, f"gap_at_{least}", max(got, key=abs) if got else float("nan")))
+    return table(s, rows)
 
 
 @workload
@@ -223,59 +271,62 @@ def w_scaling(s, d):
     return table(s, rows)
 
 
+PHASES = {"phase1": {"it1": 8, "it2": 0}, "phase2": {"it1": 0, "it2": 8}, "single": {"it1": 8, "it2": 0, "keep": "one"}, "two_phase": {"it1": 4, "it2": 4}, "two_phase_long": {"it1": 8, "it2": 8}}
+
+
 @workload
 def w_phase_ablation(s, d):
     """Recall of shared rounds only, fine rounds only, the single-closest baseline and both phases."""
 
-    def body(x, ds):
-        truth, rows = D.exact_lists(x, 32).to, []
-        for name, kw in (("phase1", {"it1": 8, "it2": 0}), ("phase2", {"it1": 0, "it2": 8}), ("single", {"it1": 8, "it2": 0, "keep": "one"}), ("two_phase", {"it1": 4, "it2": 4}), ("two_phase_long", {"it1": 8, "it2": 8})):
-            at = time.perf_counter()
-            g = D.two_phase(x, 32, sample=8, **kw)
-            rows += [("ablation", name, ds, 32, "recall", D.recall(g.to, truth)), ("ablation", name, ds, 32, "seconds", time.perf_counter() - at), ("ablation", name, ds, 32, "evaluations", float(g.evaluations))]
-        return rows
+    def body(x, ds, name, truth):
+        at = time.perf_counter()
+        g = D.two_phase(x, 32, sample=8, **PHASES[name])
+        t = time.perf_counter() - at
+        return [("ablation", name, ds, 32, "recall", D.recall(g.to, truth)), ("ablation", name, ds, 32, "seconds", t), ("ablation", name, ds, 32, "evaluations", float(g.evaluations))]
 
-    return in_task(s, sets(s, d, (282,)), body)
+    return in_tasks(s, sets(s, d, (282,)), list(PHASES), body, 32)
 
 
 @workload
 def w_split_sweep(s, d):
     """Recall and seconds of splits of 8, 12 and 16 iterations between the phases."""
+    splits = [f"{it1}+{total - it1}" for total in (8, 12, 16) for it1 in range(0, total + 1, max(2, total // 4))]
+
+    def body(x, ds, name, truth):
+        it1, it2 = map(int, name.split("+"))
+        at = time.perf_counter()
+        g = D.two_phase(x, 32, it1, it2, 8)
+        t = time.perf_counter() - at
+        return [("split", name, ds, 32, "recall", D.recall(g.to, truth)), ("split", name, ds, 32, "seconds", t)]
+
+    return in_tasks(s, sets(s, d, (282,)), splits, body, 32)
 
-    def body(x, ds):
-        truth, rows = D.exact_lists(x, 32).to, []
-        for total in (8, 12, 16):
-            for it1 in range(0, total + 1, max(2, total // 4)):
-                at = time.perf_counter()
-                g = D.two_phase(x, 32, it1, total - it1, 8)
-                rows += [("split", f"{it1}+{total - it1}", ds, 32, "recall", D.recall(g.to, truth)), ("split", f"{it1}+{total - it1}", ds, 32, "seconds", time.perf_counter() - at)]
-        return rows
 
-    return in_task(s, {"embeddings": data.embeddings(s, d)}, body)
+RULES = {"occlusion_strict": ("dist", 1.0, 50), "occlusion_relaxed": ("dist", 1.2, 32), "angle_threshold": ("angle", 60.0, 50)}
 
 
 @workload
 def w_prune_time(s, d):
-    """Pruning seconds, serial and per-candidate against wavefront, of the same input graph, and whether the outputs agree."""
-
-    def body(x, ds):
-        to, rows = D.exact_lists(x, 32).to, []
-        cand = list(to)
-        for name, metric, thres, degree in (("occlusion_strict", "dist", 1.0, 50), ("occlusion_relaxed", "dist", 1.2, 32), ("angle_threshold", "angle", 60.0, 50)):
-            out = {}
-            for kernel in ("serial", "wavefront"):
-                at = time.perf_counter()
-                kept, tests = P.prune_lists(x, cand, metric, thres, degree, kernel=kernel)
-                rows += [("prune_time", name, ds, 32, f"{kernel}_s", time.perf_counter() - at), ("prune_time", name, ds, 32, f"{kernel}_tests", float(tests))]
-                out[kernel] = kept
-            rows.append(("prune_time", name, ds, 32, "same", float(all(np.array_equal(a, b) for a, b in zip(out["serial"], out["wavefront"], strict=True)))))
-        for name, f in (("angle_dispersion", lambda: P.prune_lists(x, cand, "angle", 0.0, 32)), ("detour_rank", lambda: P.detour_prune(to, 16))):
+    """Pruning seconds of the same input graph by the original form of each of the five rules and by the fast one, their ratio, and whether
+    the outputs agree: candidates one by one against waves, all angle sums anew against running ones, per-node counting of detours against
+    counting in whole matrices."""
+
+    def body(x, ds, name, to):
+        cand, rows, out = list(to), [], {}
+        for who in ("original", "fast"):
             at = time.perf_counter()
-            f()
-            rows.append(("prune_time", name, ds, 32, "fast_s", time.perf_counter() - at))
-        return rows
+            if name in RULES:
+                out[who], tests = P.prune_lists(x, cand, *RULES[name], kernel="serial" if who == "original" else "wavefront")
+                rows.append(("prune_time", f"{who}:{name}", ds, 32, "tests", float(tests)))
+            elif name == "angle_dispersion":
+                out[who] = P.dispersion_lists(x, cand, 16, running=who == "fast")
+            else:
+                out[who] = list(P.detour_prune(to, 16) if who == "fast" else P.detour_prune_rows(to, 16))
+            rows.append(("prune_time", f"{who}:{name}", ds, 32, "seconds", time.perf_counter() - at))
+        same = all(np.array_equal(a, b) for a, b in zip(out["original"], out["fast"], strict=True))
+        return [*rows, ("prune_time", name, ds, 32, "same", float(same))]
 
-    return in_task(s, sets(s, d), body)
+    return compared(in_tasks(s, sets(s, d, DIMS), list(RECIPES), body, 32), "seconds", "speedup")
 
 
 @workload
@@ -340,17 +391,15 @@ def w_dispatch_time(s, d):
 
 @workload
 def w_dim_sweep(s, d):
-    """Serial and wavefront pruning seconds by dimension."""
+    """Serial and wavefront pruning seconds of the strict and the angle rule by dimension."""
 
-    def body(x, ds):
-        to, rows = D.exact_lists(x, 24).to, []
-        for kernel in ("serial", "wavefront"):
-            at = time.perf_counter()
-            P.prune_lists(x, list(to), "dist", 1.0, 50, kernel=kernel)
-            rows.append(("dims", kernel, ds, x.shape[1], "prune_s", time.perf_counter() - at))
-        return rows
+    def body(x, ds, variant, truth):
+        kernel, name = variant.split(":")
+        at = time.perf_counter()
+        P.prune_lists(x, list(truth), *RULES[name], kernel=kernel)
+        return [("dims", variant, ds, x.shape[1], "prune_s", time.perf_counter() - at)]
 
-    return in_task(s, sets(s, d, (96, 128, 282, 960)), body)
+    return in_tasks(s, sets(s, d, DIMS), [f"{k}:{n}" for n in ("occlusion_strict", "angle_threshold") for k in ("serial", "wavefront")], body, 24)
 
 
 @workload
