@@ -129,6 +129,74 @@ def test_toxicity_learns_and_spares(spark):
     assert toxicity.fit(d, flipped).voters == toxicity.fit(d, lb).voters
 
 
+def test_label_posterior_is_the_enumerated_one():
+    """Against plain Python over every vote pattern: a pattern's joint chance with either class, parents and components included."""
+    r = np.random.default_rng(4)
+    kind, share, parent = np.array([0, 0, 1, 1]), np.array([0.5, 0.2, 0.2, 0.1]), np.array([-1, 0, 0, -1, 3])
+    m = toxicity.LabelModel(kind, share, parent, r.uniform(0.05, 0.9, (4, 2, 5)))
+    patterns = [[(i >> j) & 1 for j in range(5)] for i in range(32)]
+    want, total = [], 0.0
+    for f in patterns:
+        joint = [0.0, 0.0]
+        for c in range(4):
+            p = share[c]
+            for j in range(5):
+                led = parent[j] >= 0 and f[parent[j]]
+                p *= m.rate[c, int(led), j] if f[j] else 1 - m.rate[c, int(led), j]
+            joint[kind[c]] += p
+        want.append(joint[1] / sum(joint))
+        total += sum(joint)
+    assert abs(total - 1) < 1e-9 and np.abs(m.posterior(np.array(patterns)) - want).max() < 1e-9
+
+
+def test_label_model_counts_silence_and_finds_correlation():
+    r = np.random.default_rng(1)
+    y = r.random(2000) < 0.3
+    f = np.where(y[:, None], r.random((2000, 12)) < 0.6, r.random((2000, 12)) < 0.05)
+    lr = np.log(0.3 / 0.7) + np.where(f, np.log(0.6 / 0.05), np.log(0.4 / 0.95)).sum(1)
+    exact = 1 / (1 + np.exp(-lr))
+    for start in (y.astype(float), np.where(f.sum(1) > 2, 0.8, 0.2)):  # from labels, and from a vote count without any
+        q, m = toxicity.label_model(f, 0.3, start, kinds=1)
+        assert ((q > 0.5) == y).mean() > 0.98 and np.abs(q - exact).mean() < 0.01
+        assert (m.parent >= 0).sum() == 0 and (m.accuracy() > 0.8).all()
+    twice = np.hstack([f, f[:, :3], f[:, :3] ^ (r.random((2000, 3)) < 0.02)])  # voters that repeat others
+    q, m = toxicity.label_model(twice, 0.3, y.astype(float), kinds=1)
+    assert (m.parent >= 0).sum() == 6 and np.abs(q - exact).mean() < 0.01
+    _, many = toxicity.label_model(f, 0.3, y.astype(float))
+    assert ((many.posterior(f) > 0.5) == y).mean() > 0.98
+
+
+def test_own_label_moves_no_posterior():
+    """A row's returned posterior is that of its votes, whatever its label says."""
+    r = np.random.default_rng(2)
+    y = (r.random(1500) < 0.4).astype(float)
+    f = np.where(y[:, None] == 1, r.random((1500, 8)) < 0.6, r.random((1500, 8)) < 0.1)
+    known = y.copy()
+    known[500:] = np.nan
+    q, m = toxicity.label_model(f, 0.4, np.full(1500, 0.4), known)
+    again = m.posterior(f)
+    same = {}
+    for row, p in zip(map(tuple, f.tolist()), again.tolist(), strict=True):
+        assert abs(same.setdefault(row, p) - p) < 1e-9
+    assert np.abs(q - again).max() < 1e-6
+
+
+def test_toxicity_score_in_plain_python(spark):
+    import math
+
+    voters, least = ["badd*", "scum", *toxicity.PATTERNS], [2, 1, 1, 1, 1]
+    k = len(voters)
+    m = toxicity.Model(voters, least, None, np.arange(1, 2 * k + 2) / 7.0, -2.0)
+    texts_ = ["", None, "scum scum", "baddly baddest badder", "AAAA!! BBBB!! you are a scum", "you're such f**k " * 9]
+    for row in toxicity.score(spark.createDataFrame(list(enumerate(texts_)), SCHEMA), m).collect():
+        t = texts_[row.doc_id] or ""
+        words = set(toxicity.TOKEN.findall(t.lower()))
+        count = [sum(len(w) > 4 and w[:4] == "badd" for w in words), int("scum" in words), *toxicity.pattern_votes(t)]
+        over = [max(min(c, toxicity.CAP) - l + 1, 0) for c, l in zip(count, least, strict=True)]
+        z = -2.0 + sum(m.weights[j] * (o > 0) + m.weights[k + j] * min(o, 4) / 4 for j, o in enumerate(over)) + m.weights[2 * k] * math.log1p(len(words)) / 4
+        assert abs(row.score - 1 / (1 + math.exp(-z))) < 1e-9
+
+
 def test_language_held_out(spark, sf):
     d = table(spark, sf, "documents")
     p = lang_id.predict(d, lang_id.fit(d)).join(d, "doc_id").where("held_out").collect()
@@ -204,6 +272,29 @@ def test_url_as_of(spark):
     assert url_filter.judge(c, e.where("false")).where("not kept").count() == 0
 
 
+def test_deep_domains_and_long_histories(spark, duck):
+    """A host of twelve labels is looked up under all its parents, a history of 300 entries by bisection, as SQL says; both joins agree."""
+    deep = "a.b.c.d.e.f.g.h.i.j.example.com"
+    rows_ = [(1, "domain", deep, "block", "2024-01-01"), (2, "domain", "d.e.f.g.h.i.j.example.com", "allow", "2024-01-01")]
+    rows_ += [(10 + i, "host", "busy.example.org", ("block", "allow", "lift")[i % 3], str(np.datetime64("2024-01-01") + i)) for i in range(300)]
+    e = spark.createDataFrame(rows_, "entry_id long, scope string, value string, action string, day string").withColumn("listed_on", F.to_timestamp("day"))
+    caps = [(1, f"http://x.{deep}/", "2024-02-01"), (2, "http://z.e.f.g.h.i.j.example.com", "2024-02-01"), (3, f"http://{deep}", "2023-12-31"), (4, "http://" + "l." * 140 + "com", "2024-02-01")]
+    caps += [(100 + i, "http://busy.example.org/x", f"{np.datetime64('2023-12-25') + i} 12:00:00") for i in range(320)]
+    c = spark.createDataFrame(caps, "page_id long, url string, at string").select("page_id", "url", F.to_timestamp("at").alias("fetched_at"))
+    got = sorted((r.page_id, r.entry_id, r.kept) for r in url_filter.judge(c, e).collect())
+    want = {1: (1, False), 2: (None, True), 3: (None, True), 4: (None, True)}
+    for i in range(320):
+        day = i - 7
+        on = None if day < 0 else min(day, 299)
+        want[100 + i] = (None, True) if on is None or on % 3 == 2 else (10 + on, on % 3 != 0)
+    assert got == sorted((i, *x) for i, x in want.items())
+    kept, url_filter.BROADCAST_ENTRIES = url_filter.BROADCAST_ENTRIES, 10
+    try:
+        assert sorted((r.page_id, r.entry_id, r.kept) for r in url_filter.judge(c, e).collect()) == got
+    finally:
+        url_filter.BROADCAST_ENTRIES = kept
+
+
 def test_decontamination_tolerates_substitutions(spark):
     r = random.Random(3)
     item = [f"w{r.randrange(10**6)}" for _ in range(30)]
@@ -378,6 +469,59 @@ def test_contexts_find_new_identifiers(spark):
     assert red[52].text is None and red[50].base == "x"
 
 
+def test_base_spans_are_never_added_again(spark):
+    """Long e-mails, cards and numbers after a good pattern stay base spans alone, in plain Python over all rows."""
+    long = "a.very.long.name.of.somebody@mail.example.org"
+    docs = [(i, f"his badge number: {i:08x}{i:08x}{i:08x}{i:08x} here") for i in range(1, 12)] + [(50, f"his badge number: {long} here"), (51, f"his badge number: {'9' * 40}@{'b' * 70}.org and Qz7_22kLm9x"), (52, "his badge number: Qx7_22kLm9 and")]
+    got = {r.doc_id: r.spans for r in pii.digest(pii.extract(spark.createDataFrame(docs, SCHEMA))).collect()}
+    for i, t in docs:
+        base = [(s, e) for s, _, e in pii.base_spans(t)]
+        added = [tuple(map(int, x.split(":")[1:])) for x in got[i].split(",") if x.startswith("id:")]
+        assert not any(a < e and s < b for a, b in added for s, e in base)
+    assert got[50] == f"email:18:{18 + len(long)}" and got[52] == "id:18:28"
+
+
+def test_pattern_scores_in_plain_python(spark):
+    docs = [(i, f"his badge number: {i:08x}{i:08x}{i:08x}{i:08x} or order code Ab{i:06d}x") for i in range(1, 21)] + [(40 + i, f"his badge number: Zq{i:06d}k stands") for i in range(3)]
+    found = pii.scan(spark.createDataFrame(docs, SCHEMA))
+    got = {r.pattern: r.score for r in pii.patterns(found).collect()}
+    edges, trust = {}, {}
+    for r in found.collect():
+        for c in r.cand:
+            edges[c.pattern, c.instance] = max(c.seed, edges.get((c.pattern, c.instance), False))
+    for (_, x), seed in edges.items():
+        trust[x] = max(float(seed), trust.get(x, 0.0))
+    for _ in range(2):
+        score = {}
+        for p in {p for p, _ in edges}:
+            t = [trust[x] for q, x in edges if q == p]
+            if sum(v >= 0.5 for v in t) >= 5 and sum(t) / len(t) >= 0.5:
+                score[p] = sum(t) / len(t)
+        new = {}
+        for x in trust:
+            doubt = 1.0
+            for p, y in edges:
+                if y == x:
+                    doubt *= max(1e-6, 1 - score.get(p, 0.0))
+            new[x] = 1.0 if any(s for (_, y), s in edges.items() if y == x) else 1 - doubt
+        trust = new
+    want = {p: v for p, v in score.items() if v >= 0.9}
+    assert got.keys() == want.keys() and all(abs(got[p] - want[p]) < 1e-9 for p in want) and want
+
+
+def test_clashing_columns_stay_what_they_are(spark, labels):
+    """Columns named as the operators' internal ones, in any case of letters, come back with their own values."""
+    names = ["found", "dirty", "key", "extra", "new_text", "FOUND_", "__s", "__id", "__extra", "__dirty", "n_words", "rep", "class_id"]
+    text = " ".join(f"word{i}" for i in range(30))
+    d = spark.createDataFrame([(i, f"{text} {i} mail a{i}@b.org", *[f"{n}{i}" for n in names]) for i in range(4)], f"{SCHEMA}, " + ", ".join(f"`{n}` string" for n in names))
+    bench = spark.createDataFrame([(1, "not here at all but long enough to have a span of twelve tokens")], "item_id long, text string")
+    from vgraph.llm import near_dedup
+
+    for out in (rules.keep_good(d, rules.fit(d, labels)), decontam.clean(d, bench), pii.redact(d), near_dedup.keep_one(d.where("doc_id < 1"))):
+        assert out.columns == d.columns and out.count() > 0
+        assert all(r[n] == f"{n}{r.doc_id}" for r in out.collect() for n in names)
+
+
 # -- odd rows for all ---------------------------------------------------------------------------------
 def test_odd_rows(spark, odd, labels):
     bench = spark.createDataFrame([(1, "word word word word word word word word word word word word word"), (None, "x")], "item_id long, text string")

@@ -1,11 +1,12 @@
 """Toxicity by weak supervision.
 
 Voters: a fixed lexicon, words and word beginnings whose presence differs most between the labelled classes
-(mined from held-in labels), and patterns of writing. Each voter says "toxic" or abstains. A
-generative label model estimates by expectation maximisation how often each voter speaks on
-either class, and from the posterior how far voters repeat each other within a class; correlated
-voters share their weight. A linear classifier is then trained on the posterior labels, over the
-voters' (capped) counts, and scores every text.
+(mined from held-in labels), and patterns of writing. Each voter speaks or is silent, and both say something. A
+generative label model estimates by expectation maximisation, over labelled and unlabelled held-in rows, how often each
+voter speaks in either class. Voters that go together are modelled twice: a class has several components, on which other voters
+speak, and a voter may depend on a parent voter (the forest of the strongest dependences left). Labels serve the rates;
+they are no voters, and a row's posterior is that of its votes. A linear classifier is then trained on the posteriors of all
+these rows, over the voters' (capped) counts, and scores every text.
 """
 
 from __future__ import annotations
@@ -23,8 +24,13 @@ from pyspark.sql import types as T
 from .common import DBL, LONG, STR, held_out, map_rows, struct, texts
 
 TOKEN = re.compile(r"\w+")
-#: Insults that vote from the start, before any label is seen.
-LEXICON = ("idiot", "moron", "stupid", "scum", "loser", "trash", "worthless", "pathetic", "disgusting", "clown")
+#: Common English insults that vote from the start, before any label is seen.
+LEXICON = (
+    "arse", "bastard", "bigot", "bitch", "bollocks", "bullshit", "clown", "coward", "cretin", "crap", "damn", "degenerate", "dickhead", "dimwit", "disgusting",
+    "douchebag", "dumb", "dumbass", "filth", "fool", "freak", "fuck", "garbage", "halfwit", "hypocrite", "idiot", "imbecile", "jackass", "jerk", "liar", "loser", "lowlife",
+    "lunatic", "maggot", "moron", "nitwit", "parasite", "pathetic", "pig", "prick", "retard", "scum", "scumbag", "shit", "slut", "stupid", "thug", "trash", "twat",
+    "vermin", "wanker", "whore", "wimp", "worthless",
+)
 PATTERNS = {"shout": re.compile(r"[A-Z]{4,}!!"), "masked": re.compile(r"\b\w+\*{2,}\w*"), "you_are": re.compile(r"\byou(?:'re| are) (?:an? |such )", re.I)}
 BEGINNINGS = (4, 5, 6)
 CAP = 6
@@ -68,8 +74,7 @@ class Model:
 
     voters: list[str]
     least: list[int]
-    accuracy: np.ndarray
-    share: np.ndarray
+    labels: LabelModel | None
     weights: np.ndarray
     bias: float
 
@@ -129,30 +134,145 @@ def votes(rows: DataFrame, voters: list[str]) -> DataFrame:
     return map_rows(texts(rows), begin, struct(doc_id=LONG, at=T.ArrayType(T.IntegerType()), n=T.ArrayType(T.IntegerType()), words=LONG))
 
 
-def label_model(fired: np.ndarray, prior: float, start: np.ndarray, rounds: int = 30) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Posterior of each row, rates on toxic and on other rows, and each voter's share of independent weight.
+@dataclass
+class LabelModel:
+    """How votes arise: a class, a component of that class (kinds of texts on which other voters speak), and each voter given
+    the component and whether its parent voter speaks.
+
+    ``parent[j]`` is the voter that j depends on (-1: none); ``rate[c, v, j]`` the chance that j speaks in component c where its
+    parent is silent (v = 0, also without a parent) or speaks (v = 1); ``share[c]`` how frequent the component is; ``kind[c]`` its class."""
 
-    ``start`` is a first guess of the posterior. The first two columns are the labels themselves (toxic, not toxic), voters like others. Voters' joint rates within a class give correlations; a voter's weight
-    is divided by the sum of its strong correlations (itself included). To abstain says nothing by itself; a row on which all
-    voters abstain is one more vote."""
-    f = np.hstack([fired, ~fired[:, 2:].any(1, keepdims=True)]).astype(np.float32)
-    q = start.astype(np.float64)
-    share = np.ones(f.shape[1])
+    kind: np.ndarray
+    share: np.ndarray
+    parent: np.ndarray
+    rate: np.ndarray
+
+    def components(self, fired: np.ndarray) -> np.ndarray:
+        """Chance of each component given all votes, silence included."""
+        out = np.empty((len(fired), len(self.kind)))
+        has = self.parent >= 0
+        for at in range(0, len(fired), 4096):  # bounds the tables alive at once
+            f = fired[at : at + 4096].astype(bool)
+            led = f[:, np.maximum(self.parent, 0)] & has
+            for c in range(len(self.kind)):
+                p = np.where(led, self.rate[c, 1], self.rate[c, 0])
+                out[at : at + 4096, c] = math.log(self.share[c]) + np.log(np.where(f, p, 1 - p)).sum(1)
+        out = np.exp(out - out.max(1, keepdims=True))
+        return out / out.sum(1, keepdims=True)
+
+    def posterior(self, fired: np.ndarray) -> np.ndarray:
+        return self.components(fired)[:, self.kind == 1].sum(1)
+
+    def accuracy(self) -> np.ndarray:
+        """Of each voter: how often its vote would be right if both classes were equally frequent."""
+        r = [(self.share[self.kind == y, None] * self.rate[self.kind == y, 0]).sum(0) / self.share[self.kind == y].sum() for y in (0, 1)]
+        return r[1] / (r[0] + r[1])
+
+
+def dependence(f: np.ndarray, w: np.ndarray) -> np.ndarray:
+    """Mutual information of each pair of voters within the components (in nats a row); w: each row's share in each component."""
+    n, out = len(f), 0.0
+    for c in range(w.shape[1]):
+        total = w[:, c].sum() + 1e-9
+        both = (f.T @ (f * w[:, c, None].astype(np.float32))).astype(np.float64) / total
+        one = np.clip(np.diag(both).copy(), 1e-9, 1 - 1e-9)
+        for a, b, p in ((one, one, both), (one, 1 - one, one[:, None] - both), (1 - one, one, one[None] - both), (1 - one, 1 - one, 1 - one[:, None] - one[None] + both)):
+            p = np.maximum(p, 1e-12)
+            out = out + total / n * p * np.log(p / np.outer(a, b))
+    return out
+
+
+def parents(f: np.ndarray, w: np.ndarray) -> np.ndarray:
+    """The forest of the strongest dependences: greedy from the strongest pair on, as long as it is beyond chance for so many pairs."""
+    k = f.shape[1]
+    info = np.triu(dependence(f, w), 1)
+    least = (2 * math.log(max(k, 2)) + 4 * w.shape[1]) / len(f)
+    i, j = np.nonzero(info > least)
+    group, near = list(range(k)), [[] for _ in range(k)]
+
+    def top(x):
+        while group[x] != x:
+            group[x] = x = group[group[x]]
+        return x
+
+    for e in np.argsort(-info[i, j], kind="stable").tolist():
+        a, b = int(i[e]), int(j[e])
+        if top(a) != top(b):
+            group[top(a)] = top(b)
+            near[a].append(b)
+            near[b].append(a)
+    parent, seen = np.full(k, -1), [False] * k
+    for root in range(k):
+        if seen[root]:
+            continue
+        seen[root], todo = True, [root]
+        while todo:
+            x = todo.pop()
+            for y in near[x]:
+                if not seen[y]:
+                    seen[y], parent[y] = True, x
+                    todo.append(y)
+    return parent
+
+
+def clusters(f: np.ndarray, weight: np.ndarray, k: int, rounds: int = 8) -> np.ndarray:
+    """A first guess of components: each row's part (one of k) by a few rounds of k-means on vote directions, seeded far apart."""
+    x = f / np.maximum(np.linalg.norm(f, axis=1, keepdims=True), 1e-9)
+    r = np.random.default_rng(0)
+    centers, far = [], weight * (f.any(1) + 1e-3)
+    for _ in range(k):
+        if far.sum() <= 0:
+            break
+        centers.append(x[r.choice(len(x), p=far / far.sum())])
+        far = np.minimum(far, weight * np.maximum(1 - x @ centers[-1], 0))
+    centers = np.array(centers or [np.zeros(f.shape[1])])
+    for _ in range(rounds):
+        part = (x @ centers.T).argmax(1)
+        for c in range(len(centers)):
+            m = (part == c) * weight
+            if m.sum() > 0:
+                v = m @ x
+                centers[c] = v / max(np.linalg.norm(v), 1e-9)
+    return part
+
+
+def label_model(fired: np.ndarray, prior: float, start: np.ndarray, known: np.ndarray | None = None, kinds: int = 6, rounds: int = 24) -> tuple[np.ndarray, LabelModel]:
+    """Posterior of each row by expectation maximisation, and the model; ``kinds`` components a class.
+
+    ``start`` is a first guess of the posterior. Rows where ``known`` (0 or 1, nan: unknown) names the class count as that
+    class when rates are estimated, but their own posterior, as returned, comes from their votes alone."""
+    f = fired.astype(np.float32)
+    known = np.full(len(f), np.nan) if known is None else known
+    kind = np.repeat([0, 1], kinds)
+    first = np.clip(np.where(np.isnan(known), start, known).astype(np.float64), 0, 1)
+    w = np.zeros((len(f), 2 * kinds))
+    for y, v in ((0, 1 - first), (1, first)):
+        w[np.arange(len(f)), y * kinds + clusters(f, v, kinds)] = 0.9 * v
+        w[:, kind == y] += 0.1 * v[:, None] / kinds
+    q = start
     for it in range(rounds):
-        w1, w0 = q.sum() + 2, (1 - q).sum() + 2
-        a = (q @ f + 1 * prior) / w1
-        b = ((1 - q) @ f + 0.02) / w0
-        a, b = np.clip(a, 1e-4, 1 - 1e-4), np.clip(b, 1e-5, 1 - 1e-4)
-        if it % 10 == 2:
-            cor = np.zeros((f.shape[1],) * 2)
-            for w, m, total in ((q, a, w1), (1 - q, b, w0)):
-                g = (f - m) * np.sqrt(w)[:, None]
-                v = np.maximum((g * g).sum(0), 1e-9)
-                cor += (g.T @ g) / np.sqrt(np.outer(v, v)) * (total / (w1 + w0))
-            share = 1 / np.maximum(1.0, np.where(cor > 0.6, cor, 0).sum(0))
-        z = np.log(prior / (1 - prior)) + f @ (share * np.log(a / b))
-        q = 1 / (1 + np.exp(-np.clip(z, -40, 40)))
-    return q, a[:-1], b[:-1], share[:-1]
+        if it % 6 == 0:
+            parent = parents(f, w)
+        led = np.where(parent >= 0, f[:, np.maximum(parent, 0)], 0)
+        rate, share = np.empty((2 * kinds, 2, f.shape[1])), np.empty(2 * kinds)
+        for c in range(2 * kinds):
+            x, all_ = w[:, c, None].astype(np.float32), w[:, kind == kind[c]].sum(1).astype(np.float32)
+            whole = (all_ @ f + 0.5) / (all_.sum() + 1)
+            mean = ((x * f).sum(0) + whole) / (x.sum() + 1)
+            for v, mine in ((0, x * (1 - led)), (1, x * led)):
+                rate[c, v] = ((mine * f).sum(0) + mean) / (mine.sum(0) + 1)
+            share[c] = (prior if kind[c] else 1 - prior) * (x.sum() + 1) / (all_.sum() + kinds)
+        model = LabelModel(kind, share, parent, np.clip(rate, 1e-5, 1 - 1e-5))
+        part = model.components(fired)
+        new = part[:, kind == 1].sum(1)
+        step, q = float(np.abs(new - q).max()), new
+        for y in (0, 1):  # a known class leaves only the choice of its component
+            mine = part[:, kind == y]
+            sure = mine / np.maximum(mine.sum(1, keepdims=True), 1e-300)
+            w[:, kind == y] = np.where(np.isnan(known)[:, None], mine, sure * (known == y)[:, None])
+        if step < 1e-4:
+            break
+    return q, model
 
 
 def linear(x: np.ndarray, y: np.ndarray, l2: float = 1.0, rounds: int = 40) -> np.ndarray:
@@ -174,12 +294,12 @@ def linear(x: np.ndarray, y: np.ndarray, l2: float = 1.0, rounds: int = 40) -> n
 
 def shaped(count: np.ndarray, least: np.ndarray, words: np.ndarray) -> np.ndarray:
     """Classifier inputs: whether a voter reaches its threshold, its count over that, and the log of the text's distinct words."""
-    over = np.maximum(count - least + 1, 0)
+    over = np.maximum(count.astype(np.int64) - least + 1, 0)
     return np.hstack([(over > 0).astype(np.float64), np.minimum(over, 4) / 4.0, np.log1p(words)[:, None] / 4.0])
 
 
 def fit(docs: DataFrame, labels: DataFrame, bound: int = 20_000, most: int = 240, apart: float = 7.0) -> Model:
-    """Learn from at most ``bound`` held-in labelled rows (those of the smallest hashed ids).
+    """Learn from at most ``bound`` held-in labelled rows and as many without a label (those of the smallest hashed ids).
 
     What reaches the driver: at most ``most`` mined voters and the votes of the bounded sample. Without any held-in
     label of both kinds the fixed lexicon alone votes."""
@@ -192,7 +312,7 @@ def fit(docs: DataFrame, labels: DataFrame, bound: int = 20_000, most: int = 240
     if not n1 or not n0:
         voters = [*LEXICON, *extra]
         w = np.concatenate([np.full(len(LEXICON), 2.2), np.zeros(len(extra) + len(voters) + 1)])
-        return Model(voters, [1] * len(voters), np.full(len(voters), 0.9), np.ones(len(voters)), w, -3.0)
+        return Model(voters, [1] * len(voters), None, w, -3.0)
     t = tally(sample)
     wide = t.groupBy("feature").agg(*[F.sum(F.when(F.col("toxic") == y, F.col(c)).otherwise(0)).alias(f"{c}{int(y == 1)}") for y in (1, 0) for c in ("once", "twice", "thrice")])
 
@@ -211,16 +331,19 @@ def fit(docs: DataFrame, labels: DataFrame, bound: int = 20_000, most: int = 240
     for w in LEXICON:
         picked.setdefault(w, 1)
     voters, least = [*picked, *extra], [*picked.values(), *([1] * len(extra))]
-    got = votes(sample.select("doc_id", "text"), voters).join(F.broadcast(some), "doc_id").toPandas().drop_duplicates("doc_id").sort_values("doc_id")
-    count = np.zeros((len(got), len(voters)))
+    free = docs.where("doc_id is not null").where(~held_out(3, 1)).select("doc_id", "text").join(labels.where("toxic is not null").select("doc_id"), "doc_id", "left_anti")
+    free = free.orderBy(F.xxhash64("doc_id"), "doc_id").select("doc_id", "text").limit(bound)
+    got = votes(sample.select("doc_id", "text").union(free), voters).join(F.broadcast(some), "doc_id", "left").toPandas().drop_duplicates("doc_id").sort_values("doc_id")
+    count = np.zeros((len(got), len(voters)), np.uint8)
     for i, (at, n) in enumerate(zip(got["at"], got["n"], strict=True)):
         count[i, np.asarray(at, int)] = n
-    y = got["toxic"].to_numpy(float)
-    prior = float(np.clip(y.mean(), 0.01, 0.5))
-    fired = count >= np.asarray(least)
-    q, a, b, share = label_model(np.hstack([(y == 1)[:, None], (y == 0)[:, None], fired]), prior, 0.9 * y + 0.05)
-    w = linear(shaped(count, np.asarray(least), got["words"].to_numpy(float)), q, 0.3)
-    return Model(voters, least, a[2:] / (a[2:] + b[2:]), share[2:], w[:-1], float(w[-1]))
+    y, words = got["toxic"].to_numpy(float), got["words"].to_numpy(float)
+    prior = float(np.clip(np.nanmean(y), 0.01, 0.5))
+    fired, given = count >= np.asarray(least), ~np.isnan(y)
+    _, first = label_model(fired[given], prior, y[given], y[given])
+    q, model = label_model(fired, prior, first.posterior(fired), y)
+    w = linear(shaped(count, np.asarray(least), words), q, 0.3)
+    return Model(voters, least, model, w[:-1], float(w[-1]))
 
 
 def score(docs: DataFrame, model: Model, cut: float = 0.7) -> DataFrame:
