@@ -13,8 +13,9 @@ def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
 
     Each round maps every node to the first of itself and its neighbours in that round's order
     (ids first, then a new hash order each time, so that paths shrink by a constant share) and
-    contracts the edges. Stars, however large, go in one or two rounds; partial aggregation keeps
-    a hub's neighbours from meeting in one task. An empty input gives an empty result.
+    contracts the edges. Stars, however large, go in one or two rounds. A hub's neighbours are aggregated
+    before they are shuffled; its edges meet its map row in a sort-merge join of an exchange that AQE may split, since each
+    node has one map row. An empty input gives an empty result.
     """
     e = stored(edges.where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct())
     maps = None

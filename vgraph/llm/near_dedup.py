@@ -29,6 +29,8 @@ WORDS, SIMILARITY = 5, 0.8
 BANDS, ROWS = 28, 5
 #: Further heads of a bucket that members outside its first head's group are compared with.
 HEADS = 3
+#: Parts that a bucket's members are dealt into where they meet those heads.
+PARTS = 16
 
 
 def shells(keys: np.ndarray, weight: np.ndarray, doc: np.ndarray, limit: np.ndarray):
@@ -244,7 +246,10 @@ def near_duplicates(docs: DataFrame, similarity: float = SIMILARITY, words: int
     if g.take(1):
         # more heads for the members outside the head's group: again a few comparisons a member
         other = g.where("ga = gb").groupBy("band").agg(*[F.min(F.struct(F.xxhash64("a", F.lit(j)), F.col("a").alias("h"))).alias(f"h{j}") for j in range(HEADS)])
-        again = g.where("ga <> gb").select("band", "a").join(other, "band").select("a", F.explode(F.array(*[F.col(f"h{j}.h") for j in range(HEADS)])).alias("b"))
+        # a bucket's heads stand in each of its parts, so that the members of a large bucket meet them in many tasks
+        spread = other.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(PARTS - 1))))
+        dealt = g.where("ga <> gb").select("band", "a", F.pmod(F.xxhash64("a"), F.lit(PARTS)).cast("int").alias("part"))
+        again = dealt.join(spread, ["band", "part"]).select("a", F.explode(F.array(*[F.col(f"h{j}.h") for j in range(HEADS)])).alias("b"))
         again = stored(again.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct().join(tried, ["a", "b"], "left_anti"))
         links = stored(links.union(verified(again, found, similarity, words).select("a", "b")))
         tried = tried.union(again)
