@@ -85,6 +85,10 @@ def measured(text: pa.Array) -> pa.Array:
     return pa.StructArray.from_arrays(cols, names=STATS.names)
 
 
+#: Made once a row where it stands: the optimiser neither repeats it for each column that a rule reads nor moves it below a join.
+measured = measured.asNondeterministic()
+
+
 def statistics(docs: DataFrame) -> DataFrame:
     """(doc_id, the base and extra statistics) of every row; a null text counts as empty."""
     light(docs.sparkSession)
