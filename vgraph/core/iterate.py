@@ -14,7 +14,7 @@ def scratch(spark: SparkSession) -> str:
     """A fresh folder under ``spark.checkpoint.dir``; a temporary one only where that is unset on a local master."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
-        if not spark.sparkContext.master.split("[")[0] == "local":
+        if spark.sparkContext.master.split("[")[0] != "local":
             raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
         base = getattr(spark, "_vgraph_scratch", None)
         if base is None:
