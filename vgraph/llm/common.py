@@ -14,6 +14,7 @@ import re
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
+from functools import wraps
 
 import numpy as np
 import pyarrow as pa
@@ -38,7 +39,7 @@ def scratch(spark: SparkSession) -> str:
     """A fresh folder under the shared checkpoint folder."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
-        if not spark.sparkContext.master.startswith("local["):
+        if spark.sparkContext.master.split("[")[0] != "local":
             raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
         base = getattr(spark, "_vgraph_scratch", None)
         if base is None:
@@ -49,12 +50,18 @@ def scratch(spark: SparkSession) -> str:
     return f"{base.rstrip('/')}/vgraph-{uuid.uuid4().hex}"
 
 
+#: Tables that the operators running now have written, one list for each ``cleared`` block.
+_OPEN: list[list[DataFrame]] = []
+
+
 def stored(df: DataFrame, **options) -> DataFrame:
     """Write ``df`` once and read it back: cuts lineage and survives lost executors."""
     path = scratch(df.sparkSession)
     df.write.options(compression="zstd", **options).parquet(path)
     out = df.sparkSession.read.schema(df.schema).parquet(path)
     out._vgraph_path = path
+    if _OPEN:
+        _OPEN[-1].append(out)
     return out
 
 
@@ -67,6 +74,25 @@ def unstore(df: DataFrame) -> None:
         where.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(where, True)
 
 
+def cleared(operator: Callable[..., DataFrame]) -> Callable[..., DataFrame]:
+    """An operator whose result is written, after which the tables that it wrote on its way are deleted."""
+
+    @wraps(operator)
+    def run(*args, **settings) -> DataFrame:
+        _OPEN.append([])
+        try:
+            out = stored(operator(*args, **settings))
+            _OPEN[-1] = [x for x in _OPEN[-1] if x is not out]
+        finally:
+            for x in _OPEN.pop():
+                unstore(x)
+        if _OPEN:
+            _OPEN[-1].append(out)
+        return out
+
+    return run
+
+
 def is_empty(df: DataFrame) -> bool:
     return not df.take(1)
 
@@ -154,16 +180,13 @@ class Recent:
 
     def absent(self, keys) -> list:
         """Those of ``keys`` that neither generation holds, for the caller to put into ``young``, which holds the others after this."""
-        young, old, out = self.young, self.old, []
-        for k in keys:
-            if k not in young:
-                v = old.get(k)
-                if v is None:
-                    out.append(k)
-                    if len(k) > self.longest:
-                        self.long.append(k)
-                else:
-                    young[k] = v
+        young, old = self.young, self.old
+        out = [k for k in keys if k not in young]
+        if old:
+            known = {k: old[k] for k in out if k in old}
+            young.update(known)
+            out = [k for k in out if k not in known]
+        self.long += [k for k in out if len(k) > self.longest]
         return out
 
     def forget(self) -> None:

@@ -11,7 +11,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import stored, unused
+from .common import cleared, stored, unused
 
 #: Masks over twelve tokens, eight hashed (1), four ignored (0).
 MASKS = ("111010011011", "110110101101")
@@ -41,6 +41,7 @@ def seeds(rows: DataFrame, id_col: str, masks: tuple[str, ...], lengths: list[in
     return one.select(id_col, F.col("m.mask").alias("mask"), F.posexplode("m.seeds").alias("pos", "seed"))
 
 
+@cleared
 def overlaps(docs: DataFrame, benchmark: DataFrame, masks: tuple[str, ...] = MASKS, share: float = SHARE, least: int = LEAST) -> DataFrame:
     """(doc_id, item_id, n_match, n_item, at): documents that hold an item, with the best diagonal's agreeing tokens.
 

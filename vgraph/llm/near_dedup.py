@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
-from .common import BIN, LONG, WORD, WordHash, keyed, map_rows, mix64, stored, struct, texts, unit, windows
+from .common import BIN, LONG, WORD, WordHash, cleared, keyed, map_rows, mix64, stored, struct, texts, unit, windows
 from .components import components
 
 WORDS, SIMILARITY = 5, 0.8
@@ -212,6 +212,7 @@ def crossing(members: DataFrame, found: DataFrame, t: float, k: int) -> DataFram
     return met.select(F.greatest("rep_x", "rep_y").alias("a"), F.least("rep_x", "rep_y").alias("b")).distinct()
 
 
+@cleared
 def near_duplicates(docs: DataFrame, similarity: float = SIMILARITY, words: int = WORDS, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
     """(doc_id, class_id, exact_id) for every document.
 

@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import LONG, STR, light, map_rows, stored, struct, texts, unused
+from .common import LONG, STR, cleared, light, map_rows, stored, struct, texts, unused
 
 KINDS = ("email", "ip", "card", "phone", "id")
 LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
@@ -139,6 +139,7 @@ def patterns(found: DataFrame, rounds: int = 2, confidence: float = 0.9, support
     return scores.where(F.col("score") >= confidence)
 
 
+@cleared
 def extract(docs: DataFrame, rounds: int = 2, confidence: float = 0.9, support: int = 5) -> DataFrame:
     """(doc_id, base, extra) for every row: base spans and those that patterns add, arrays of (start, kind, end).
 
