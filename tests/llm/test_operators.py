@@ -213,6 +213,37 @@ def test_language_memo_bound_changes_nothing(spark):
     assert len(rows_of(50)) == 600 and rows_of(50) == rows_of(300_000)
 
 
+def test_filters_against_exact_sets(spark, sf):
+    """Plain Python: every n-gram of a language's exact set is found, others about as often as the filter says, and corrected counts name
+    the language that exact counts name."""
+    from collections import Counter
+
+    d = table(spark, sf, "documents")
+    f = lang_id.fit(d)
+    rows_ = [r for r in d.select("doc_id", "text", "lang").collect() if r.text and r.lang]
+    count = {x: Counter() for x in f.langs}
+    for r in rows_:
+        if zlib.crc32(str(r.doc_id).encode()) % 4 != 2:
+            for w in lang_id.LETTERS.findall(r.text.lower()):
+                count[r.lang].update(lang_id.grams(w))
+    exact = {x: {g for g, n in c.items() if n >= max(2.0, 3e-5 * sum(c.values()))} for x, c in count.items()}
+    for k, x in enumerate(f.langs):
+        own = sorted(exact[x])
+        assert ((f.masks(lang_id.hashed(own)) >> np.uint64(k)) & np.uint64(1)).all()
+        rest = [f"{i:06d}" for i in range(20_000)]
+        rate = ((f.masks(lang_id.hashed(rest)) >> np.uint64(k)) & np.uint64(1)).mean()
+        assert abs(rate - f.false[k]) < 0.01
+    got = {r.doc_id: r.lang_pred for r in lang_id.predict(d, f).collect()}
+    same = []
+    for r in rows_:
+        words = set(lang_id.LETTERS.findall(r.text.lower()))
+        if words:
+            grams_ = [g for w in words for g in lang_id.grams(w)]
+            best = {x: sum(g in exact[x] for g in grams_) for x in f.langs}
+            same.append(got[r.doc_id] == max(sorted(best), key=lambda x: best[x]))
+    assert np.mean(same) > 0.99
+
+
 def test_bloom_false_positive_correction():
     f = lang_id.Filters(["a", "b"], np.zeros(64, np.uint64), np.array([0.1, 0.0]))
     assert (f.masks(lang_id.hashed(["xy", "z"])) == 0).all()
@@ -244,6 +275,21 @@ def test_decision_list_and_filter_agree(spark, sf):
         assert kept == {r.doc_id for r in rules.keep_good(d, lst).collect()}
 
 
+def test_verdicts_in_plain_python(spark, sf):
+    """Every row's base verdict, features and first rule, recomputed from its text."""
+    d = table(spark, sf, "documents")
+    lst = rules.fit(d, table(spark, sf, "labels"))
+    lst.rules.append(rules.Rule([("distinct_share", "<=", 0.4), ("n_words", ">", 40.0)]))
+    got = {r.doc_id: r for r in rules.judge(d, lst).collect()}
+    for r in d.select("doc_id", "text").collect():
+        x = dict(zip((*rules.BASE, *rules.EXTRA), rules.statistics_of(r.text or ""), strict=True))
+        failed = x["n_words"] < 10 or 100 * x["n_repeat_words"] > 20 * x["n_words"]
+        value = {n: float(x[a]) if b is None else x[a] / max(x[b], 1) for n, (a, b) in rules.FEATURES.items()}
+        first = next((i for i, rule in enumerate(lst.rules) if all((value[n] <= c) if s == "<=" else (value[n] > c) for n, s, c in rule.tests)), None)
+        y = got[r.doc_id]
+        assert (y.base_failed, y.rule, y.kept) == (failed, first, not failed and first is None)
+
+
 def test_sequential_covering_finds_a_planted_rule():
     r = np.random.default_rng(0)
     x = {n: r.random(900) for n in rules.FEATURES}

@@ -15,11 +15,15 @@ def op1_piece_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op2_weak_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """doc_id, held_out, score, predicted, n_votes of every row. A null or empty text has the score of a text without votes; repeated rows are
+    scored each; a null doc_id counts as held in; without labels the lexicon votes alone; an empty table gives no rows; other columns are ignored."""
     docs = read(spark, sf_dir, "documents")
     return toxicity.score(docs, toxicity.fit(docs, read(spark, sf_dir, "labels")))
 
 
 def op3_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, kept, rule of every row. A null or empty text has no
+    words and fails; repeated rows are judged each; without labels of both kinds only the base rule holds; other columns are ignored."""
     docs = read(spark, sf_dir, "documents")
     return rules.judge(docs, rules.fit(docs, read(spark, sf_dir, "labels")))
 
@@ -31,6 +35,8 @@ def op4_temporal_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op5_bloom_lang_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """doc_id, held_out, lang_pred, score of every row. Null texts and those without a letter are `und` with score 0, as all are where nothing
+    was learned; ties go to the first language name; repeated rows are predicted each; other columns are ignored."""
     docs = read(spark, sf_dir, "documents")
     return lang_id.predict(docs, lang_id.fit(docs))
 
@@ -51,10 +57,14 @@ def op8_bag_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_content_store(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """doc_id, start, n_tokens, ids_crc32, read back from the written store. A null or empty text is its end id alone; rows with a null doc_id
+    are left out; rows that repeat an id are documents one after another; an empty table gives no rows; other columns are ignored."""
     return id_store.round_trip(read(spark, sf_dir, "documents"))
 
 
 def op10_contextual_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """doc_id, n_email, n_ip, n_card, n_phone, base_sha256, spans, n_added of every row. A null text is empty; a row with a null doc_id has its base
+    spans alone; repeated rows have a row each, with the added spans of all rows of that id; other columns are ignored."""
     return pii.digest(pii.extract(read(spark, sf_dir, "documents")))
 
 
