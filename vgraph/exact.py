@@ -1,6 +1,6 @@
 """Exact answers by brute force: blocks of vectors against blocks of vectors, best k merged.
 
-A block pair is one task's work whatever the table's size; only each block pair's k best per query are shuffled."""
+A block pair is a unit of work whatever the table's size; a task merges what its query blocks find before the shuffle."""
 
 from __future__ import annotations
 
@@ -66,12 +66,24 @@ def exact_search(v: DataFrame, q: DataFrame, k: int, exclude_self: bool = False,
     out = fields(qid=LONG, id=LONG, d2=DBL)
 
     def each(batches):
+        best: dict[int, tuple] = {}  # of the query blocks of this task: their k best so far, over all vector blocks that meet them here
         for b in batches:
             for r in range(b.num_rows):
+                key = b.column(0)[r].as_py()
                 qids, ids = (np.asarray(b.column(i)[r].as_py(), np.int64) for i in (1, 4))
                 qx, x = (np.asarray(b.column(i)[r].values.to_numpy(zero_copy_only=False)).reshape(len(n), -1) for i, n in ((2, qids), (5, ids)))
                 rows, got, d = _topk(qx, x, ids, k, qids if exclude_self else None)
-                yield pa.RecordBatch.from_arrays([pa.array(qids[rows]), pa.array(got), pa.array(d)], names=["qid", "id", "d2"])
+                at = np.arange(len(rows)) - np.searchsorted(rows, rows)
+                near, far = np.full((len(qids), k), np.iinfo(np.int64).max), np.full((len(qids), k), np.inf)
+                near[rows, at], far[rows, at] = got, d
+                if key in best:
+                    near, far = np.hstack([best[key][1], near]), np.hstack([best[key][2], far])
+                    order = np.lexsort((near, far), axis=1)[:, :k]
+                    near, far = np.take_along_axis(near, order, 1), np.take_along_axis(far, order, 1)
+                best[key] = qids, near, far
+        for qids, near, far in best.values():
+            i, j = np.nonzero(np.isfinite(far))
+            yield pa.RecordBatch.from_arrays([pa.array(qids[i]), pa.array(near[i, j]), pa.array(far[i, j])], names=["qid", "id", "d2"])
 
     near = pairs.mapInArrow(each, out)
     w = Window.partitionBy("qid").orderBy("d2", "id")
