@@ -136,7 +136,7 @@ def w_recall_trace(s, d):
             if r >= 0.95 and not any(m[4] == "seconds_to_0.95" for m in rows):
                 rows.append(("trace", name, ds, k, "seconds_to_0.95", t))
 
-        D.two_phase(x, k, sample=8 if k < 64 else 24, trace=seen, **TRACED[name])
+        D.two_phase(x, k, sample=8 if k < 64 else 12, trace=seen, **TRACED[name])
         return rows
 
     return in_tasks(s, {"embeddings": data.embeddings(s, d)}, [f"{n}:{k}" for n in TRACED for k in (32, 96)], body, 96)
