@@ -6,12 +6,13 @@ from collections import Counter
 import numpy as np
 
 from vgraph.llm import near_dedup as nd
+from vgraph.llm.common import WORD
 from vgraph.llm.components import components
 
 
 def similarity(a: str, b: str) -> float:
     def grams(t):
-        w = nd.WORD.findall(t)
+        w = WORD.findall(t)
         k = min(5, len(w))
         return Counter(tuple(w[i : i + k]) for i in range(len(w) - k + 1)) if w else Counter()
 

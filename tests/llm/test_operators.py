@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from same import rows, twin
 
 from vgraph.llm import decontam, id_store, lang_id, passages, piece_codec, pii, queries, rules, toxicity, url_filter, url_list
-from vgraph.llm.common import WORD, WordHash
+from vgraph.llm.common import WORD, Memo, hashed_words
 
 ODD = [(1, None), (2, ""), (3, "   \n\t "), (4, "word " * 3000), (5, "x" * 5000), (6, "x" * 5000), (6, "x" * 5000), (7, "naïve café 中文 🎉́ \x00"), (None, "no id here")]
 SCHEMA = "doc_id long, text string"
@@ -378,7 +378,56 @@ def test_minimizers_guarantee():
     r = np.random.default_rng(1)
     h = r.integers(0, 1 << 62, 400).astype(np.uint64)
     g = np.concatenate([r.integers(0, 1 << 62, 90).astype(np.uint64), h[100:121], r.integers(0, 1 << 62, 90).astype(np.uint64)])
-    assert {int(i) - 90 for i in passages.minimizers(g)} & {int(i) - 100 for i in passages.minimizers(h)}
+    seeds = lambda x: passages.sketched(x, np.array([0, len(x)]))[2]
+    assert {int(i) - 90 for i in seeds(g)} & {int(i) - 100 for i in seeds(h)}
+
+
+def test_sketch_against_one_text_at_a_time():
+    """Texts sketched together have the seeds, positions and contexts that plain loops find in each alone; word hashes tell words apart."""
+    r = random.Random(17)
+    texts_ = ["", "one", "a b c d e", " lead  and trail \n", "w " * 60, None and "", "é ü\u3000x\x85y"] + [" ".join(r.choice(["aa", "b", "cde", "f" * 50, "é"]) + str(r.randrange(40)) for _ in range(r.randint(1, 90))) for _ in range(40)]
+    texts_ = [t or "" for t in texts_]
+    each = hashed_words(texts_)
+    words = [WORD.findall(t) for t in texts_]
+    assert [len(h) for h in each] == [len(w) for w in words]
+    seen = {}
+    for h, w in zip(each, words, strict=True):
+        for x, y in zip(h.tolist(), w, strict=True):
+            assert seen.setdefault(x, y) == y
+    assert len(seen) == len({y for w in words for y in w})
+    bounds = np.concatenate([[0], np.cumsum([len(h) for h in each])])
+    cut, seeds, at, ctx = passages.sketched(np.concatenate(each), bounds)
+    for i, h in enumerate(each):
+        k, w = passages.K, passages.W
+        want = set()
+        g = passages.keyed(passages.windows(h, k), 99).tolist() if len(h) >= k else []
+        for s in range(max(1, len(g) - w + 1) if g else 0):
+            part = g[s : s + w]
+            want.add(s + part.index(min(part)))
+        mine = at[cut[i] : cut[i + 1]].tolist()
+        assert mine == sorted(want)
+        for p, c in zip(mine, ctx[cut[i] : cut[i + 1]].view(np.uint64).tolist(), strict=True):
+            bit = lambda j: int(passages.mix64(h[j : j + 1])[0]) >> 60 if 0 <= j < len(h) else 0  # noqa: B023, E731
+            assert c == sum(bit(p - 8 + j) << (4 * j) | bit(p + k + j) << (4 * (8 + j)) for j in range(8))
+        alone = passages.sketched(h, np.array([0, len(h)]))[1]
+        assert alone.tolist() == seeds[cut[i] : cut[i + 1]].tolist()
+
+
+def test_only_hopeless_chains_are_spared_their_alignment(monkeypatch):
+    spare = passages.hopeless
+    monkeypatch.setattr(passages, "hopeless", lambda *_: False)
+    r = np.random.default_rng(5)
+    spared = 0
+    for _ in range(3000):
+        n = int(r.integers(40, 160))
+        x = r.integers(0, 1 << 40, n).astype(np.uint64)
+        y = np.where(r.random(n) < r.choice([0.1, 0.2, 0.3, 0.6]), r.integers(0, 1 << 40, n).astype(np.uint64), x)
+        at = int(r.integers(0, n - 5))
+        y[at : at + 5] = x[at : at + 5]
+        if spare(x, y, [at], [at], 50, 0.8):
+            spared += 1
+            assert not passages.passages_of(x, y, [at], [at], 5, 50, 0.8)
+    assert spared > 500
 
 
 def test_planted_passages(spark):
@@ -586,4 +635,5 @@ def test_odd_rows(spark, odd, labels):
     assert toxicity.score(e, toxicity.fit(e, none)).count() == lang_id.predict(e, lang_id.fit(lang.where("false"))).count() == 0
     assert passages.repeated(e).count() == decontam.overlaps(e, bench).count() == pii.redact(e).count() == piece_codec.encode(e).count() == 0
     assert lang_id.predict(odd, lang_id.fit(lang.where("false"))).where("lang_pred <> 'und'").count() == 0
-    assert WordHash(2).of(["a", "b", "c", "a"]).tolist()[0] == WordHash(9).of(["a"]).tolist()[0]
+    memo = Memo(str.upper, 2)
+    assert [memo[x] for x in "abcabcaa"] == list("ABCABCAA") and len(memo) <= 2

@@ -19,7 +19,6 @@ from functools import wraps
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -215,16 +214,6 @@ class Memo(dict):
         return out
 
 
-class WordHash(Memo):
-    """64-bit hashes of words."""
-
-    def __init__(self, most: int = 150_000):
-        super().__init__(lambda word: xxhash.xxh3_64_intdigest(word.encode("utf-8", "surrogatepass")), most)
-
-    def of(self, words: list[str]) -> np.ndarray:
-        return np.fromiter(map(self.__getitem__, words), np.uint64, len(words))
-
-
 def mix64(x: np.ndarray) -> np.ndarray:
     """A bijective scramble of 64-bit values (multiply and xor-shift rounds)."""
     x = np.asarray(x, np.uint64)
@@ -239,6 +228,54 @@ def keyed(x: np.ndarray, salt) -> np.ndarray:
         return mix64(np.asarray(x, np.uint64) + np.uint64(0x9E3779B97F4A7C15) * np.asarray(salt, np.uint64) + np.uint64(1))
 
 
+#: Bytes of words that are hashed at once (a longer word alone), and the random word of each byte value.
+HASH_BYTES = 1 << 20
+_BYTE = mix64(np.arange(256, dtype=np.uint64) + np.uint64(0xA5A5))
+_STEP = np.uint64(0x9E3779B97F4A7C15)
+
+
+def _powers(n: int) -> np.ndarray:
+    with np.errstate(over="ignore"):
+        return np.multiply.accumulate(np.concatenate([np.ones(1, np.uint64), np.full(max(n, 1) - 1, _STEP)]))
+
+
+def word_hashes(text: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """(64-bit hashes of all words (WORD) of all texts, where each text's begin and the end of the last). Null texts have none.
+
+    Arrow splits the texts; a word's hash is a polynomial over random words of its bytes, so no word becomes a Python string."""
+    split = pc.ascii_split_whitespace(text.fill_null("") if text.null_count else text)
+    flat, bounds = split.flatten(), split.offsets.to_numpy()
+    bounds = (bounds - bounds[0]).astype(np.int64)
+    if not len(flat):
+        return np.zeros(0, np.uint64), bounds
+    _, places, raw = flat.buffers()
+    at = np.frombuffer(places, np.int32)[flat.offset : flat.offset + len(flat) + 1].astype(np.int64)
+    raw = np.frombuffer(raw, np.uint8) if raw is not None else np.zeros(0, np.uint8)
+    size = np.diff(at)
+    real = size > 0  # white space at an edge leaves empty words
+    count = np.concatenate([np.zeros(1, np.int64), np.cumsum(real)])
+    start, size = at[:-1][real], size[real]
+    out = np.zeros(len(start), np.uint64)
+    ends = np.cumsum(size)
+    block = np.concatenate([np.zeros(1, np.int64), np.flatnonzero(np.diff(ends // HASH_BYTES)) + 1, np.array([len(start)])]) if len(start) else np.zeros(1, np.int64)
+    with np.errstate(over="ignore"):
+        for s, e in zip(block[:-1].tolist(), block[1:].tolist(), strict=True):
+            if s == e:
+                continue
+            n = size[s:e]
+            first = np.cumsum(n) - n
+            inner = np.arange(int(n.sum())) - np.repeat(first, n)
+            value = _BYTE[raw[np.repeat(start[s:e], n) + inner]] * _powers(int(n.max()))[inner]
+            out[s:e] = mix64(np.add.reduceat(value, first) + n.astype(np.uint64) * np.uint64(0x2545F4914F6CDD1D))
+    return out, count[bounds]
+
+
+def hashed_words(texts: list[str]) -> list[np.ndarray]:
+    """The same as one array for each text."""
+    h, at = word_hashes(pa.array(texts, pa.string()))
+    return [h[s:e] for s, e in zip(at[:-1].tolist(), at[1:].tolist(), strict=True)]
+
+
 def windows(h: np.ndarray, k: int) -> np.ndarray:
     """Hash of every run of k words; one hash of all words when there are fewer than k; none for none."""
     if len(h) == 0:

@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
-from .common import BIN, LONG, WORD, WordHash, cleared, keyed, map_rows, mix64, stored, struct, texts, unit, windows
+from .common import BIN, LONG, cleared, hashed_words, keyed, map_rows, mix64, stored, struct, texts, unit, windows
 from .components import components
 
 WORDS, SIMILARITY = 5, 0.8
@@ -110,8 +110,9 @@ def signatures(bags: list[np.ndarray], m: int) -> list[np.ndarray | None]:
     return [sig[i] if len(b) else None for i, b in enumerate(bags)]
 
 
-def bag(memo: WordHash, text: str, k: int = WORDS) -> np.ndarray:
-    return windows(memo.of(WORD.findall(text)), k)
+def bags(texts: list[str], k: int = WORDS) -> list[np.ndarray]:
+    """Shingle hashes of each text, repeats kept."""
+    return [windows(h, k) for h in hashed_words(texts)]
 
 
 def weighted_jaccard(a: np.ndarray, b: np.ndarray) -> float:
@@ -129,10 +130,8 @@ def sketch(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, k: int = WORDS
     """(doc_id, key, bands): digest of the whole text and the band hashes (none for a text without words)."""
 
     def begin():
-        memo = WordHash()
-
         def each(cols):
-            sigs = signatures([bag(memo, t, k) for t in cols["text"]], bands * rows)
+            sigs = signatures(bags(cols["text"], k), bands * rows)
             out = []
             for s in sigs:
                 if s is None:
@@ -160,16 +159,12 @@ def verified(pairs: DataFrame, found: DataFrame, least: float, k: int) -> DataFr
     both = pairs.join(found.select(F.col("doc_id").alias("a"), F.col("text").alias("ta")), "a").join(found.select(F.col("doc_id").alias("b"), F.col("text").alias("tb")), "b")
 
     def begin():
-        memo, kept = WordHash(), {}
-
         def each(cols):
-            sims = []
-            for b, ta, tb in zip(cols["b"], cols["ta"], cols["tb"], strict=True):
-                if b not in kept:
-                    if len(kept) >= 64:
-                        kept.clear()
-                    kept[b] = bag(memo, tb, k)
-                sims.append(weighted_jaccard(bag(memo, ta, k), kept[b]))
+            twice = {}  # heads of large buckets stand in many pairs of a slice
+            for side, t in (("a", "ta"), ("b", "tb")):
+                twice |= dict(zip(cols[side], cols[t], strict=True))
+            held = dict(zip(twice, bags(list(twice.values()), k), strict=True))
+            sims = [weighted_jaccard(held[a], held[b]) for a, b in zip(cols["a"], cols["b"], strict=True)]
             return {"a": cols["a"], "b": cols["b"], "sim": sims}
 
         return each
@@ -178,9 +173,9 @@ def verified(pairs: DataFrame, found: DataFrame, least: float, k: int) -> DataFr
     return sims.where(F.col("sim") >= least)
 
 
-def elements(memo: WordHash, text: str, k: int) -> list[int]:
-    """The multiset of shingles as a set: (shingle, copy) cells hashed to 64 bits."""
-    u, c = np.unique(bag(memo, text, k), return_counts=True)
+def elements(shingles: np.ndarray) -> list[int]:
+    """A multiset of shingles as a set: (shingle, copy) cells hashed to 64 bits."""
+    u, c = np.unique(shingles, return_counts=True)
     copy = np.arange(int(c.sum())) - np.repeat(np.cumsum(c) - c, c) if len(c) else np.zeros(0, np.int64)
     return keyed(np.repeat(u, c), copy.astype(np.uint64)).view(np.int64).tolist()
 
@@ -194,8 +189,7 @@ def crossing(members: DataFrame, found: DataFrame, t: float, k: int) -> DataFram
     t_ = found.join(members.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi")
 
     def begin():
-        memo = WordHash()
-        return lambda cols: {"rep": cols["doc_id"], "e": [elements(memo, x, k) for x in cols["text"]]}
+        return lambda cols: {"rep": cols["doc_id"], "e": list(map(elements, bags(cols["text"], k)))}
 
     sets = stored(map_rows(t_, begin, struct(rep=LONG, e=T.ArrayType(LONG)))).select("rep", F.size("e").alias("n"), F.explode("e").alias("e"))
     held = sets.groupBy("e").agg(F.count(F.lit(1)).alias("f")).where("f > 1")
