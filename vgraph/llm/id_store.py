@@ -19,9 +19,11 @@ import re
 import zlib
 from functools import lru_cache
 from itertools import chain
+from struct import Struct
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -29,17 +31,20 @@ from pyspark.sql.window import Window
 
 from vgraph.core.ship import ship
 
-from .common import BIN, LONG, map_rows, mix64, rows_of, scratch, stored, struct, texts, unstore
+from .common import BIN, LONG, Recent, light, map_rows, mix64, release, rows_of, scratch, slices, stored, struct, texts, unstore
 
 END = 1
-#: White space beyond ASCII and the separators that str.split also cuts at.
-ODD_SPACE = re.compile("[\x1c-\x1f\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]")
-#: Letters that lower-casing and composition leave single, and a tail of marks: the tokenizer always parts these two.
-TAILED = re.compile("([A-Za-zÀ-ÖØ-öø-ÿ]+)([.,!?;:#$%&*|]+)")
-#: Words between ASCII white space: this vocabulary drops white space, and none of its rules look across it.
-PART = re.compile(r"[^\x20\x09-\x0D]+")
+#: Words of these alone are split by PARTS; lower-casing and composition act on each of their characters by itself.
+PLAIN = re.compile(r"[A-Za-zÀ-ÖØ-öø-ÿ0-9!-/:-@\[-`{-~]+")
+#: The tokenizer's own split of a lower-case word (between ASCII white space, across which none of its rules look).
+PARTS = re.compile(r"'(?:s|t|re|ve|m|ll|d)|[a-zß-öø-ÿ]+|[0-9]|[^a-zß-öø-ÿ0-9]+")
+#: Byte-level letters: bytes that print stand for themselves, the others for the code points from 256 on.
+BYTE_LETTERS = {b: 256 + n for n, b in enumerate(b for b in range(256) if not (33 <= b <= 126 or 161 <= b <= 172 or 174 <= b))}
+#: Text bytes that are encoded at once (a longer text alone).
+SLICE_BYTES = 8 << 20
 DOC = np.dtype([("doc", "<i8"), ("offset", "<i8"), ("ids", "<u4"), ("chunks", "<u4"), ("root", "V16")])
 RECIPE = np.dtype([("digest", "V16"), ("ids", "<u4"), ("flag", "<u4")])
+_DOC, _RECIPE = Struct("<qqII16s").pack, Struct("<16sII").pack
 OWN, LENT, BORROWED = 0, 1, 2
 PACK_IDS = 1 << 20
 
@@ -51,57 +56,99 @@ def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
 
 
 class WordIds:
-    """Ids of whole texts, word by word through a bounded memo; unseen words go to the tokenizer in one call.
+    """Ids of whole texts: Arrow splits a slice of texts into words and lists the distinct ones, of which the tokenizer gets
+    only those that the memo lacks.
 
-    The memo has two generations: when the young one is full it becomes the old one, whose words come back as they are met."""
+    Words of plain letters, digits and ASCII marks are split as the tokenizer's own rules do; their parts go to its byte-pair model
+    together, where the last token of each part is known by the vocabulary's word-end mark. Any other word goes through
+    the whole tokenizer. A vocabulary without a word-end mark encodes whole texts."""
 
-    def __init__(self, path: str, most: int = 450_000):
+    def __init__(self, path: str, most: int = 300_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
-        from tokenizers import Tokenizer
+        from tokenizers import Tokenizer, pre_tokenizers
 
         self.tok = Tokenizer.from_file(path)
         self.width = 2 if self.tok.get_vocab_size() <= 1 << 16 else 4
-        self.memo: dict[str, bytes] = {}
-        self.old: dict[str, bytes] = {}
-        self.most = most
+        self.kind = f"<u{self.width}"
+        self.suffix = getattr(self.tok.model, "end_of_word_suffix", None)
+        if self.suffix:
+            self.model = Tokenizer(self.tok.model)
+            self.model.pre_tokenizer = pre_tokenizers.WhitespaceSplit()
+            self.last = np.zeros(1 << 8 * self.width if self.width == 2 else self.tok.get_vocab_size(), bool)
+            self.last[[i for t, i in self.tok.get_vocab().items() if t.endswith(self.suffix)]] = True
+        self.memo = Recent(most)
 
     def _each(self, words: list[str]) -> list[bytes]:
         """Ids of every word, from one call over all of them with a space between; tokens' places in that text tell whose they are."""
         e = self.tok.encode(" ".join(words), add_special_tokens=False)
         w = self.width
-        ids = np.array(e.ids, f"<u{w}").tobytes()
+        ids = np.array(e.ids, self.kind).tobytes()
         starts = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1)
         at = np.fromiter(chain.from_iterable(e.offsets), np.int64, 2 * len(e.ids))[::2]
         cut = (np.searchsorted(at, starts) * w).tolist()
         return [ids[s:t] for s, t in zip([0, *cut], cut, strict=False)]
 
+    def _parts(self, parts: list[str], spelt: list[str]) -> None:
+        """Ids of lower-case parts into the memo: each ends with the first token that bears the word-end mark."""
+        for i in range(0, len(parts), 1024):
+            ids = np.array(self.model.encode(" ".join(spelt[i : i + 1024]), add_special_tokens=False).ids, self.kind)
+            cut = ((np.flatnonzero(self.last[ids]) + 1) * self.width).tolist()
+            raw = ids.tobytes()
+            self.memo.young.update(zip(parts[i : i + 1024], [raw[s:t] for s, t in zip([0, *cut], cut, strict=False)], strict=True))
+
+    def _learn(self, words: list[str]) -> None:
+        """Ids of unseen words into the memo, by way of their parts, which are words too."""
+        ready, mixed, other = [], [], []
+        for x in words:
+            if x.isalpha() and (x.isascii() or PLAIN.fullmatch(x)):
+                y = x.lower()
+                if y == x:
+                    ready.append(x)
+                else:
+                    mixed.append((x, [y]))
+            elif PLAIN.fullmatch(x) and "<|" not in x:
+                mixed.append((x, PARTS.findall(x.lower())))
+            else:
+                other.append(x)
+        more = {y for _, p in mixed for y in p}
+        more.difference_update(ready)
+        ready += self.memo.absent(more)
+        ascii_ = [x for x in ready if x.isascii()]
+        self._parts(ascii_, ascii_)
+        if len(ascii_) < len(ready):
+            rest = [x for x in ready if not x.isascii()]
+            self._parts(rest, [x.encode().decode("latin-1").translate(BYTE_LETTERS) for x in rest])
+        young = self.memo.young
+        for x, p in mixed:
+            young[x] = young[p[0]] if len(p) == 1 else b"".join([young[y] for y in p])
+        for i in range(0, len(other), 4096):
+            young.update(zip(other[i : i + 4096], self._each(other[i : i + 4096]), strict=True))
+
+    def ids(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """(all ids one text after another, where each text's begin and the end of the last)."""
+        if not self.suffix:
+            each = [np.array(e.ids, self.kind) for e in self.tok.encode_batch(texts.to_pylist(), add_special_tokens=False)]
+            return np.concatenate([np.zeros(0, self.kind), *each]), np.cumsum([0, *map(len, each)])
+        split = pc.ascii_split_whitespace(texts)
+        coded = split.flatten().dictionary_encode()
+        words = coded.dictionary.to_pylist()
+        self.memo.turn()
+        self._learn(self.memo.absent(words))
+        found = list(map(self.memo.young.__getitem__, words))
+        self.memo.forget()
+        pool = np.frombuffer(b"".join(found), self.kind)
+        size = np.fromiter(map(len, found), np.int32, len(found)) // self.width
+        at = coded.indices.to_numpy()
+        n = size[at]
+        ends = np.concatenate([np.zeros(1, np.int32), np.cumsum(n, dtype=np.int32)])  # a slice's bytes bound its ids
+        where = np.repeat((np.cumsum(size, dtype=np.int32) - size)[at] - ends[:-1], n)
+        where += np.arange(int(ends[-1]), dtype=np.int32)
+        bounds = split.offsets.to_numpy()
+        return pool[where], ends[bounds - bounds[0]]
+
     def encode(self, batch: list[str]) -> list[bytes]:
-        parts = [PART.findall(t) if ODD_SPACE.search(t) else t.split() for t in batch]
-        memo = self.memo
-        if len(memo) > self.most:
-            self.old, self.memo = memo, {}
-            memo = self.memo
-        new = set(chain.from_iterable(parts)).difference(memo)
-        if self.old:
-            known = new.intersection(self.old)
-            memo.update(zip(known, map(self.old.__getitem__, known), strict=True))
-            new -= known
-        new = list(new)
-        tailed = [m for m in map(TAILED.fullmatch, new) if m]
-        if tailed:
-            new_set = {x for m in tailed for x in m.groups()}.difference(memo)
-            plain = list(new_set.union(new).difference([m[0] for m in tailed]))
-        else:
-            plain = new
-        for i in range(0, len(plain), 4096):
-            memo.update(zip(plain[i : i + 4096], self._each(plain[i : i + 4096]), strict=True))
-        for m in tailed:
-            memo[m[0]] = memo[m[1]] + memo[m[2]]
-        out = [b"".join(map(memo.__getitem__, p)) for p in parts]
-        for w in new:
-            if len(w) > 48:
-                del memo[w]
-        return out
+        flat, at = self.ids(pa.array(batch, pa.string()))
+        return [flat[s:e].tobytes() for s, e in zip(at[:-1].tolist(), at[1:].tolist(), strict=True)]
 
 
 @lru_cache(2)
@@ -114,19 +161,23 @@ def _gear() -> np.ndarray:
     return mix64(np.arange(1 << 16, dtype=np.uint64) + np.uint64(77))
 
 
-def cuts(ids: np.ndarray, mean: int = 256, least: int = 64, most: int = 1024, window: int = 8) -> list[int]:
-    """Ends of the chunks of an id stream: after ids where the rolling hash of the last ``window`` ids has its low bits zero,
-    at least ``least`` and at most ``most`` ids apart."""
+def marks(ids: np.ndarray, mean: int = 256, window: int = 8) -> np.ndarray:
+    """Places after which the rolling hash of the last ``window`` ids has its low bits zero."""
     n = len(ids)
-    if n <= least:
-        return [n]
-    g = _gear()[(ids & 0xFFFF).astype(np.int64)]
+    g = _gear()[ids & 0xFFFF]
     h = np.zeros(n, np.uint64)
     with np.errstate(over="ignore"):
         for j in range(min(window, n)):
             h[j:] += g[: n - j] << np.uint64(7 * j)
+    return np.flatnonzero((mix64(h) & np.uint64(mean - 1)) == 0) + 1
+
+
+def cuts(n: int, marked: list[int], least: int = 64, most: int = 1024) -> list[int]:
+    """Ends of the chunks of a stream of n ids: at marked places, at least ``least`` and at most ``most`` ids apart.
+
+    ``least`` exceeds the hash's window, so what stands before a stream never moves its cuts."""
     ends, last = [], 0
-    for e in (np.flatnonzero((mix64(h) & np.uint64(mean - 1)) == 0) + 1).tolist():
+    for e in marked:
         while e - last > most:
             last += most
             ends.append(last)
@@ -156,28 +207,35 @@ def digest(payload: bytes) -> bytes:
     return hashlib.blake2b(b"\0" + payload, digest_size=16).digest()
 
 
+STREAM = struct(doc_id=LONG, ids=BIN, width=T.IntegerType(), sizes=T.ArrayType(T.IntegerType()), digests=T.ArrayType(BIN))
+
+
 def streams(docs: DataFrame, path: str, end: int = END, mean: int = 256) -> DataFrame:
     """(doc_id, ids, width, sizes, digests): each document's stream and its chunks."""
+    from pyspark.sql.pandas.types import to_arrow_schema
+
+    schema = to_arrow_schema(STREAM)
 
-    def begin():
+    def run(batches):
         coder = word_ids(path)
         w = coder.width
-        tail = np.asarray([end], f"<u{w}").tobytes()
-
-        def each(cols):
+        tail = np.array([end], coder.kind).tobytes()
+        for part in slices(batches, "text", SLICE_BYTES):
+            flat, at = coder.ids(part.column("text"))
+            raw, marked = flat.tobytes(), marks(flat, mean)
+            near = np.searchsorted(marked, at, "right")
             ids, sizes, digests = [], [], []
-            for b in coder.encode(cols["text"]):
-                b += tail
-                at = cuts(np.frombuffer(b, f"<u{w}"), mean)
+            for k, (s, e) in enumerate(zip(at[:-1].tolist(), at[1:].tolist(), strict=True)):
+                b = raw[s * w : e * w] + tail
+                cut = cuts(e - s + 1, (marked[near[k] : near[k + 1]] - s).tolist())
                 ids.append(b)
-                sizes.append([e - s for s, e in zip([0, *at], at, strict=False)])
-                digests.append([digest(b[s * w : e * w]) for s, e in zip([0, *at], at, strict=False)])
-            return {"doc_id": cols["doc_id"], "ids": ids, "width": [w] * len(ids), "sizes": sizes, "digests": digests}
-
-        return each
+                sizes.append([y - x for x, y in zip([0, *cut], cut, strict=False)])
+                digests.append([digest(b[x * w : y * w]) for x, y in zip([0, *cut], cut, strict=False)])
+            yield pa.RecordBatch.from_arrays([x if isinstance(x, pa.Array) else pa.array(x, f.type) for x, f in zip((part.column("doc_id"), ids, [w] * len(ids), sizes, digests), schema, strict=True)], schema=schema)
+        release()
 
-    kinds = struct(doc_id=LONG, ids=BIN, width=T.IntegerType(), sizes=T.ArrayType(T.IntegerType()), digests=T.ArrayType(BIN))
-    return map_rows(texts(docs), begin, kinds)
+    light(docs.sparkSession)
+    return texts(docs).mapInArrow(run, STREAM)
 
 
 PACK = struct(part=T.IntegerType(), pack=T.IntegerType(), width=T.IntegerType(), docs=T.IntegerType(), ids=LONG, first_doc=LONG, last_doc=LONG, index=BIN, recipes=BIN, payload=BIN, root=BIN)
@@ -190,35 +248,37 @@ def _pack(batches):
 
     schema = to_arrow_schema(PACK)
     part, pack, offset = TaskContext.get().partitionId(), 0, 0
-    index, recipes, payload, roots, total, width, shared = [], [], [], [], 0, 2, {}
+    index, recipes, payload, roots, ends, total, width, shared = [], [], [], [], [], 0, 2, {}
 
     def flush():
-        nonlocal pack, index, recipes, payload, roots, total
-        row = {"part": part, "pack": pack, "width": width, "docs": len(index), "ids": total, "first_doc": index[0][0], "last_doc": index[-1][0], "index": np.array(index, DOC).tobytes(), "recipes": np.array(recipes, RECIPE).tobytes(), "payload": b"".join(payload), "root": merkle(roots)}
+        nonlocal pack, index, recipes, payload, roots, ends, total
+        row = {"part": part, "pack": pack, "width": width, "docs": len(index), "ids": total, "first_doc": ends[0], "last_doc": ends[-1], "index": b"".join(index), "recipes": b"".join(recipes), "payload": b"".join(payload), "root": merkle(roots)}
         pack += 1
-        index, recipes, payload, roots, total = [], [], [], [], 0
+        index, recipes, payload, roots, ends, total = [], [], [], [], [], 0
         return pa.RecordBatch.from_pylist([row], schema=schema)
 
+    names = ("doc_id", "kind", "shared", "ids", "width", "sizes", "digests")
     for cols in chain.from_iterable(map(rows_of, batches)):
-        for values in zip(*cols.values(), strict=True):
-            x = dict(zip(cols, values, strict=True))
-            if x["kind"] == 0:
-                shared = {s["seq"]: LENT if s["own"] else BORROWED for s in x["shared"]}
+        for doc, kind, told, ids, width, sizes, digests in zip(*(cols[n] for n in names), strict=True):  # noqa: B007
+            if kind == 0:
+                shared = {s["seq"]: LENT if s["own"] else BORROWED for s in told}
                 continue
-            width, at = x["width"], 0
-            for k, (n, d) in enumerate(zip(x["sizes"], x["digests"], strict=True)):
-                flag = shared.get(k, OWN)
-                recipes.append((d, n, flag))
+            at = 0
+            for k, (n, d) in enumerate(zip(sizes, digests, strict=True)):
+                flag = shared.get(k, OWN) if shared else OWN
+                recipes.append(_RECIPE(d, n, flag))
                 if flag != BORROWED:
-                    payload.append(x["ids"][at * width : (at + n) * width])
+                    payload.append(ids[at * width : (at + n) * width])
                 at += n
-            roots.append(merkle(x["digests"]))
-            index.append((x["doc_id"], offset, at, len(x["sizes"]), roots[-1]))
+            roots.append(merkle(digests))
+            index.append(_DOC(doc, offset, at, len(sizes), roots[-1]))
+            ends.append(doc)
             offset += at
             total += at
             shared = {}
             if total >= PACK_IDS:
                 yield flush()
+                shared = {}
     if index:
         yield flush()
 
@@ -281,49 +341,38 @@ FOUND = struct(part=T.IntegerType(), offset=LONG, doc_id=LONG, n_tokens=LONG, id
 def read(spark: SparkSession, path: str, with_ids: bool = False) -> DataFrame:
     """(doc_id, start, n_tokens, ids_crc32[, ids]) of every document, rebuilt from its recipe and verified against the manifest.
 
-    Documents whose chunks all lie in their own pack are rebuilt there; only chunks that others borrow, and the
-    documents that borrow them, are shuffled."""
+    One pass over the packs rebuilds the documents whose chunks all lie in their own pack; only chunks that others borrow, and the
+    documents that borrow them, are shuffled. A chunk that very many documents borrow is joined by a plan that may split it (a
+    sort-merge join of rows that each name one place)."""
     packs = spark.read.schema(PACK).parquet(path)
     ship(spark)
 
     def rebuild(cols):
-        out = {n: [] for n in FOUND.names}
-
-        def put(**x):
-            for n in FOUND.names:
-                out[n].append(x.get(n))
-
+        out = []  # in the order of FOUND
         for i in range(len(cols["part"])):
             row = {n: v[i] for n, v in cols.items()}
-            docs, w = verify(row), row["width"]
-            here = {bytes(r[0]): p for _, rs, ps in docs for r, p in zip(rs, ps, strict=True) if p is not None}
-            for d, rs, ps in docs:
-                ps = [p if p is not None else here.get(bytes(r[0])) for r, p in zip(rs, ps, strict=True)]
-                base = {"part": row["part"], "offset": d[1], "doc_id": d[0], "width": w, "n_chunks": d[3]}
-                if all(p is not None for p in ps):
-                    n, crc = _summed(ps, w)
-                    put(**base, n_tokens=n, ids_crc32=crc, ids=b"".join(ps) if with_ids else None)
+            docs, w, part = verify(row), row["width"], row["part"]
+            here = {}
+            for _, rs, ps in docs:
+                for (d, _, flag), p in zip(rs, ps, strict=True):
+                    if flag != BORROWED:
+                        here[d] = p
+                        if flag == LENT:
+                            out.append((None, None, None, None, None, None, None, None, d, p, None))
+            for (doc, offset, _, n_chunks, _), rs, ps in docs:
+                if None in ps:
+                    ps = [here.get(r[0]) if p is None else p for r, p in zip(rs, ps, strict=True)]
+                if None in ps:
+                    out += [(part, offset, doc, None, None, w, n_chunks, k, r[0], p, None) for k, (r, p) in enumerate(zip(rs, ps, strict=True))]
                 else:
-                    for k, (r, p) in enumerate(zip(rs, ps, strict=True)):
-                        put(**base, seq=k, digest=bytes(r[0]), payload=p)
-        return out
-
-    def lend(cols):
-        found = {}
-        for i in range(len(cols["part"])):
-            row = {n: v[i] for n, v in cols.items()}
-            # the chunks were held against their digests by the other pass over the packs
-            r, w = np.frombuffer(row["recipes"], RECIPE), row["width"]
-            here = r[r["flag"] != BORROWED]
-            end = np.cumsum(here["ids"].astype(np.int64)) * w
-            for k in np.flatnonzero(here["flag"] == LENT).tolist():
-                found[bytes(here["digest"][k])] = row["payload"][int(end[k]) - int(here["ids"][k]) * w : int(end[k])]
-        return {"digest": list(found), "lent": list(found.values())}
+                    n, crc = _summed(ps, w)
+                    out.append((part, offset, doc, n, crc, w, n_chunks, None, None, None, b"".join(ps) if with_ids else None))
+        return dict(zip(FOUND.names, zip(*out, strict=True) if out else [()] * len(FOUND), strict=True))
 
     found = stored(map_rows(packs, lambda: rebuild, FOUND, size=4))
     whole = found.where("n_tokens is not null").select("part", "offset", "doc_id", "n_tokens", "ids_crc32", "ids")
-    open_ = found.where("n_tokens is null")
-    lent = map_rows(packs, lambda: lend, struct(digest=BIN, lent=BIN), size=4)
+    open_ = found.where("n_tokens is null and part is not null")
+    lent = found.where("part is null").select("digest", F.col("payload").alias("lent"))
     wanted = open_.where("payload is null").select("part", "offset", "doc_id", "width", "n_chunks", "seq", "digest")
     got = wanted.join(lent, "digest", "left").select("part", "offset", "doc_id", "width", "n_chunks", "seq", F.col("lent").alias("payload"))
     mine = open_.where("payload is not null").select("part", "offset", "doc_id", "width", "n_chunks", "seq", "payload")
