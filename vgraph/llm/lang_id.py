@@ -10,10 +10,10 @@ from __future__ import annotations
 
 import re
 from collections import Counter
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
-import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -23,6 +23,8 @@ LETTERS = re.compile(r"[^\W\d_]+")
 SIZES = (2, 3, 4)
 HASHES = 4
 LONGEST = 40
+#: Characters of distinct words whose n-grams are laid out at once.
+CHARACTERS = 1 << 18
 
 
 def grams(word: str) -> list[str]:
@@ -31,6 +33,46 @@ def grams(word: str) -> list[str]:
     return [w[i : i + n] for n in SIZES for i in range(len(w) - n + 1)]
 
 
+def laid(words: list[str]) -> tuple[np.ndarray, list[tuple[int, np.ndarray, np.ndarray]]]:
+    """(code points of all words with their edges, one after another; for each n: n, where its n-grams begin, how many each word has)."""
+    c = np.frombuffer(f"^{'$^'.join(words)}$".encode("utf-32-le", "surrogatepass"), "<u4") if words else np.zeros(0, np.uint32)
+    size = np.fromiter(map(len, words), np.int64, len(words)) + 2
+    left = np.repeat(np.cumsum(size), size) - np.arange(len(c))
+    return c, [(n, np.flatnonzero(left >= n), np.maximum(size - n + 1, 0)) for n in SIZES]
+
+
+def portions(words: list[str], most: int = CHARACTERS) -> Iterator[list[str]]:
+    """The words in runs of about ``most`` characters, one word at least."""
+    part = np.cumsum(np.fromiter(map(len, words), np.int64, len(words))) // most
+    at = [0, *(np.flatnonzero(np.diff(part)) + 1).tolist(), len(words)]
+    yield from (words[s:e] for s, e in zip(at, at[1:], strict=False) if e > s)
+
+
+def counted(words: dict[str, int]) -> tuple[list[str], list[int]]:
+    """The n-grams of all words, and how many there are when each word counts as often as it says."""
+    c, each = laid(list(words))
+    letters, code = np.unique(c, return_inverse=True)
+    if len(letters) > 0xFFFF:  # four numbers of letters do not fit one key
+        g: Counter = Counter()
+        for w, k in words.items():
+            for x in grams(w):
+                g[x] += k
+        return list(g), list(g.values())
+    code, times = code.astype(np.uint64) + np.uint64(1), np.fromiter(words.values(), np.int64, len(words))
+    keys, weights = [], []
+    for n, at, many in each:
+        key = code[at]
+        for j in range(1, n):
+            key |= code[at + j] << np.uint64(16 * j)
+        keys.append(key)
+        weights.append(np.repeat(times, many))
+    key, place = np.unique(np.concatenate(keys), return_inverse=True)
+    total = np.bincount(place, np.concatenate(weights), len(key)).astype(np.int64)
+    digit = (key[:, None] >> (np.uint64(16) * np.arange(max(SIZES), dtype=np.uint64))) & np.uint64(0xFFFF)
+    points = np.append(np.uint32(0), letters)[digit.astype(np.int64)].astype("<u4")  # zeros behind a shorter n-gram are no part of a string
+    return points.view(f"<U{max(SIZES)}")[:, 0].tolist(), total.tolist()
+
+
 def gram_counts(rows: DataFrame) -> DataFrame:
     """(lang, gram, n) over every training text, summed inside a slice first."""
 
@@ -41,13 +83,11 @@ def gram_counts(rows: DataFrame) -> DataFrame:
                 words.setdefault(lang, Counter()).update(LETTERS.findall(t.lower()))
             out = {"lang": [], "gram": [], "n": []}
             for lang, c in words.items():
-                g: Counter = Counter()
-                for w, k in c.items():
-                    for x in grams(w):
-                        g[x] += k
-                out["lang"] += [lang] * len(g)
-                out["gram"] += list(g)
-                out["n"] += list(g.values())
+                for some in portions(list(c)):
+                    g, n = counted({w: c[w] for w in some})
+                    out["lang"] += [lang] * len(g)
+                    out["gram"] += g
+                    out["n"] += n
             return out
 
         return each
@@ -71,8 +111,14 @@ class Filters:
         return out
 
 
+def hashed_points(first: np.ndarray, second: np.ndarray) -> np.ndarray:
+    """Hashes of n-grams from their first two and next two code points, each pair in one integer."""
+    return mix64(first + mix64(second + np.uint64(0x9E3779B9)))
+
+
 def hashed(gs: list[str]) -> np.ndarray:
-    return np.fromiter((xxhash.xxh3_64_intdigest(g) for g in gs), np.uint64, len(gs))
+    c = np.array(gs, f"<U{max(SIZES)}").view("<u4").reshape(len(gs), max(SIZES)).astype(np.uint64)
+    return hashed_points(c[:, 0] | c[:, 1] << np.uint64(32), c[:, 2] | c[:, 3] << np.uint64(32))
 
 
 def fit(docs: DataFrame, share: float = 3e-5, bits: int = 16) -> Filters:
@@ -112,18 +158,24 @@ class WordCounts(dict):
         self.learn(list(words.difference(self)))
 
     def learn(self, words: list[str]) -> None:
-        for at in range(0, len(words), 2048):
-            some = words[at : at + 2048]
-            each = [grams(w) for w in some]
-            sizes = np.array([len(g) for g in each])
-            mask = self.f.masks(hashed([g for gs in each for g in gs]))
-            ends = np.cumsum(sizes) - sizes
-            lanes = [np.add.reduceat((mask >> np.uint64(k)) & np.uint64(1), ends) for k in range(len(self.f.langs))]
-            for i, w in enumerate(some):
-                v = int(sizes[i])
-                for k, lane in enumerate(lanes):
-                    v += int(lane[i]) << (32 * (k + 1))
-                self[w] = v
+        for some in portions(words):
+            c, each = laid(some)
+            c = c.astype(np.uint64)
+            lanes = np.zeros((len(self.f.langs) + 1, len(some)), np.int64)
+            for n, at, many in each:
+                second = np.zeros(len(at), np.uint64)
+                for j in range(2, n):
+                    second |= c[at + j] << np.uint64(32 * (j - 2))
+                mask = self.f.masks(hashed_points(c[at] | c[at + 1] << np.uint64(32), second))
+                end = np.cumsum(many)
+                lanes[0] += many
+                for k in range(len(self.f.langs)):
+                    upto = np.append(0, np.cumsum((mask >> np.uint64(k)) & np.uint64(1), dtype=np.int64))
+                    lanes[k + 1] += upto[end] - upto[end - many]
+            held = lanes[0].tolist()
+            for k, lane in enumerate(lanes[1:].tolist(), 1):
+                held = [v + (x << 32 * k) for v, x in zip(held, lane, strict=True)]
+            self.update(zip(some, held, strict=True))
 
 
 def predict(docs: DataFrame, f: Filters, most: int = 300_000) -> DataFrame:
