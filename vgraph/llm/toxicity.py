@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import DBL, LONG, STR, held_out, map_rows, struct, texts
+from .common import DBL, LONG, STR, held_out, map_rows, stored, struct, texts
 
 TOKEN = re.compile(r"\w+")
 #: Common English insults that vote from the start, before any label is seen.
@@ -298,6 +298,19 @@ def shaped(count: np.ndarray, least: np.ndarray, words: np.ndarray) -> np.ndarra
     return np.hstack([(over > 0).astype(np.float64), np.minimum(over, 4) / 4.0, np.log1p(words)[:, None] / 4.0])
 
 
+def unlabelled(docs: DataFrame, labels: DataFrame, bound: int) -> DataFrame:
+    """(doc_id): of the held-in rows without a label the ``bound`` of least hashed id. Ids alone are dealt and sorted, and only those that
+    lie in the least part of the hashes where about twice as many are expected; all of them where too few lie there."""
+    free = docs.where("doc_id is not null").where(~held_out(3, 1)).select("doc_id").join(labels.where("toxic is not null").select("doc_id"), "doc_id", "left_anti")
+    rows = max(docs.count(), 1)
+    low = free.where(F.xxhash64("doc_id") <= min((1 << 63) - 1, -(1 << 63) + (1 << 64) * 2 * bound // rows))
+    for some in (low, free):
+        got = stored(some.orderBy(F.xxhash64("doc_id"), "doc_id").limit(bound))
+        if got.count() == bound:
+            break
+    return got.distinct()
+
+
 def fit(docs: DataFrame, labels: DataFrame, bound: int = 20_000, most: int = 240, apart: float = 7.0) -> Model:
     """Learn from at most ``bound`` held-in labelled rows and as many without a label (those of the smallest hashed ids).
 
@@ -331,8 +344,7 @@ def fit(docs: DataFrame, labels: DataFrame, bound: int = 20_000, most: int = 240
     for w in LEXICON:
         picked.setdefault(w, 1)
     voters, least = [*picked, *extra], [*picked.values(), *([1] * len(extra))]
-    free = docs.where("doc_id is not null").where(~held_out(3, 1)).select("doc_id", "text").join(labels.where("toxic is not null").select("doc_id"), "doc_id", "left_anti")
-    free = free.orderBy(F.xxhash64("doc_id"), "doc_id").select("doc_id", "text").limit(bound)
+    free = docs.join(F.broadcast(unlabelled(docs, labels, bound)), "doc_id", "left_semi").select("doc_id", "text")
     got = votes(sample.select("doc_id", "text").union(free), voters).join(F.broadcast(some), "doc_id", "left").toPandas().drop_duplicates("doc_id").sort_values("doc_id")
     count = np.zeros((len(got), len(voters)), np.uint8)
     for i, (at, n) in enumerate(zip(got["at"], got["n"], strict=True)):
