@@ -85,17 +85,23 @@ OUT = T.StructType([T.StructField("src", LONG), T.StructField("dst", LONG), T.St
 
 
 def filter_kernel(cand: DataFrame, v: DataFrame, rule: Rule, pick: str = "nearest") -> DataFrame:
-    """The same by the resident kernels, one owner a row: ``rule.kernel`` 'serial' or 'wavefront'."""
+    """The same by the resident kernels, one owner a row: ``rule.kernel`` 'serial' or 'wavefront'.
+
+    A row holds the vectors of all its candidates, so an Arrow batch takes few of them unless the session has its own setting."""
     from ..kernel import prune_np
 
+    spark, size = v.sparkSession, "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if spark.conf.get(size) == "10000":
+        spark.conf.set(size, "256")
     g = gathered(cand, v)
-    ship(v.sparkSession)
+    ship(spark)
 
     def each(batches):
         for b in batches:
             out = ([], [], [], [])
-            for s, c in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
-                x, dp = np.array([e["v"] for e in c]), np.array([e["d2"] for e in c])
+            for at in range(b.num_rows):  # one owner's candidates as Python objects at a time
+                s, c = b.column(0)[at].as_py(), b.column(1).slice(at, 1).flatten()
+                ids, dp, x = c.field("dst").to_pylist(), c.field("d2").to_numpy(), c.field("v").flatten().to_numpy(zero_copy_only=False).reshape(len(c), -1)
                 if rule.metric == "angle" and rule.thres == 0:
                     kept, _ = prune_np.dispersion(x, dp, rule.degree)
                 elif rule.kernel == "serial":
@@ -103,7 +109,7 @@ def filter_kernel(cand: DataFrame, v: DataFrame, rule: Rule, pick: str = "neares
                 else:
                     kept, _ = prune_np.wavefront(x, dp, rule.metric, rule.thres, rule.degree, pick)
                 for r, j in enumerate(kept):
-                    for o, val in zip(out, (s, c[j]["dst"], r + 1, c[j]["d2"]), strict=True):
+                    for o, val in zip(out, (s, ids[j], r + 1, float(dp[j])), strict=True):
                         o.append(val)
             yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.int32()), pa.array(out[3], pa.float64())], names=OUT.names)
 
