@@ -116,9 +116,12 @@ def join_cross(s, d):
 
 @op
 def join_theta(s, d):
-    p = table(s, d, "part").select("p_brand", F.col("p_partkey").alias("k"), F.col("p_retailprice").alias("price"))
-    q = p.select("p_brand", F.col("k").alias("k2"), F.col("price").alias("price2"))
-    return p.join(q, "p_brand").where((F.col("k") < F.col("k2")) & (F.abs(F.col("price") - F.col("price2")) < 0.5)).groupBy("p_brand").agg(F.count(F.lit(1)).alias("pairs"))
+    """Pairs of a brand whose prices are near: prices less than 0.5 apart lie in the same or in neighbouring cells of that width, so parts
+    meet by an equi-join on brand and cell and a remaining test."""
+    p = table(s, d, "part").select("p_brand", F.floor(F.col("p_retailprice") * 2).alias("cell"), F.col("p_partkey").alias("k"), F.col("p_retailprice").alias("price"))
+    near = F.explode(F.array(F.col("cell") - 1, F.col("cell"), F.col("cell") + 1)).alias("cell")
+    q = p.select("p_brand", near, F.col("k").alias("k2"), F.col("price").alias("price2"))
+    return p.join(q, ["p_brand", "cell"]).where((F.col("k") < F.col("k2")) & (F.abs(F.col("price") - F.col("price2")) < 0.5)).groupBy("p_brand").agg(F.count(F.lit(1)).alias("pairs"))
 
 
 BANDS = [(0, 0.0, 1000.0), (1, 1000.0, 5000.0), (2, 5000.0, 20000.0), (3, 20000.0, 60000.0), (4, 60000.0, 1000000.0)]
